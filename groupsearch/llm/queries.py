@@ -2,7 +2,33 @@
 
 from __future__ import annotations
 
-from . import bpe, common, token_files
+from pyspark.sql import functions as F
+
+from . import bpe, common, token_files, topk, url_filter
+
+#: Fixed values of the URL query: rules as (host, path, verdict), and hosts of the block list.
+URL_RULES = [
+    ("com", "/", "allow"),
+    ("example.com", "/en/", "block"),
+    ("www.example.com", "/en/", "allow"),
+    ("net", "/es/", "block"),
+    ("net", "/fr/", "block"),
+]
+LISTED_HOSTS = [
+    "casino-win.example.com", "ads-track.example.com", "free-bets.example.com", "spam-farm.example.com",
+    "cheap-pills.example.com", "adult-x.example.net",
+]
+
+
+def op1_url_filter(spark, sf_dir):
+    rules = spark.createDataFrame(URL_RULES, "host string, path string, verdict string")
+    listed = spark.createDataFrame([(h, "", "block") for h in LISTED_HOSTS], "host string, path string, verdict string")
+    return url_filter.judge_urls(common.table(spark, sf_dir, "pages"), rules, listed)
+
+
+def op2_exact_topk(spark, sf_dir):
+    vectors = topk.integer_vectors(common.table(spark, sf_dir, "embeddings"), "vec_id", "embedding")
+    return topk.exact_top_k(vectors, vectors.where(F.col("vec_id") % 50 == 0), k=5)
 
 
 def op5_bpe(spark, sf_dir):
@@ -17,8 +43,33 @@ def op9_token_files(spark, sf_dir):
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op5_bpe, op9_token_files)}
+    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op5_bpe, op9_token_files)}
+
+
+def _values(rows) -> str:
+    return ", ".join("(" + ", ".join(f"'{x}'" for x in r) + ")" for r in rows)
+
+
+SQL = {
+    "op1_url_filter": f"""
+with rules(host, path, verdict) as (values {_values(URL_RULES)}), listed(host) as (values {_values([(h,) for h in LISTED_HOSTS])}),
+p as (
+  select page_id, row_number() over () as r,
+    translate(coalesce(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as host,
+    coalesce(regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '') as path
+  from pages)
+select page_id, host, path,
+  (select max_by(u.host || u.path, length(u.host || u.path)) from rules u where (p.host = u.host or ends_with(p.host, '.' || u.host)) and starts_with(p.path, u.path)) as rule,
+  coalesce(
+    (select max_by(u.verdict, length(u.host || u.path)) from rules u where (p.host = u.host or ends_with(p.host, '.' || u.host)) and starts_with(p.path, u.path)),
+    (select 'block' from listed l where p.host = l.host or ends_with(p.host, '.' || l.host) limit 1), 'allow') as verdict
+from p""",
+    "op2_exact_topk": """
+with v as (select vec_id, list_transform(embedding, lambda e: floor(256 * e::double)) as v from embeddings where embedding is not null and not list_has_any(list_transform(embedding, lambda e: e is null or not isfinite(e)), [true])),
+s as (select q.vec_id as query_id, c.vec_id, list_dot_product(q.v, c.v)::bigint as score from v q join v c on q.vec_id % 50 = 0 and q.vec_id <> c.vec_id)
+select query_id, rank, vec_id, score from (select *, row_number() over (partition by query_id order by score desc, vec_id)::int as rank from s) where rank <= 5""",
+}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(SQL)

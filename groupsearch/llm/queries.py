@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import bpe, common, token_files, topk, url_filter
+from . import bpe, common, simhash, token_files, topk, url_filter
 
 #: Fixed values of the URL query: rules as (host, path, verdict), and hosts of the block list.
 URL_RULES = [
@@ -31,6 +31,10 @@ def op2_exact_topk(spark, sf_dir):
     return topk.exact_top_k(vectors, vectors.where(F.col("vec_id") % 50 == 0), k=5)
 
 
+def op4_simhash(spark, sf_dir):
+    return simhash.near_duplicates(common.table(spark, sf_dir, "documents"), words=3, t=2)
+
+
 def op5_bpe(spark, sf_dir):
     docs = common.table(spark, sf_dir, "documents")
     return bpe.encode_documents(docs, common.vocabulary("byte_bpe_50k.json"), keep_ids=False)
@@ -43,7 +47,7 @@ def op9_token_files(spark, sf_dir):
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op5_bpe, op9_token_files)}
+    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op4_simhash, op5_bpe, op9_token_files)}
 
 
 def _values(rows) -> str:

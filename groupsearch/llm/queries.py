@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import bpe, common, simhash, token_files, topk, url_filter
+from . import bpe, common, simhash, token_files, topk, toxicity, url_filter
 
 #: Fixed values of the URL query: rules as (host, path, verdict), and hosts of the block list.
 URL_RULES = [
@@ -46,8 +46,14 @@ def op9_token_files(spark, sf_dir):
     return token_files.read_token_files(manifest)
 
 
+def op10_toxicity(spark, sf_dir):
+    docs = common.table(spark, sf_dir, "documents")
+    model = toxicity.fit(toxicity.training_rows(docs, common.table(spark, sf_dir, "labels")))
+    return toxicity.score_documents(docs, model)
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op4_simhash, op5_bpe, op9_token_files)}
+    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op4_simhash, op5_bpe, op9_token_files, op10_toxicity)}
 
 
 def _values(rows) -> str:

@@ -11,6 +11,7 @@ tokens a control byte. Decoding looks the control bytes up in a table of lengths
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import struct
@@ -20,6 +21,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -81,39 +83,96 @@ def _filesystem(uri: str):
     return fs.FileSystem.from_uri(uri if "://" in uri or uri.startswith("file:") else f"file://{uri}")
 
 
+#: Texts with none of these can be lower-cased and cut at white space before the tokenizer sees them: no character that normal
+#: forms compose or that lower-cases to two, and no start of a special token. The rest of a text's characters lie below U+0250.
+_UNSAFE = r"[^\x00-\x{12f}\x{131}-\x{24f}]|<\|"
+
+
 class CachedEncoder:
     """Encodes whole texts with the tokenizers library, looking recurring stretches between white space up in a bounded cache.
 
-    Holds for tokenizers whose tokens never reach across white space, as in vocabularies that mark word ends.
+    Holds for tokenizers that lower-case and whose tokens never reach across white space or from a word into the punctuation that
+    ends it, as in vocabularies that mark word ends. Arrow cuts a batch and finds its distinct stretches; only those are looked up.
     """
 
-    def __init__(self, path: str, cache: int = 500_000):
+    def __init__(self, path: str, cache: int = 800_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
-        self.known: dict[str, bytes] = {}
+        self.known: dict[str, bytes] = {"": b""}
         self.cache = cache
-
-    def encode(self, texts: list[str], end: int) -> list[bytes]:
-        """Ids of each text, then the end id, as little-endian 32-bit integers."""
-        split = [_CHUNKS.findall(t or "") for t in texts]
+        suffix = json.loads(self.tokenizer.to_str())["model"].get("end_of_word_suffix")
+        self.ends = None  # whether an id ends a word
+        if suffix:
+            vocab = self.tokenizer.get_vocab()
+            self.ends = np.zeros(max(vocab.values()) + 1, bool)
+            self.ends[[i for t, i in vocab.items() if t.endswith(suffix)]] = True
+
+    def ids_of(self, chunks: list[str]) -> list[bytes]:
+        """Ids of each of distinct stretches, as little-endian 32-bit integers."""
         known = self.known
         if len(known) > self.cache:
             known.clear()
-        new = list({c for chunks in split for c in chunks if c not in known})
-        fresh = {}
+            known[""] = b""
+        new = [c for c in chunks if c not in known]
+        long = {}
+        if self.ends is not None:  # plain words by the hundred: the ids that end a word part them again
+            words = [c for c in new if c.isalpha() and len(c) < 64]
+            for i in range(0, len(words), 500):
+                part = words[i : i + 500]
+                ids = np.array(self.tokenizer.encode(" ".join(part), add_special_tokens=False).ids, "<u4")
+                stops = np.flatnonzero(self.ends[ids]) + 1
+                if len(stops) == len(part) and stops[-1] == len(ids):
+                    raw, at = ids.tobytes(), 0
+                    for word, stop in zip(part, (4 * stops).tolist(), strict=True):
+                        known[word] = raw[at:stop]
+                        at = stop
+            new = [c for c in new if c not in known]
         for i in range(0, len(new), 20_000):
             part = new[i : i + 20_000]
             for chunk, e in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False), strict=True):
-                (known if len(chunk) < 64 else fresh)[chunk] = np.array(e.ids, "<u4").tobytes()
-        tail = np.array([end], "<u4").tobytes()
-        if fresh:
-            return [b"".join([known[c] if c in known else fresh[c] for c in chunks]) + tail for chunks in split]
-        get = known.__getitem__
-        return [b"".join(map(get, chunks)) + tail for chunks in split]
+                (known if len(chunk) < 64 else long)[chunk] = np.array(e.ids, "<u4").tobytes()
+        return [long[c] if c in long else known[c] for c in chunks] if long else [known[c] for c in chunks]
+
+    def _cut(self, texts: pa.Array) -> pa.Array:
+        low = pc.utf8_lower(texts)
+        apart = pc.replace_substring_regex(low, r"([\pL\pN])([.,!?;:]+)([\t-\r \x{85}\x{a0}]|$)", r"\1 \2\3")
+        for space in "\x85\xa0":
+            apart = pc.replace_substring(apart, space, " ")
+        return pc.ascii_split_whitespace(apart)
+
+    def encode(self, texts: pa.Array, end: int) -> list[np.ndarray]:
+        """Ids of each text, then the end id; a null text counts as empty."""
+        texts = pc.fill_null(texts, "")
+        unsafe = pc.match_substring_regex(texts, _UNSAFE)
+        out: list = [None] * len(texts)
+        safe_at = np.flatnonzero(~unsafe.to_numpy(zero_copy_only=False))
+        other_at = np.flatnonzero(unsafe.to_numpy(zero_copy_only=False))
+        if len(safe_at):
+            self._gather(self._cut(texts.take(pa.array(safe_at))), safe_at, end, out)
+        if len(other_at):
+            cut = pa.array([_CHUNKS.findall(t) for t in texts.take(pa.array(other_at)).to_pylist()], pa.list_(pa.string()))
+            self._gather(cut, other_at, end, out)
+        return out
+
+    def _gather(self, cut: pa.Array, at: np.ndarray, end: int, out: list) -> None:
+        coded = cut.flatten().dictionary_encode()
+        place = coded.indices.to_numpy(zero_copy_only=False)
+        ids = self.ids_of(coded.dictionary.to_pylist())
+        sizes = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+        pool = np.frombuffer(b"".join(ids), "<u4")
+        first = np.cumsum(sizes) - sizes
+        length = sizes[place]
+        stop = np.concatenate([[0], np.cumsum(length)])
+        total = int(stop[-1])
+        tokens = pool[np.repeat(first[place] - stop[:-1], length) + np.arange(total)]
+        bounds = stop[np.asarray(cut.offsets) - cut.offsets[0].as_py()]
+        tail = np.array([end], "<u4")
+        for i, a, b in zip(at.tolist(), bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+            out[i] = np.concatenate([tokens[a:b], tail])
 
 
 @lru_cache(maxsize=1)
@@ -134,7 +193,7 @@ def write_token_files(
     an empty manifest.
     """
     spark = docs.sparkSession
-    bounded_batches(spark)
+    bounded_batches(spark, 4096)
     work = Workspace(spark, "token-files")
     folder = folder or f"{work.path}/files"
     ordered = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null")
@@ -145,7 +204,7 @@ def write_token_files(
 
         part = TaskContext.get().partitionId()
         for b in batches:
-            ids = [x.astype("<u2").tobytes() if x.max() < 1 << 16 else b"\0" + x.tobytes() for x in (np.frombuffer(i, "<u4") for i in encoder(path).encode(b.column(1).to_pylist(), end_id))]
+            ids = [x.astype("<u2").tobytes() if x.max() < 1 << 16 else b"\0" + x.tobytes() for x in encoder(path).encode(b.column(1), end_id)]
             yield pa.RecordBatch.from_arrays([pa.array([part] * b.num_rows, pa.int32()), b.column(0), pa.array(ids, pa.binary())], ["part", "doc_id", "ids"])
 
     coded = work.save(ordered.mapInArrow(encode, "part int, doc_id bigint, ids binary"), "coded")

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import bpe, common, simhash, token_files, topk, toxicity, url_filter
+from . import bpe, common, decontaminate, licenses, simhash, token_files, topk, toxicity, url_filter, warc
 
 #: Fixed values of the URL query: rules as (host, path, verdict), and hosts of the block list.
 URL_RULES = [
@@ -31,6 +31,10 @@ def op2_exact_topk(spark, sf_dir):
     return topk.exact_top_k(vectors, vectors.where(F.col("vec_id") % 50 == 0), k=5)
 
 
+def op3_decontamination(spark, sf_dir):
+    return decontaminate.contained_items(common.table(spark, sf_dir, "documents"), common.table(spark, sf_dir, "benchmark"))
+
+
 def op4_simhash(spark, sf_dir):
     return simhash.near_duplicates(common.table(spark, sf_dir, "documents"), words=3, t=2)
 
@@ -40,6 +44,14 @@ def op5_bpe(spark, sf_dir):
     return bpe.encode_documents(docs, common.vocabulary("byte_bpe_50k.json"), keep_ids=False)
 
 
+def op6_licences(spark, sf_dir):
+    return licenses.scan_licences(common.table(spark, sf_dir, "documents"))
+
+
+def op7_warc_revisits(spark, sf_dir):
+    return warc.resolve_revisits(warc.crawl_of_pages(common.table(spark, sf_dir, "pages")))
+
+
 def op9_token_files(spark, sf_dir):
     docs = common.table(spark, sf_dir, "documents")
     manifest, _ = token_files.write_token_files(docs, common.vocabulary("word_bpe_49k.json"))
@@ -53,13 +65,32 @@ def op10_toxicity(spark, sf_dir):
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op4_simhash, op5_bpe, op9_token_files, op10_toxicity)}
+    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op3_decontamination, op4_simhash, op5_bpe, op6_licences, op7_warc_revisits, op9_token_files, op10_toxicity)}
 
 
 def _values(rows) -> str:
     return ", ".join("(" + ", ".join(f"'{x}'" for x in r) + ")" for r in rows)
 
 
+def _licence_sql() -> str:
+    """Rules as nested replacements, as the operator spends identifiers."""
+    left, found = "whole", []
+    for i, (ids, licence) in enumerate(licenses.RULES):
+        run = "".join(f"<{x}>" for x in ids)
+        found.append(f"case when contains({left}, '{run}') then '{licence}' end")
+        left = f"replace({left}, '{run}', '|')"
+    return f"""
+with known(sentence, sid) as (values {_values(licenses.SENTENCES)}),
+s as (select doc_id, row_number() over () as r, string_split(regexp_replace(coalesce(text, ''), '[.!?]+([\\s]|$)|;|\\r', chr(10), 'g'), chr(10)) as parts from documents),
+u as (select doc_id, r, unnest(parts) as raw, generate_subscripts(parts, 1) as pos from s),
+h as (select u.doc_id, u.r, u.pos, k.sid from u join known k on trim(regexp_replace(lower(u.raw), '[^\\p{{L}}\\p{{N}}]+', ' ', 'g')) = k.sentence),
+g as (select doc_id, r, string_agg(sid, ' ' order by pos) as sentences, string_agg('<' || sid || '>', '' order by pos) as whole from h group by doc_id, r)
+select doc_id, sentences,
+  (select coalesce(string_agg(x, ' ' order by o), '') from (select x, min(o) as o from (select unnest([{", ".join(found)}]) as x, generate_subscripts([{", ".join("1" for _ in found)}], 1) as o) where x is not null group by x)) as licences,
+  trim(regexp_replace(replace({left}, '|', ''), '[<>]+', ' ', 'g')) as unmatched
+from g"""
+
+
 SQL = {
     "op1_url_filter": f"""
 with rules(host, path, verdict) as (values {_values(URL_RULES)}), listed(host) as (values {_values([(h,) for h in LISTED_HOSTS])}),
@@ -74,6 +105,31 @@ select page_id, host, path,
     (select max_by(u.verdict, length(u.host || u.path)) from rules u where (p.host = u.host or ends_with(p.host, '.' || u.host)) and starts_with(p.path, u.path)),
     (select 'block' from listed l where p.host = l.host or ends_with(p.host, '.' || l.host) limit 1), 'allow') as verdict
 from p""",
+    "op3_decontamination": """
+with d as (select doc_id, row_number() over () as r, regexp_extract_all(lower(coalesce(text, '')), '[\\p{L}\\p{N}]+') as w from documents where doc_id is not null),
+i as (select item_id, row_number() over () as q, regexp_extract_all(lower(coalesce(text, '')), '[\\p{L}\\p{N}]+') as w from benchmark where item_id is not null),
+ds as (select distinct doc_id, r, array_to_string(w[k + 1:k + 5], ' ') as s from (select doc_id, r, w, unnest(range(greatest(len(w) - 4, 1))) as k from d where len(w) > 0)),
+si as (select distinct item_id, q, array_to_string(w[k + 1:k + 5], ' ') as s from (select item_id, q, w, unnest(range(greatest(len(w) - 4, 1))) as k from i where len(w) > 0)),
+n as (select item_id, q, count(*) as n_item from si group by item_id, q),
+p as (select doc_id, r, item_id, q, count(*) as n_shared from ds join si using (s) group by all),
+b as (select doc_id, item_id, n_shared, n_item, n_shared::double / n_item as containment from p join n using (item_id, q) where n_shared::double / n_item >= 0.8)
+select doc_id, item_id, n_shared, n_item, containment from b qualify row_number() over (partition by doc_id, item_id order by containment desc, n_shared desc) = 1""",
+    "op6_licences": _licence_sql(),
+    "op7_warc_revisits": """
+with q as (
+  select page_id, url, md5(coalesce(html, '')) as h, regexp_extract(url, '(?s)^[^:/?#]*://([^#]*)', 1) as rest, regexp_matches(url, '^[^:/?#]*://') as ok from pages),
+c as (
+  select page_id, h, case when ok then
+    regexp_replace(translate(regexp_extract(rest, '(?s)^(?:[^/?@]*@)?([^/?]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), ':(80|443)$', '')
+    || case when regexp_extract(rest, '(?s)^[^/?]*([^?]*)', 1) = '' then '/' else regexp_extract(rest, '(?s)^[^/?]*([^?]*)', 1) end
+    || case when p <> '' then '?' || p else '' end end as key
+  from (select *, array_to_string(list_sort(list_filter(string_split(regexp_extract(rest, '(?s)\\?(.*)$', 1), '&'), lambda x: x <> '' and not starts_with(x, 'utm_'))), '&') as p from q)),
+r as (select c.page_id, c.key, c.h, max_by(e.page_id, (e.page_id, 'response-' || e.page_id)) as prior, max_by(e.h, (e.page_id, 'response-' || e.page_id)) as prior_h
+  from c left join c e on c.key = e.key and e.page_id < c.page_id + 31536000 group by all)
+select 'revisit-' || page_id as record_id, key as canonical, 'response-' || prior as refers_to,
+  case when key is null or page_id is null then 'no_key' when prior is null then 'no_earlier_response' when h = prior_h then 'resolved' else 'validator_mismatch' end as outcome,
+  case when h = prior_h then 'cache-control: max-age=60' || chr(10) || 'content-type: text/html' || chr(10) || 'date: ' || (1704067200 + 31536000 + page_id) || chr(10) || 'etag: "' || h || '"' end as headers
+from r""",
     "op2_exact_topk": """
 with v as (select vec_id, list_transform(embedding, lambda e: floor(256 * e::double)) as v from embeddings where embedding is not null and not list_has_any(list_transform(embedding, lambda e: e is null or not isfinite(e)), [true])),
 s as (select q.vec_id as query_id, c.vec_id, list_dot_product(q.v, c.v)::bigint as score from v q join v c on q.vec_id % 50 = 0 and q.vec_id <> c.vec_id)

@@ -60,7 +60,7 @@ def op9_token_files(spark, sf_dir):
 
 def op10_toxicity(spark, sf_dir):
     docs = common.table(spark, sf_dir, "documents")
-    model = toxicity.fit(toxicity.training_rows(docs, common.table(spark, sf_dir, "labels")))
+    model = toxicity.fit(docs, common.table(spark, sf_dir, "labels"))
     return toxicity.score_documents(docs, model)
 
 

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_batches
+from .common import Workspace, bounded_batches
 
 #: Documented bounds: labelled rows the model is fitted on, voters, words looked up by a worker, least support of a voter.
 FIT_ROWS, VOTERS, MEMO, SUPPORT = 20_000, 400, 300_000, 4
@@ -156,20 +156,24 @@ def _cover(votes: list[list[int]], toxic: list[int], n: int, most: int, times: i
     return chosen
 
 
-def fit(labelled: DataFrame, fit_rows: int = FIT_ROWS, voters: int = VOTERS) -> ToxicityModel | None:
-    """Fits on labelled rows (doc_id, text, toxic), at most fit_rows of them, the first by a hash of the id; None without toxic rows.
+def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, voters: int = VOTERS) -> ToxicityModel | None:
+    """Fits on rows whose labels may be learned, about fit_rows of them, chosen by a hash of the id; None without toxic rows.
 
-    Counting is distributed: a task counts, over its toxic rows, in how many documents each pattern occurs, and drops none; the
-    driver gets only patterns that enough toxic rows hold, then one short list of votes for each fitted row.
+    The chosen labels are broadcast (fit_rows bounds them) to find their documents. Counting is distributed: a task counts in how
+    many of its documents each pattern occurs; the driver gets only patterns that enough toxic rows hold, then a short list of
+    votes for each fitted row. Repeated labels of an id count once, the largest of them; null labels and ids are ignored.
     """
-    spark = labelled.sparkSession
+    spark = docs.sparkSession
     bounded_batches(spark)
-    labelled = labelled.where("toxic is not null").select("doc_id", "text", F.col("toxic").cast("int").alias("toxic"))
-    n = labelled.select("doc_id").count()
+    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).where(~held_out(F.col("doc_id")))
+    known = known.groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
+    n = known.count()
     if not n:
         return None
     share = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20))
-    rows = labelled.where(share < F.lit(min(1 << 20, int(fit_rows / n * (1 << 20)) or 1)))
+    chosen_labels = known.where(share < F.lit(min(1 << 20, int(fit_rows / n * (1 << 20)) or 1)))
+    work = Workspace(spark, "toxicity")
+    rows = work.save(docs.select("doc_id", "text").join(F.broadcast(chosen_labels), "doc_id"), "rows")
 
     def count(batches, only=None):
         got, sizes = {0: Counter(), 1: Counter()}, Counter()
@@ -198,7 +202,6 @@ def fit(labelled: DataFrame, fit_rows: int = FIT_ROWS, voters: int = VOTERS) ->
                 )
 
     kinds = "pattern string, toxic int, n bigint"
-    # word ends only add noise to what is kept: support first, so few of the many patterns of a corpus reach the driver
     held = rows.mapInArrow(count, kinds).groupBy("pattern", "toxic").agg(F.sum("n").alias("n")).where("toxic = 1").where((F.col("n") >= SUPPORT) | (F.col("pattern") == ""))
     top = held.orderBy(F.col("pattern") != "", F.desc("n"), "pattern").limit(60_000).collect()
     pos = Counter({r.pattern: r.n for r in top})
@@ -276,10 +279,3 @@ def score_documents(docs: DataFrame, model: ToxicityModel | None, threshold: flo
 
     scored = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, score double")
     return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
-
-
-def training_rows(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """doc_id, text, toxic of labelled rows that may be learned from. Repeated labels of an id count once, the largest of them."""
-    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).where(~held_out(F.col("doc_id")))
-    known = known.groupBy(F.col("doc_id").alias("doc_id")).agg(F.max("toxic").alias("toxic"))
-    return docs.select("doc_id", "text").join(known, "doc_id")

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import bpe, common, decontaminate, licenses, simhash, token_files, topk, toxicity, url_filter, warc
+from . import bpe, common, decontaminate, licenses, simhash, suffix_dedup, token_files, topk, toxicity, url_filter, warc
 
 #: Fixed values of the URL query: rules as (host, path, verdict), and hosts of the block list.
 URL_RULES = [
@@ -52,6 +52,10 @@ def op7_warc_revisits(spark, sf_dir):
     return warc.resolve_revisits(warc.crawl_of_pages(common.table(spark, sf_dir, "pages")))
 
 
+def op8_suffix_dedup(spark, sf_dir):
+    return suffix_dedup.remove_repeats(common.table(spark, sf_dir, "documents"), window=100, keep_text=False)
+
+
 def op9_token_files(spark, sf_dir):
     docs = common.table(spark, sf_dir, "documents")
     manifest, _ = token_files.write_token_files(docs, common.vocabulary("word_bpe_49k.json"))
@@ -65,7 +69,7 @@ def op10_toxicity(spark, sf_dir):
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op3_decontamination, op4_simhash, op5_bpe, op6_licences, op7_warc_revisits, op9_token_files, op10_toxicity)}
+    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op3_decontamination, op4_simhash, op5_bpe, op6_licences, op7_warc_revisits, op8_suffix_dedup, op9_token_files, op10_toxicity)}
 
 
 def _values(rows) -> str:

@@ -68,8 +68,14 @@ def op10_toxicity(spark, sf_dir):
     return toxicity.score_documents(docs, model)
 
 
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op3_decontamination, op4_simhash, op5_bpe, op6_licences, op7_warc_revisits, op8_suffix_dedup, op9_token_files, op10_toxicity)}
+    return {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op3_decontamination, op4_simhash, op5_bpe, op6_licences, op7_warc_revisits, op8_suffix_dedup, op9_token_files, op10_toxicity, pipeline)}
 
 
 def _values(rows) -> str:

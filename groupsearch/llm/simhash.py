@@ -35,9 +35,8 @@ def shingle_hashes(text: bytes, words: int) -> np.ndarray:
     return np.array([x(b" ".join(s), 42) for s in zip(*(w[i:] for i in range(words)), strict=False)], np.uint64)
 
 
-def fingerprint(text: bytes, words: int = 3) -> int:
-    """The SimHash of a text in UTF-8: a bit is set if over half of its shingles' hashes have it; zero without words."""
-    h = shingle_hashes(text, words)
+def simhash_of(h: np.ndarray) -> int:
+    """The bits that over half of the hashes have; zero of none."""
     if not len(h):
         return 0
     lanes = h.astype("<u8").view(np.uint8).reshape(-1, 8) + _LANE
@@ -46,6 +45,11 @@ def fingerprint(text: bytes, words: int = 3) -> int:
     return int(np.packbits(bits, bitorder="little").view("<u8")[0])
 
 
+def fingerprint(text: bytes, words: int = 3) -> int:
+    """The SimHash of a text in UTF-8; zero without words."""
+    return simhash_of(shingle_hashes(text, words))
+
+
 def fingerprints(docs: DataFrame, words: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, fp (signed) of every row; a null text counts as empty. A map over rows, no shuffle."""
     bounded_batches(docs.sparkSession)
@@ -143,3 +147,88 @@ def near_duplicates(
     of_fp = work.save(placed.join(named, "root").select("fp", "component_id"), "of-fp")
     hexed = F.lower(F.lpad(F.hex("fp"), 16, "0"))
     return rows.join(of_fp, "fp").select("doc_id", hexed.alias("fingerprint"), "component_id")
+
+
+#: Near copies: words of a shingle, similarity, passages of a document that are looked up, shingles of a sketch, rounds of leaders.
+NEAR_WORDS, NEAR_SIMILARITY, PASSAGES, SKETCH, ROUNDS = 5, 0.8, 8, 512, 2
+
+
+def passage_keys(h: np.ndarray, most: int = PASSAGES) -> np.ndarray:
+    """Keys of passages, cut where a shingle's hash says and named by the sum of their hashes; the least few by a hash of the name."""
+    if not len(h):
+        return np.zeros(0, np.int64)
+    edge = np.unique(np.concatenate([[0], np.flatnonzero(h % np.uint64(16) == 0) + 1]))
+    name = np.add.reduceat(h, edge[edge < len(h)])
+    name = (name ^ (name >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
+    return np.unique(name ^ (name >> np.uint64(29)))[:most].view(np.int64)
+
+
+def sketch_similarity(a: bytes, b: bytes, k: int = SKETCH) -> float:
+    """Jaccard similarity from two bottom-k sketches: exact where neither set has more than k, else of the k least of the union."""
+    x, y = np.frombuffer(a, "<u4"), np.frombuffer(b, "<u4")
+    if not len(x) and not len(y):
+        return 1.0
+    union = np.union1d(x, y)
+    if len(x) >= k or len(y) >= k:
+        union = union[:k]
+    both = np.intersect1d(x, y, assume_unique=True)
+    return float(np.searchsorted(both, union[-1], "right")) / len(union) if len(union) else 0.0
+
+
+def near_copies(docs: DataFrame, words: int = NEAR_WORDS, similarity: float = NEAR_SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, component_id of every document: groups of near copies by shingles of so many words and so much similarity.
+
+    Links are fingerprints within LINK_BITS of each other, found by the pigeonring, and documents that share a looked-up passage
+    with the first document that holds it, if their sketches are that similar. At a similarity of 0.8 fingerprints differ in about
+    ten bits, too many for any selective chain, which is why passages give the candidates there; a second round takes new leaders
+    among documents that have no link yet. Null ids stay alone and unjudged; null texts count as empty; repeated rows with one id
+    are one document; an empty table gives no rows.
+
+    Copies of any number meet their leader, never each other. Keys that many documents share are minima by key, then an equi-join
+    that Spark splits where it is skewed.
+    """
+    spark = docs.sparkSession
+    bounded_batches(spark)
+    work = Workspace(spark, "near-copies")
+
+    def run(batches):
+        for b in batches:
+            fps, keys, sketches = [], [], []
+            for t in b.column(1).cast(pa.binary()).to_pylist():
+                h = shingle_hashes(t or b"", words)
+                fps.append(simhash_of(h))
+                keys.append(passage_keys(h))
+                sketches.append(np.unique((h >> np.uint64(32)).astype(np.uint32))[:SKETCH].astype("<u4").tobytes())
+            fp = pa.array(np.array(fps, np.uint64).view(np.int64), pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column(0), fp, pa.array(keys, pa.list_(pa.int64())), pa.array(sketches, pa.binary())], ["doc_id", "fp", "keys", "sketch"])
+
+    source = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    rows = work.save(source.mapInArrow(run, "doc_id bigint, fp bigint, keys array<bigint>, sketch binary"), "rows")
+
+    distinct = work.save(rows.groupBy("fp").agg(F.min("doc_id").alias("first")), "distinct")
+    roots = connected_components(fingerprint_links(distinct, work), Workspace(spark, "near-copies-fp"))
+    placed = distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
+    named = work.save(placed.join(placed.groupBy("root").agg(F.min("first").alias("leader")), "root").select("fp", "leader"), "named")
+    links = work.save(rows.select("doc_id", "fp").join(named, "fp").where("doc_id <> leader").select(F.col("doc_id").alias("u"), F.col("leader").alias("v")), "links-0")
+
+    keyed = rows.select("doc_id", F.explode("keys").alias("key"))
+    kinds = "u bigint, v bigint"
+
+    def verify(batches):
+        for b in batches:
+            u, v, x, y = (c.to_pylist() for c in b.columns)
+            ok = [i for i in range(len(u)) if sketch_similarity(x[i], y[i]) >= similarity]
+            yield pa.RecordBatch.from_arrays([pa.array([u[i] for i in ok], pa.int64()), pa.array([v[i] for i in ok], pa.int64())], ["u", "v"])
+
+    for i in range(1, ROUNDS + 1):
+        if i > 1:  # those linked so far may still lead, but are not asked again
+            linked = links.select(F.col("u").alias("doc_id")).distinct()
+            keyed = work.save(keyed.join(linked, "doc_id", "left_anti"), f"keyed-{i}")
+        leaders = keyed.groupBy("key").agg(F.min("doc_id").alias("v"), F.count("*").alias("n")).where("n > 1").select("key", "v")
+        asked = keyed.join(leaders, "key").where("doc_id <> v").select(F.col("doc_id").alias("u"), "v").distinct()
+        pairs = asked.join(rows.select(F.col("doc_id").alias("u"), F.col("sketch").alias("a")), "u")
+        pairs = pairs.join(rows.select(F.col("doc_id").alias("v"), F.col("sketch").alias("b")), "v").select("u", "v", "a", "b")
+        found = work.save(pairs.mapInArrow(verify, kinds), f"found-{i}")
+        links = work.save(links.unionByName(found), f"links-{i}")
+    components = connected_components(links, Workspace(spark, "near-copies-docs"))
+    return rows.select("doc_id").distinct().join(components, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("root", "doc_id").alias("component_id"))

@@ -465,3 +465,47 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id"
     bounded_batches(spark, 512)
     joined = rows.join(marked, ["doc", "text_hash"], "left").select("id", "text", "pieces", "starts")
     return joined.mapInArrow(cut, f"`{id_col}` {kind}, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + (", kept binary" if keep_text else ""))
+
+
+def without_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs with repeated bytes taken out of the text, and n_chars, where there is one, counted anew.
+
+    A character that loses some of its bytes is taken out whole, so texts stay valid; null texts stay null. All rows stay.
+    """
+    spark = docs.sparkSession
+    work = Workspace(spark, "suffix-dedup")
+    keyed = docs.withColumn("__doc", F.coalesce(F.col(id_col).cast("bigint"), F.lit(_LAST))).withColumn("__hash", F.xxhash64(text_col))
+    marked = repeated_starts(keyed.select(F.col("__doc").alias("doc"), F.col("__hash").alias("text_hash"), F.col(text_col).cast("string").alias("text")), window, work)
+    marked = marked.select(F.col("doc").alias("__doc"), F.col("text_hash").alias("__hash"), F.col("pieces").alias("__pieces"), F.col("starts").alias("__starts"))
+    joined = keyed.join(marked, ["__doc", "__hash"], "left").select(*docs.columns, "__pieces", "__starts")
+    names = docs.columns
+
+    def cut(batches):
+        for b in batches:
+            out = []
+            at = names.index(text_col)
+            pieces, starts = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("__pieces", "__starts"))
+            for text, p, s in zip(b.column(at).cast(pa.binary()).to_pylist(), pieces, starts, strict=True):
+                if text is not None and (p or s):
+                    mask = removed_mask(len(text), p, s, window)
+                    text = np.frombuffer(text, np.uint8)[~_whole_characters(text, mask)].tobytes()
+                out.append(None if text is None else text.decode("utf-8", "ignore"))
+            columns = [b.column(i) for i in range(len(names))]
+            columns[at] = pa.array(out, pa.string())
+            if "n_chars" in names:
+                columns[names.index("n_chars")] = pa.array([None if t is None else len(t) for t in out], pa.int64())
+            yield pa.RecordBatch.from_arrays(columns, names)
+
+    bounded_batches(spark, 512)
+    return joined.mapInArrow(cut, docs.schema)
+
+
+def _whole_characters(text: bytes, mask: np.ndarray) -> np.ndarray:
+    """mask, spread over all bytes of every UTF-8 character that it touches."""
+    data = np.frombuffer(text, np.uint8)
+    if not mask.any() or data.max() < 128:
+        return mask
+    character = np.cumsum((data & 0xC0) != 0x80)
+    hit = np.zeros(character[-1] + 1, bool)
+    hit[character[mask]] = True
+    return hit[character]

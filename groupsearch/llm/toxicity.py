@@ -279,3 +279,18 @@ def score_documents(docs: DataFrame, model: ToxicityModel | None, threshold: flo
 
     scored = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, score double")
     return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+
+
+def keep_clean(docs: DataFrame, model: ToxicityModel | None, threshold: float = THRESHOLD) -> DataFrame:
+    """The rows whose score stays below the threshold, with all their columns; a filter over rows, no join."""
+    if model is None:
+        return docs
+    bounded_batches(docs.sparkSession)
+
+    def run(batches):
+        vote = Voting(model.voters)
+        for b in batches:
+            at = b.schema.get_field_index("text")
+            yield b.filter(pa.array([model.score(vote(t)) < threshold for t in b.column(at).to_pylist()], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

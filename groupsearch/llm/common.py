@@ -62,9 +62,12 @@ class Workspace:
     def release(self) -> None:
         """Lets Spark delete shuffle files of finished steps now rather than at the next collection of the driver's garbage."""
         import gc
+        import time
 
-        gc.collect()
-        self.spark.sparkContext._jvm.System.gc()
+        for _ in range(2):  # one collection finds them, the next follows what the first set free
+            gc.collect()
+            self.spark.sparkContext._jvm.System.gc()
+            time.sleep(0.7)
 
 
 def ascii_lower(col):

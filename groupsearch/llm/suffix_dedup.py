@@ -36,7 +36,7 @@ COVERS = {
     73: (1, 2, 4, 8, 16, 32, 37, 55, 64),
 }
 #: Bytes of text that a task names at a time, bytes of text for each partition of names.
-BATCH, PART_BYTES = 4 << 20, 16 << 20
+BATCH, PART_BYTES = 1 << 20, 10 << 20
 #: Bytes that the local hash which cuts texts looks at, and the least distance of cuts.
 CUT_BYTES, CUT_APART = 16, 64
 _BASES = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93))
@@ -45,8 +45,8 @@ _LAST = (1 << 63) - 1
 
 
 def cover_for(window: int) -> tuple[int, tuple[int, ...]]:
-    """The largest cover of at most three quarters of the window."""
-    v = max(v for v in COVERS if v <= max(7, 3 * window // 4))
+    """The largest cover of at most three fifths of the window: sparser samples, but of strings that seldom recur by chance."""
+    v = max(v for v in COVERS if v <= max(7, 3 * window // 5))
     return v, COVERS[v]
 
 
@@ -82,11 +82,12 @@ class Prefixes:
     def __init__(self, data: np.ndarray, powers: Powers, both: bool = True):
         powers.reach(len(data) + 1)
         self.powers = powers
-        c = data.astype(np.uint64) + np.uint64(1)
         self.sums = []
         for k in range(1 + both):
             s = np.zeros(len(data) + 1, np.uint64)
-            np.cumsum(c * powers.up[k][: len(data)], out=s[1:])
+            np.add(data, np.uint64(1), out=s[1:])
+            s[1:] *= powers.up[k][: len(data)]
+            np.cumsum(s[1:], out=s[1:])
             self.sums.append(s)
 
     def of(self, start: np.ndarray, stop: np.ndarray, k: int = 0) -> np.ndarray:
@@ -105,12 +106,15 @@ def cuts(prefixes: Prefixes, first: np.ndarray, last: np.ndarray, n: int) -> np.
     """
     if n < CUT_BYTES:
         return np.zeros(0, np.int64)
-    h = _mix(prefixes.windows(CUT_BYTES))
+    h = prefixes.windows(CUT_BYTES)
+    h ^= h >> np.uint64(33)
+    h *= _MIX
     low = np.flatnonzero(h < np.uint64(1 << 59))  # one in 32
     doc = np.searchsorted(first, low, "right") - 1
     inside = low <= last[doc] + CUT_APART
     low, doc = low[inside], doc[inside]
     value = h[low]
+    del h
     least = np.ones(len(low), bool)
     for s in range(1, len(low)):
         near = (low[s:] - low[:-s] < CUT_APART) & (doc[s:] == doc[:-s])
@@ -143,8 +147,6 @@ class Batch:
         """Rows to deal out: samples (kind 1), marked samples (2), pieces (3), repeated pieces (4), the documents (0)."""
         v, cover = cover_for(window)
         width = window - v + 1
-        place = np.arange(len(self.data))
-        doc = np.repeat(np.arange(len(self.ids)), self.last - self.first + window)
         start = np.sort(np.concatenate([self.first, cuts(self.prefixes, self.first, self.last, len(self.data))]))
         owner = np.searchsorted(self.first, start, "right") - 1
         stop = np.concatenate([start[1:], [len(self.data)]])
@@ -169,11 +171,10 @@ class Batch:
             x = new[by[at]]
             out.append(_pack(3, p, self.uid, a[x], b[x], self.ids[owner[x]], start[x] - self.first[owner[x]], start[x].astype(np.uint32), stop[x].astype(np.uint32)))
 
-        inside = (place - self.first[doc]) % v
-        taken = np.zeros(v, bool)
-        taken[list(cover)] = True
-        p = np.flatnonzero(taken[inside] & (place <= self.last[doc] + v - 1))
-        d = doc[p]
+        sampled = [np.add.outer(np.arange(0, n + v, v), np.sort(cover)).reshape(-1) for n in (self.last - self.first + v).tolist()]
+        sampled = [x[: np.searchsorted(x, n)] for x, n in zip(sampled, (self.last - self.first + v).tolist(), strict=True)]
+        d = np.repeat(np.arange(len(self.ids)), [len(x) for x in sampled])
+        p = np.concatenate(sampled) + self.first[d]
         name = _mix(self.prefixes.of(p, p + width))
         left = np.searchsorted(start, np.maximum(p - v + 1, self.first[d]), "right") - 1
         right = np.searchsorted(start, np.minimum(p, self.last[d]), "right") - 1
@@ -201,6 +202,30 @@ class Batch:
             out.append(_pack(1, k, self.uid, low, tag[at], gaps))
         return out
 
+    def merged(self, at: np.ndarray, window: int, parts: int) -> list[tuple]:
+        """Rows to deal out: strings of the window at candidate places (kind 5), those later than an equal one here (2), documents (0)."""
+        owner = np.searchsorted(self.first, at, "right") - 1
+        x, y = _mix(self.prefixes.of(at, at + window)), self.prefixes.of(at, at + window, 1)
+        out = [_pack(0, self.uid % parts, self.uid, self.ids, self.text_hash, self.first)]
+        later = np.zeros(len(at), bool)
+        later[_later(x, y, self.ids[owner], at - self.first[owner])] = True
+        if later.any():
+            out.append(_pack(2, self.uid % parts, self.uid, at[later].astype(np.uint32)))
+        at, owner, x, y = at[~later], owner[~later], x[~later], y[~later]
+        part = (x % np.uint64(parts)).astype(np.int64)
+        x = x // np.uint64(parts)
+        y = (_mix(y) >> np.uint64(32)).astype(np.uint32)
+        by = np.argsort(part, kind="stable")
+        part, at, owner, x, y = part[by], at[by], owner[by], x[by], y[by]
+        for p, k in _runs(part):
+            docs, held = np.unique(owner[k], return_counts=True)
+            low = x[k].view(np.uint8).reshape(-1, 8)[:, :6]
+            gaps = np.diff(at[k], prepend=0).astype(np.uint32).view(np.uint8).reshape(-1, 4).T
+            head = (len(docs).to_bytes(4, "little"), self.ids[docs].astype("<i8").tobytes(), self.first[docs].astype("<u4").tobytes(), held.astype("<u4").tobytes())
+            body = (np.ascontiguousarray(low).tobytes(), y[k].tobytes(), np.ascontiguousarray(gaps).tobytes())
+            out.append((p, 5, self.uid, len(at[k]), b"".join(head + body)))
+        return out
+
 
 def _runs(sorted_values: np.ndarray):
     if len(sorted_values):
@@ -348,7 +373,7 @@ def repeated_starts(docs: DataFrame, window: int = WINDOW, work: Workspace | Non
     """
     spark = docs.sparkSession
     work = work or Workspace(spark, "suffix-dedup")
-    bounded_batches(spark, 512)
+    bounded_batches(spark, 256)
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-total // PART_BYTES))
 
@@ -368,55 +393,79 @@ def repeated_starts(docs: DataFrame, window: int = WINDOW, work: Workspace | Non
 
     def merge(batches):
         powers = Powers()
-        for b in batches:
-            columns = [b.column(i).to_pylist() for i in (0, 1, 3, 4)]
-            found = []
-            for doc, h, samples, pieces, text in zip(*columns, b.column(2).cast(pa.binary()).to_pylist(), strict=True):
-                at = _candidates(len(text), samples, pieces, window)
-                if len(at):
-                    x = Prefixes(np.frombuffer(text, np.uint8), powers)
-                    found.append((doc, h, at, x.of(at, at + window), x.of(at, at + window, 1)))
-            if not found:
-                continue
-            size = [len(f[2]) for f in found]
-            doc, h = np.repeat([f[0] for f in found], size), np.repeat([f[1] for f in found], size)
-            at, x, y = (np.concatenate([f[i] for f in found]) for i in (2, 3, 4))
-            later = np.zeros(len(at), bool)
-            later[_later(x, y, doc, at)] = True
-            arrays = [pa.array(c) for c in (x.view(np.int64), y.view(np.int64), doc, h, at.astype(np.int32), later)]
-            yield pa.RecordBatch.from_arrays(arrays, ["x", "y", "doc", "text_hash", "place", "later"])
+        for buffer, at in _candidate_buffers(batches, window, powers):
+            yield _table(buffer.merged(at, window, parts))
 
     sampled = marks.where(F.octet_length("samples") > 0)
     joined = docs.join(sampled, ["doc", "text_hash"]).select("doc", "text_hash", "text", "samples", "pieces")
-    kinds = "x bigint, y bigint, doc bigint, text_hash bigint, place int, later boolean"
-    # those that are later within a task's batch need no partner; they are spread by place, not by their name
-    named = joined.mapInArrow(merge, kinds)
-    spread = F.when(F.col("later"), F.xxhash64("doc", "place")).otherwise(F.col("x"))
-    dealt = named.repartition(parts, spread)
-
-    def compare(batches):
-        table = pa.Table.from_batches(batches, schema=_PLACES)
-        x, y, doc, h, at, later = (c.to_numpy() for c in table.columns)
-        if not len(x):
-            return
-        alone = np.flatnonzero(~later)
-        keep = np.concatenate([np.flatnonzero(later), alone[_later(x[alone].view(np.uint64), y[alone].view(np.uint64), doc[alone], at[alone])]])
-        keep = keep[np.lexsort((at[keep], h[keep], doc[keep]))]
-        if not len(keep):
-            return
-        d, t = doc[keep], h[keep]
-        edge = np.concatenate([[0], np.flatnonzero((d[1:] != d[:-1]) | (t[1:] != t[:-1])) + 1, [len(keep)]])
-        raw = [at[keep[a:b]].astype("<u4").tobytes() for a, b in zip(edge[:-1], edge[1:], strict=True)]
-        yield pa.RecordBatch.from_arrays([pa.array(d[edge[:-1]]), pa.array(t[edge[:-1]]), pa.array(raw, pa.binary())], ["doc", "text_hash", "starts"])
-
-    later = work.save(dealt.mapInArrow(compare, "doc bigint, text_hash bigint, starts binary"), "later")
+    # in an order of their own, so that a task that is run again makes the same buffers
+    named = joined.sortWithinPartitions("doc", "text_hash").mapInArrow(merge, _NAMED)
+    compared = work.save(named.repartition(parts, "part").mapInArrow(_compare, _NAMED).select("kind", "uid", "n", "packed"), "compared")
     work.release()
-    whole = marks.where(F.octet_length("pieces") > 0).select("doc", "text_hash", "pieces", F.lit(None).cast("binary").alias("starts"))
-    parts_of = whole.unionByName(later.select("doc", "text_hash", F.lit(None).cast("binary").alias("pieces"), "starts"))
+    kinds = "doc bigint, text_hash bigint, samples binary, pieces binary"
+    later = work.save(compared.groupBy("uid").applyInArrow(lambda key, table: _by_document(key, table), kinds), "later")
+    work.drop("compared")
+    none = F.lit(None).cast("binary")
+    whole = marks.where(F.octet_length("pieces") > 0).select("doc", "text_hash", "pieces", none.alias("starts"))
+    parts_of = whole.unionByName(later.select("doc", "text_hash", none.alias("pieces"), F.col("samples").alias("starts")))
     return parts_of.groupBy("doc", "text_hash").agg(F.collect_list("pieces").alias("pieces"), F.collect_list("starts").alias("starts"))
 
 
-_PLACES = pa.schema([("x", pa.int64()), ("y", pa.int64()), ("doc", pa.int64()), ("text_hash", pa.int64()), ("place", pa.int32()), ("later", pa.bool_())])
+def _candidate_buffers(batches, window: int, powers: Powers):
+    """(buffer, candidate places in it) of joined documents."""
+    rows, size = [], 0
+
+    def ready():
+        marks = {r[:2]: r[3:] for r in rows}
+        buffer = Batch([r[:3] for r in rows], window, powers)
+        stop = buffer.last + window
+        at = [
+            buffer.first[i] + _candidates(int(stop[i] - buffer.first[i]), *marks[int(buffer.ids[i]), int(buffer.text_hash[i])], window) for i in range(len(buffer.ids))
+        ]
+        return buffer, np.concatenate(at)
+
+    for b in batches:
+        columns = [b.column(i).to_pylist() for i in (0, 1, 3, 4)]
+        for doc, h, samples, pieces, text in zip(*columns, b.column(2).cast(pa.binary()).to_pylist(), strict=True):
+            rows.append((doc, h, text, samples, pieces))
+            size += len(text)
+            if size >= BATCH:
+                yield ready()
+                rows, size = [], 0
+    if rows:
+        yield ready()
+
+
+def _compare(batches):
+    """A partition of dealt-out strings of the window: marks all but the first of equal ones."""
+    rows = [r for b in batches for r in zip(*(c.to_pylist() for c in b.columns), strict=True)]
+    passed = [r for r in rows if r[1] in (0, 2)]
+    if passed:
+        yield _table(passed)
+    dealt = [r for r in rows if r[1] == 5]
+    if not dealt:
+        return
+    xs, ys, docs, ats, places, source = [], [], [], [], [], []
+    for i, (_, _, _, n, raw) in enumerate(dealt):
+        n_docs = int.from_bytes(raw[:4], "little")
+        doc, first, held = _split(raw[4:], n_docs, "<i8", "<u4", "<u4")
+        at = 4 + 16 * n_docs
+        x = np.zeros((n, 8), np.uint8)
+        x[:, :6] = np.frombuffer(raw, np.uint8, 6 * n, at).reshape(n, 6)
+        gaps = np.ascontiguousarray(np.frombuffer(raw, np.uint8, 4 * n, at + 10 * n).reshape(4, n).T).view("<u4").reshape(-1)
+        place = np.cumsum(gaps, dtype=np.int64)
+        xs.append(x.view("<u8").reshape(-1))
+        ys.append(np.frombuffer(raw, "<u4", n, at + 6 * n))
+        docs.append(np.repeat(doc, held))
+        ats.append(place - np.repeat(first.astype(np.int64), held))
+        places.append(place.astype(np.uint32))
+        source.append(np.full(n, i, np.int32))
+    x, y, doc, at, place, source = map(np.concatenate, (xs, ys, docs, ats, places, source))
+    later = _later(x, y, doc, at)
+    later = later[np.lexsort((place[later], source[later]))]
+    found = [_pack(2, 0, dealt[i][2], place[later[k]]) for i, k in _runs(source[later])]
+    if found:
+        yield _table(found)
 
 
 def removed_mask(size: int, pieces: list[bytes] | None, starts: list[bytes] | None, window: int) -> np.ndarray:
@@ -462,7 +511,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id"
             use = range(5 if keep_text else 4)
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array([r[i] for r in out], kinds[i]) for i in use)], [id_col, *(names[i] for i in use)])
 
-    bounded_batches(spark, 512)
+    bounded_batches(spark, 256)
     joined = rows.join(marked, ["doc", "text_hash"], "left").select("id", "text", "pieces", "starts")
     return joined.mapInArrow(cut, f"`{id_col}` {kind}, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + (", kept binary" if keep_text else ""))
 
@@ -496,7 +545,7 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id
                 columns[names.index("n_chars")] = pa.array([None if t is None else len(t) for t in out], pa.int64())
             yield pa.RecordBatch.from_arrays(columns, names)
 
-    bounded_batches(spark, 512)
+    bounded_batches(spark, 256)
     return joined.mapInArrow(cut, docs.schema)
 
 

@@ -1,7 +1,453 @@
-"""Experiment workloads without a SQL twin; tests hold them against numpy."""
+"""Experiment workloads without a SQL twin: each gives the rows of a curve or table. Tests hold them against numpy and the model."""
 
 from __future__ import annotations
 
+import uuid
+
+import numpy as np
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from ..functions import features as ft
+from ..functions import kernels, theory, udtf
+from ..functions import vectors as vx
+from ..operators import assign, baselines, metrics, reduce, represent, search
+from ..sources import tables
+from ..streaming import arrivals
+from .queries import D, members, pinv_index, planted, r6, stated, vectors
+
+OPENED = [1, 2, 5, 10, 20, 40]
+UNIT = 10
+
+
+# vector families ---------------------------------------------------------------------------------------------------------------
+
+
+def document_vectors(spark, sf, d: int = 256) -> DataFrame:
+    """Hashed words of documents, centred by language."""
+    docs = tables.load_table(spark, sf, "documents", ["doc_id", "text", "lang"])
+    return vx.center_vectors(ft.hash_vectors(docs, "doc_id", "text", d, keep=["lang"]), "lang", d=d).where("vec is not null").select("vec_id", "vec")
+
+
+def trigram_vectors(spark, sf) -> DataFrame:
+    """Hashed character trigrams of documents, not centred: a family of low intrinsic dimension."""
+    return ft.hash_vectors(tables.load_table(spark, sf, "documents", ["doc_id", "text"]), "doc_id", "text", 512, kind="char")
+
+
+def conversation_vectors(spark, sf) -> DataFrame:
+    turns = tables.load_table(spark, sf, "conversations").select((F.col("conv_id") * 100 + F.col("turn")).alias("id"), "text")
+    return vx.center_vectors(ft.hash_vectors(turns, "id", "text", 256), None, d=256).where("vec is not null")
+
+
+def page_vectors(spark, sf) -> DataFrame:
+    pages = tables.load_table(spark, sf, "pages", ["page_id", "html"]).select("page_id", ft.html_to_text(F.col("html")).alias("text"))
+    return ft.hash_vectors(pages, "page_id", "text", 256)
+
+
+def basket_vectors(spark, sf) -> DataFrame:
+    t = {n: tables.load_table(spark, sf, n) for n in ("lineitem", "orders", "part")}
+    return vx.center_vectors(ft.basket_vectors(t["lineitem"], t["orders"], t["part"], "o_custkey", 128), None, d=128).where("vec is not null")
+
+
+def profile_vectors(spark, sf) -> DataFrame:
+    return vx.center_vectors(ft.profile_vectors(tables.load_table(spark, sf, "events")), None, d=120).where("vec is not null")
+
+
+# curves --------------------------------------------------------------------------------------------------------------------------
+
+
+def curve_by_units(index: search.Index, queries: DataFrame, truth: DataFrame, n: int, opened: list[int] = OPENED) -> DataFrame:
+    """opened, ratio_mean, ratio_std, recall when a fixed number of best units is opened, all numbers from one probe."""
+    m = index.reps.count()
+    ranked = search.rank_units(search.probe(index.reps, queries), max(opened)).join(index.reps.select("unit_id", "n_members"), "unit_id")
+    match = truth.join(index.members.select("vec_id", "unit_id"), "vec_id").groupBy("query_id", "unit_id").agg(F.count("*").alias("n_match"))
+    k = F.explode(F.array(*[F.lit(x) for x in opened])).alias("opened")
+    rows = ranked.join(match, ["query_id", "unit_id"], "left").select("query_id", "unit_rank", "n_members", F.coalesce("n_match", F.lit(0)).alias("n_match"), k)
+    per = rows.where("unit_rank <= opened").groupBy("opened", "query_id").agg(((F.sum("n_members") + m) / n).alias("ratio"), F.sum("n_match").alias("found"))
+    every = truth.agg(F.count("*").alias("all"))
+    out = per.groupBy("opened").agg(F.avg("ratio").alias("ratio_mean"), F.stddev_pop("ratio").alias("ratio_std"), F.sum("found").alias("found"))
+    return out.crossJoin(F.broadcast(every)).select("opened", r6("ratio_mean").alias("ratio_mean"), r6("ratio_std").alias("ratio_std"), r6(F.col("found") / F.greatest("all", F.lit(1))).alias("recall"))
+
+
+def _truth(v: DataFrame, queries: DataFrame, alpha0: float) -> DataFrame:
+    return search.exhaustive_search(v, queries, alpha0=alpha0).where("query_id <> vec_id").select("query_id", "vec_id", "sim")
+
+
+def _tag(df: DataFrame, **columns) -> DataFrame:
+    for name, value in columns.items():
+        df = df.withColumn(name, F.lit(value))
+    return df
+
+
+def _union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+def index_of(v: DataFrame, method: str, n: int, d: int, seed: int = 0, unit: int = UNIT, batch: int | None = None) -> search.Index:
+    """An index by name: random, batch, full or minibatch assignment; sum or pinv; _norm for unit-norm centroids."""
+    how, _, rest = method.partition("-")
+    kind, normalize = rest.removesuffix("_norm") or "pinv", rest.endswith("_norm")
+    if how == "minibatch":
+        return baselines.minibatch_index(v, max(1, n // unit), max(1, n // 10), 40, seed)
+    if how == "ivf":
+        return baselines.ivf_index(v, max(1, n // unit), seed=seed)
+    if how == "random":
+        placed = assign.assign_random(v, unit, n, seed)
+    else:
+        placed = assign.batch_spherical_kmeans(v, batch or (max(1, n // 4) if how == "batch" else 1 << 30), unit, kind, normalize, seed, n=n)
+    placed = placed.select("vec_id", "vec", "unit_id").cache()
+    return search.build_index(placed, kind, d, normalize and how != "random")
+
+
+def _compare(v: DataFrame, d: int, methods: list[str], alpha0: float, seeds=(0,), opened=OPENED, **options) -> DataFrame:
+    v = v.cache()
+    n, queries = v.count(), ft.every_50th(v).cache()
+    truth = _truth(v, queries, alpha0).cache()
+    return _union([_tag(curve_by_units(index_of(v, m, n, d, s, **options), queries, truth, n, opened), method=m, seed=s) for m in methods for s in seeds])
+
+
+# representatives -------------------------------------------------------------------------------------------------------------
+
+
+def rep_pinv_degenerate(spark, sf):
+    """Units of documents that hold exact copies: their Gram matrices are singular, yet members keep product one."""
+    index = search.build_index(document_vectors(spark, sf).withColumn("unit_id", F.col("vec_id") % 20), "pinv", 256)
+    from ..functions.vectors import dot
+
+    off = index.members.join(index.reps, "unit_id").groupBy("unit_id").agg(F.max(F.abs(dot("vec", "rep") - 1)).alias("worst"), F.count("*").alias("n"))
+    return off.select("unit_id", "n", r6("worst").alias("worst"))
+
+
+def rep_ridge(spark, sf):
+    base = members(spark, sf)
+    parts = [_tag(represent.ridge_representatives(base, lam).select("unit_id", r6("rep_norm2").alias("rep_norm2")), lam=lam) for lam in (0.0, 0.1, 1.0, 10.0)]
+    return _union(parts)
+
+
+def rep_online(spark, sf):
+    return represent.online_representatives(members(spark, sf)).select("unit_id", "n_members", r6("rep_norm2").alias("rep_norm2"))
+
+
+def gram_spectrum(spark, sf):
+    """Eigenvalues of units' Gram matrices against the limit law: share in ten bins of its support."""
+    lo, hi = theory.mp_support(UNIT / D)
+    rows = represent.gram_eigenvalues(members(spark, sf))
+    total = rows.count()
+    b = F.floor((F.col("lambda") - lo) / (hi - lo) * 10).cast("int")
+    got = rows.groupBy(b.alias("bin")).agg((F.count("*") / total).alias("share"))
+    grid = [(i, sum(theory.mp_pdf(lo + (hi - lo) * (i + (j + 0.5) / 50) / 10, UNIT / D) for j in range(50)) / 50 * (hi - lo) / 10) for i in range(10)]
+    model = spark.createDataFrame(grid, "bin int, model double")
+    return model.join(got, "bin", "full").select("bin", r6("share").alias("share"), r6("model").alias("model"))
+
+
+# model -------------------------------------------------------------------------------------------------------------------------
+
+
+def mp_moments(spark, sf):
+    rows = [(c, *(round(theory.mp_moment(k, c), 6) for k in (0, 1, 2, -1)), round(1 / (1 - c), 6)) for c in (0.05, 0.1, 0.2, 0.5, 0.8)]
+    return spark.createDataFrame(rows, "c double, m0 double, m1 double, m2 double, m_inv double, norm2_pinv double")
+
+
+ETAS = [-1.0, *(round(i / 20, 2) for i in range(0, 20))]
+
+
+def _kl(spark, kind):
+    rows = [(e, *(round(x, 9) for x in r)) for e, *r in theory.kl_curve(kind, 512, 10, 0.5, ETAS)]
+    return spark.createDataFrame(rows, "eta double, e0 double, v0 double, e1 double, v1 double, kl double")
+
+
+def kl_sum(spark, sf):
+    return _kl(spark, "sum")
+
+
+def kl_pinv(spark, sf):
+    return _kl(spark, "pinv")
+
+
+def cap_simulation(spark, sf):
+    """Scores of simulated clustered units against the model: means and variances under both hypotheses, d = 128, n = 10."""
+    d, n, alpha, draws = 128, 10, 0.5, 400
+
+    def run(frames):
+        import pandas as pd
+
+        for f in frames:
+            rows = []
+            for eta, i in zip(f["eta"], f["i"], strict=True):
+                rng = np.random.default_rng([int(eta * 100) + 200, int(i)])
+                x = np.stack([ft.cap_point(rng, d, eta) for _ in range(n)])
+                z = rng.standard_normal(d)
+                z /= np.linalg.norm(z)
+                w = z - (z @ x[0]) * x[0]
+                y = alpha * x[0] + (1 - alpha**2) ** 0.5 * w / np.linalg.norm(w)
+                for kind in ("sum", "pinv"):
+                    m = kernels.representative(x, kind)
+                    rows.append((kind, eta, float(m @ z), float(m @ y)))
+            yield pd.DataFrame(rows, columns=["kind", "eta", "s0", "s1"])
+
+    grid = spark.range(0, draws, 1, 8).select(F.col("id").alias("i"), F.explode(F.array(*[F.lit(e) for e in (0.0, 0.3, 0.5, 0.7, 0.9)])).alias("eta"))
+    got = grid.mapInPandas(run, "kind string, eta double, s0 double, s1 double").groupBy("kind", "eta").agg(*[f(c).alias(f"{a}_{c}") for c in ("s0", "s1") for f, a in ((F.avg, "mean"), (F.var_pop, "var"))])
+    model = [(k, e, *theory.moments(k, n, d, alpha, e)) for k in ("sum", "pinv") for e in (0.0, 0.3, 0.5, 0.7, 0.9)]
+    return got.join(spark.createDataFrame(model, "kind string, eta double, e0 double, v0 double, e1 double, v1 double"), ["kind", "eta"])
+
+
+def cost_curve_cap(spark, sf):
+    """Expected cost against unit size for clustered units."""
+    rows = [(k, e, n, theory.expected_cost_ratio(k, n, 1000, 0.5, 0.01, e)) for k in ("sum", "pinv") for e in (0.0, 0.1, 0.2, 0.4) for n in (2, 5, 10, 20, 50, 100)]
+    return spark.createDataFrame([(*r[:3], round(r[3], 6)) for r in rows], "kind string, eta double, n int, cost_ratio double")
+
+
+def capacity(spark, sf):
+    rows = [(k, d, theory.capacity(k, d, 0.7, 0.01, 0.05)) for k in ("sum", "pinv") for d in (64, 128, 256, 512, 1000)]
+    return spark.createDataFrame(rows, "kind string, d int, n int")
+
+
+def plans(spark, sf):
+    rows = [(d, a, p.kind, p.unit_size, round(p.tau, 6), round(p.cost_ratio, 6)) for d in (64, 128, 512, 1000) for a in (0.5, 0.7, 0.9) for p in [search.auto_plan(d, a, 0.01)]]
+    return spark.createDataFrame(rows, "d int, alpha0 double, kind string, unit_size int, tau double, cost_ratio double")
+
+
+def roc_planted(spark, sf):
+    """Measured and modelled rates of random units for five similarities, both representatives."""
+    out = []
+    for kind, index in (("sum", search.build_index(members(spark, sf), "sum", D)), ("pinv", pinv_index(spark, sf))):
+        own = index.members.select(F.col("vec_id").alias("query_id"), F.col("unit_id").alias("own"))
+        for alpha in (0.5, 0.7, 0.9):
+            s = search.probe(index.reps, planted(spark, sf, alpha)).join(own, "query_id").select("score", (F.col("unit_id") == F.col("own")).alias("related"))
+            rates = metrics.error_rates(s, [0.21, 0.41, 0.61])
+            model = [(t, *theory.error_rates(kind, t, UNIT, D, alpha)) for t in (0.21, 0.41, 0.61)]
+            joined = rates.join(spark.createDataFrame(model, "tau double, pfp_model double, pfn_model double"), "tau")
+            out.append(_tag(joined, kind=kind, alpha=alpha))
+    return _union(out)
+
+
+# clustering and imbalance --------------------------------------------------------------------------------------------------------
+
+
+def _kmeans(spark, sf, rep, normalize):
+    out = assign.spherical_kmeans(vectors(spark, sf), 20, rep, normalize, "first", max_iter=4, d=D)
+    return metrics.imbalance(out, 20).select("n", "units", r6("delta").alias("delta"))
+
+
+def kmeans_pinv(spark, sf):
+    return _kmeans(spark, sf, "pinv", False)
+
+
+def kmeans_pinv_norm(spark, sf):
+    return _kmeans(spark, sf, "pinv", True)
+
+
+def batch_kmeans(spark, sf):
+    v = document_vectors(spark, sf).cache()
+    out = assign.batch_spherical_kmeans(v, 250, UNIT, "pinv", True)
+    return metrics.imbalance(out, by=["batch_id"]).select("batch_id", "n", "units", r6("delta").alias("delta"))
+
+
+def batch_kmeans_full(spark, sf):
+    v = document_vectors(spark, sf).cache()
+    return metrics.imbalance(assign.batch_spherical_kmeans(v, 1 << 30, UNIT, "pinv", True)).select("n", "units", r6("delta").alias("delta"))
+
+
+def imbalance_variants(spark, sf):
+    """Imbalance of the four centroid updates and of mini-batch k-means on three families."""
+    out = []
+    for family, v, d in (("documents", document_vectors(spark, sf), 256), ("conversations", conversation_vectors(spark, sf), 256), ("baskets", basket_vectors(spark, sf), 128)):
+        v = v.cache()
+        n = v.count()
+        for method in ("full-sum", "full-sum_norm", "full-pinv", "full-pinv_norm", "minibatch"):
+            index = index_of(v, method, n, d)
+            out.append(_tag(metrics.imbalance(index.members, max(1, n // UNIT)).select("n", "units", r6("delta").alias("delta")), family=family, method=method))
+    return _union(out)
+
+
+def random_and_clustered(spark, sf):
+    """Cost and recall of random and clustered units on documents, both representatives."""
+    return _compare(document_vectors(spark, sf), 256, ["random-sum", "random-pinv", "full-sum_norm", "full-pinv_norm"], 0.5)
+
+
+def unit_sizes(spark, sf):
+    v = document_vectors(spark, sf).cache()
+    return _union([_tag(_compare(v, 256, ["random-pinv", "full-pinv_norm"], 0.5, unit=n), n=n) for n in (5, 20)])
+
+
+def low_dimension(spark, sf):
+    """Measured against expected cost where intrinsic dimension is low: trigrams against uniform vectors."""
+    out = []
+    for family, v, d in (("trigrams", trigram_vectors(spark, sf), 512), ("embeddings", vectors(spark, sf), D)):
+        v = v.cache()
+        base, unrelated = ft.holdout(v, 50)
+        n = base.count()
+        index = search.build_index(assign.assign_random(base, UNIT, n).cache(), "sum", d)
+        tau = theory.threshold("sum", UNIT, d, 0.7, 0.05)
+        costs = metrics.complexity_ratio(metrics.query_cost(search.probe(index.reps, unrelated, tau), index.reps, unrelated), n)
+        row = costs.agg(F.avg("ratio")).first()[0]
+        out.append((family, d, round(reduce.effective_dimension(v), 4), round(row, 6), round(theory.expected_cost_ratio("sum", UNIT, d, 0.7, 0.05), 6)))
+    return spark.createDataFrame(out, "family string, d int, effective_d double, ratio double, ratio_model double")
+
+
+def cost_spread(spark, sf):
+    """Spread of cost over queries when a fixed number of units is opened: plain sum, pinv, mini-batch."""
+    return _compare(document_vectors(spark, sf), 256, ["full-sum", "full-pinv", "minibatch"], 0.5, opened=[4])
+
+
+def batch_assignment(spark, sf):
+    """Random, batch and full clustering, over seeds."""
+    curves = _compare(document_vectors(spark, sf), 256, ["random-pinv", "batch-pinv_norm", "full-pinv_norm"], 0.5, seeds=(0, 1, 2), opened=[1, 5])
+    return curves.groupBy("method", "opened").agg(r6(F.avg("ratio_mean")).alias("ratio"), r6(F.avg("recall")).alias("recall"), r6(F.stddev_pop("recall")).alias("recall_sd"))
+
+
+def minibatch_comparison(spark, sf):
+    return _compare(document_vectors(spark, sf), 256, ["batch-pinv_norm", "batch-sum_norm", "minibatch"], 0.5, batch=250)
+
+
+def large_protocol(spark, sf):
+    """Queries with one to a thousand matches only; three kinds of index, recall against cost."""
+    v = document_vectors(spark, sf).cache()
+    n, queries = v.count(), ft.every_50th(v).cache()
+    truth = _truth(v, queries, 0.5).cache()
+    kept = metrics.filter_queries(truth, 1, 1000).select("query_id")
+    queries, truth = queries.join(kept, "query_id", "left_semi").cache(), truth.join(kept, "query_id", "left_semi").cache()
+    return _union([_tag(curve_by_units(index_of(v, m, n, 256, batch=500), queries, truth, n), method=m) for m in ("random-pinv", "batch-sum_norm", "batch-pinv_norm")])
+
+
+def distractors(spark, sf):
+    """Recall of document queries as pages join the database."""
+    docs, pages = ft.hash_vectors(tables.load_table(spark, sf, "documents", ["doc_id", "text"]), "doc_id", "text", 256), page_vectors(spark, sf)
+    both = docs.unionByName(pages.select((-F.col("vec_id") - 1).alias("vec_id"), "vec"))
+    out = []
+    for name, v in (("documents", docs), ("documents+pages", both)):
+        v = vx.center_vectors(v, None, d=256).where("vec is not null").cache()
+        n, queries = v.count(), ft.every_50th(v.where("vec_id >= 0")).cache()
+        truth = _truth(v, queries, 0.8).cache()
+        out.append(_tag(curve_by_units(index_of(v, "batch-pinv_norm", n, 256), queries, truth, n), database=name, n=n))
+    return _union(out)
+
+
+def passages(spark, sf):
+    """Benchmark items as queries: mean average precision of documents that contain them, exhaustive and through units."""
+    docs = tables.load_table(spark, sf, "documents", ["doc_id", "text"])
+    items = tables.load_table(spark, sf, "benchmark", ["item_id", "text"])
+    v = ft.hash_vectors(docs, "doc_id", "text", 256).cache()
+    q = ft.hash_vectors(items, "item_id", "text", 256).select(F.col("vec_id").alias("query_id"), F.col("vec").alias("qvec")).cache()
+    truth = docs.join(F.broadcast(items.withColumnRenamed("text", "passage")), F.contains("text", "passage")).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("vec_id")).cache()
+    n = v.count()
+    index = index_of(v, "batch-pinv_norm", n, 256)
+    out = [_tag(metrics.mean_average_precision(search.exhaustive_search(v, q), truth), method="exhaustive")]
+    out.append(_tag(metrics.mean_average_precision(search.search(index, q, top_units=max(5, n // 50)), truth), method="units"))
+    return _union(out).select("method", r6("map").alias("map"), "queries")
+
+
+# reduction and codes -----------------------------------------------------------------------------------------------------------
+
+
+def pca_variance(spark, sf):
+    model = reduce.fit_pca(document_vectors(spark, sf).cache(), 64)
+    share = np.cumsum(model.variance) / model.variance.sum()
+    rows = [(i + 1, round(float(model.variance[i]), 6), round(float(share[i]), 6)) for i in range(64)]
+    return spark.createDataFrame(rows, "component int, variance double, share double")
+
+
+def pca_search(spark, sf):
+    """Search on reduced vectors, held against matches of the full ones."""
+    v = document_vectors(spark, sf).cache()
+    low = reduce.apply_pca(reduce.fit_pca(v, 64), v).cache()
+    n, queries = v.count(), ft.every_50th(v).cache()
+    truth = _truth(v, queries, 0.7).cache()
+    asked = ft.every_50th(low).cache()
+    full = _tag(curve_by_units(index_of(v, "batch-pinv_norm", n, 256), queries, truth, n), d=256)
+    return full.unionByName(_tag(curve_by_units(index_of(low, "batch-pinv_norm", n, 64), asked, truth, n), d=64))
+
+
+def other_features(spark, sf):
+    return _compare(trigram_vectors(spark, sf), 512, ["random-pinv", "batch-pinv_norm"], 0.98)
+
+
+# baselines ---------------------------------------------------------------------------------------------------------------------
+
+
+def baseline_forest(spark, sf):
+    """A tuned forest of k-d trees: every grid point with its precision and the share of vectors it compares."""
+    v, q = vectors(spark, sf).cache(), stated(spark, sf, 0.7).cache()
+    n = v.count()
+    tuned = baselines.tune_forest(v, q, search.exhaustive_search(v, q, k=1).cache(), n)
+    return spark.createDataFrame([(i, t.trees, t.checks, round(t.precision, 6), round(t.ratio, 6), round(t.cost, 6)) for i, t in enumerate(tuned)], "place int, trees int, checks int, precision double, ratio double, cost double")
+
+
+def baseline_mbk(spark, sf):
+    return _compare(document_vectors(spark, sf), 256, ["minibatch"], 0.5)
+
+
+def baseline_ivf(spark, sf):
+    return _compare(document_vectors(spark, sf), 256, ["ivf"], 0.5)
+
+
+def baseline_lsh(spark, sf):
+    v, q = vectors(spark, sf), stated(spark, sf)
+    return metrics.precision_recall(baselines.lsh_search(v, q, 0.8), search.exhaustive_search(v, q, alpha0=0.8))
+
+
+def two_level(spark, sf):
+    """Representatives of representatives: how many products a probe of both levels needs against one."""
+    index = pinv_index(spark, sf)
+    top, grouped = search.build_two_level(index, 5, D)
+    queries = stated(spark, sf)
+    opened = search.probe(top, queries, 0.1).join(top.select("unit_id", "n_members"), "unit_id")
+    cost = opened.groupBy("query_id").agg(F.sum("n_members").alias("second"))
+    m, t = index.reps.count(), top.count()
+    return queries.select("query_id").join(cost, "query_id", "left").select("query_id", (F.coalesce("second", F.lit(0)) + t).alias("ops"), F.lit(m).alias("one_level"))
+
+
+# streams -----------------------------------------------------------------------------------------------------------------------
+
+
+def streaming_sizes(spark, sf):
+    """Units of consecutive arrivals, from 10 to 500 members: cost and recall of both representatives."""
+    v = vectors(spark, sf).cache()
+    n, queries = v.count(), stated(spark, sf, 0.8).cache()
+    truth = queries.select("query_id", F.col("query_id").alias("vec_id"))
+    out = []
+    for size in (10, 20, 50, 100, 500):
+        placed = assign.assign_arrival(v.withColumn("ts", F.col("vec_id")), size, 1, ("ts", "vec_id")).select("vec_id", "vec", "unit_id").cache()
+        for kind in ("sum", "pinv"):
+            index = search.build_index(placed, kind, D)
+            tau = theory.threshold("sum", size, D, 0.8, 0.05) if kind == "sum" or size >= D else theory.threshold("pinv", size, D, 0.8, 0.05)
+            scores = search.probe(index.reps, queries)
+            curve = metrics.quality_cost_curve(scores, index.reps, index.members, truth, queries, n, [tau])
+            out.append(_tag(curve.select(r6("ratio_mean").alias("ratio"), r6("recall").alias("recall")), n=size, kind=kind))
+    return _union(out)
+
+
+def stream_units(spark, sf):
+    """Events bring vectors as a stream; lanes fill units; all that is available is processed, sealed units are the result."""
+    v = vectors(spark, sf)
+    base = f"{tables.shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    arrivals.arrivals_of(tables.load_table(spark, sf, "events"), v, v.count()).select(
+        "event_id", F.col("ts").cast("timestamp").alias("ts"), "vec_id", "vec"
+    ).repartition(4).write.mode("overwrite").parquet(f"{base}/in")
+    stream = arrivals.read_arrivals(spark, f"{base}/in", files=2)
+    sealed = arrivals.fill_units(stream, 20, lanes=4)
+    run = sealed.writeStream.format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
+    run.awaitTermination()
+    out = spark.read.schema(arrivals.SEALED).parquet(f"{base}/out")
+    return out.select("unit_id", "lane", "n_members", r6("rep_norm2").alias("rep_norm2"))
+
+
+def sql_surface(spark, sf):
+    """Aggregates and the table function from SQL."""
+    index = search.build_index(members(spark, sf), "pinv", D)
+    udtf.register(spark, index.members.select("vec_id", "vec", "unit_id"), index.reps, 0.5)
+    stated(spark, sf).createOrReplaceTempView("groupsearch_asked")
+    return spark.sql("SELECT q.query_id, s.vec_id, round(s.sim, 6) AS sim FROM groupsearch_asked q, LATERAL group_search(q.qvec, 5) s")
+
+
+NAMES = """rep_pinv_degenerate rep_ridge rep_online gram_spectrum mp_moments kl_sum kl_pinv cap_simulation cost_curve_cap capacity plans
+roc_planted kmeans_pinv kmeans_pinv_norm batch_kmeans batch_kmeans_full imbalance_variants random_and_clustered unit_sizes low_dimension
+cost_spread batch_assignment minibatch_comparison large_protocol distractors passages pca_variance pca_search other_features
+baseline_forest baseline_mbk baseline_ivf baseline_lsh two_level streaming_sizes stream_units sql_surface""".split()
+
 
 def queries() -> dict:
-    return {}
+    return {n: globals()[n] for n in NAMES}

@@ -5,23 +5,24 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from . import kernels, theory
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def pinv_rep(vectors: pd.Series) -> list[float]:
     """Aggregate: the minimum-norm representative of a group's vectors."""
     return kernels.pinv_rep(np.stack(vectors.to_list())).tolist()
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def sum_rep(vectors: pd.Series) -> list[float]:
     return np.stack(vectors.to_list()).sum(0).tolist()
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def phi(x: pd.Series) -> pd.Series:
     return x.map(theory.phi)
 

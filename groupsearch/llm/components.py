@@ -22,7 +22,7 @@ def _small(edges: DataFrame) -> DataFrame:
 
 
 def connected_components(edges: DataFrame, work: Workspace, most: int = 60) -> DataFrame:
-    """node, root for every node of edges (bigint columns u, v; loops and repeats allowed); the root is the smallest node reachable.
+    """node, root for every node of edges (bigint columns u, v; loops and repeats allowed) but the roots: the smallest nodes reachable.
 
     Each round is written to the shared folder, so plans stay short and lost executors cost one round at most. Rounds grow with
     the logarithm of the longest path. Both steps reduce to minima by key, combined before they are shuffled.

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..functions import features as ft
 from ..functions import kernels, theory, udtf
 from ..functions import vectors as vx
-from ..operators import assign, baselines, metrics, reduce, represent, search
+from ..operators import assign, baselines, codes, metrics, reduce, represent, search
 from ..sources import tables
 from ..streaming import arrivals
 from .queries import D, members, pinv_index, planted, r6, stated, vectors
@@ -340,6 +340,44 @@ def passages(spark, sf):
     return _union(out).select("method", r6("map").alias("map"), "queries")
 
 
+def match_by_rank_families(spark, sf):
+    """Chance that the unit of a rank holds a match, and mean matches if it does: three families, random and clustered units."""
+    out = []
+    families = (("documents", document_vectors(spark, sf), 256, 0.5), ("conversations", conversation_vectors(spark, sf), 256, 0.4), ("profiles", profile_vectors(spark, sf), 120, 0.3))
+    for family, v, d, alpha0 in families:
+        v = v.cache()
+        n, queries = v.count(), v.select(F.col("vec_id").alias("query_id"), F.col("vec").alias("qvec")).where(F.pmod("vec_id", F.lit(50)) == 0).cache()
+        truth = _truth(v, queries, alpha0).cache()
+        for method in ("random-pinv", "full-sum_norm", "full-pinv_norm"):
+            index = index_of(v, method, n, d)
+            m = metrics.unit_matches(search.rank_units(search.probe(index.reps, queries), 10), index.members, truth).cache()
+            rows = metrics.match_probability_by_rank(m).join(metrics.matches_given_positive_by_rank(m), "unit_rank", "left")
+            out.append(_tag(rows.select("unit_rank", r6("p_match").alias("p_match"), r6("avg_matches").alias("avg_matches")), family=family, method=method))
+    return _union(out)
+
+
+def same_conversation(spark, sf):
+    """Turns as queries: how many of the four best other turns belong to the same conversation, exhaustive and through units."""
+    v = conversation_vectors(spark, sf).cache()
+    n, queries = v.count(), ft.every_50th(v).cache()
+    truth = v.select("vec_id", F.floor(F.col("vec_id") / 100).alias("conv")).join(queries.select("query_id", F.floor(F.col("query_id") / 100).alias("conv")), "conv").where("query_id <> vec_id").select("query_id", "vec_id")
+    index = index_of(v, "batch-pinv_norm", n, 256)
+    out = []
+    for method, hits in (("exhaustive", search.exhaustive_search(v, queries, k=20)), ("units", search.search(index, queries, top_units=max(3, n // 50)))):
+        ranked = search.rank_hits(hits.where("query_id <> vec_id").drop("hit_rank"))
+        out.append(_tag(metrics.mean_correct_at(ranked, truth, queries, 4), method=method))
+    return _union(out)
+
+
+def vector_normalisation(spark, sf):
+    """Signed powers before indexing: means of both representatives' squared norms draw together as vectors get more orthogonal."""
+    out = []
+    for name, v in (("plain", trigram_vectors(spark, sf)), ("power", vx.power_normalize(trigram_vectors(spark, sf), 0.5))):
+        diag = represent.unit_diagnostics(v.withColumn("unit_id", F.pmod("vec_id", F.lit(100))))
+        out.append(_tag(diag.agg(r6(F.avg("norm2_sum")).alias("norm2_sum"), r6(F.avg("norm2_pinv")).alias("norm2_pinv"), r6(F.avg("lambda_max")).alias("lambda_max")), vectors=name))
+    return _union(out)
+
+
 # reduction and codes -----------------------------------------------------------------------------------------------------------
 
 
@@ -361,6 +399,24 @@ def pca_search(spark, sf):
     return full.unionByName(_tag(curve_by_units(index_of(low, "batch-pinv_norm", n, 64), asked, truth, n), d=64))
 
 
+def sign_documents(spark, sf):
+    """Sign codes of reduced document vectors: recall of matches, symmetric and asymmetric, both representatives."""
+    v = document_vectors(spark, sf).cache()
+    low = reduce.apply_pca(reduce.fit_pca(v, 64), v).cache()
+    n = low.count()
+    queries = ft.every_50th(low).cache()
+    truth = _truth(low, queries, 0.8).cache()
+    placed = assign.assign_random(low, UNIT, n).cache()
+    out = []
+    for kind in ("sum", "pinv"):
+        index = codes.sign_index(placed, kind, 64)
+        for symmetric in (False, True):
+            hits = codes.search_signs(index, queries, 0.25, symmetric)
+            got = metrics.precision_recall(hits, truth).select("n_hits", "n_truth", "n_correct", r6("recall").alias("recall"))
+            out.append(_tag(got, kind=kind, symmetric=symmetric))
+    return _union(out)
+
+
 def other_features(spark, sf):
     return _compare(trigram_vectors(spark, sf), 512, ["random-pinv", "batch-pinv_norm"], 0.98)
 
@@ -445,7 +501,8 @@ def sql_surface(spark, sf):
 
 NAMES = """rep_pinv_degenerate rep_ridge rep_online gram_spectrum mp_moments kl_sum kl_pinv cap_simulation cost_curve_cap capacity plans
 roc_planted kmeans_pinv kmeans_pinv_norm batch_kmeans batch_kmeans_full imbalance_variants random_and_clustered unit_sizes low_dimension
-cost_spread batch_assignment minibatch_comparison large_protocol distractors passages pca_variance pca_search other_features
+cost_spread batch_assignment minibatch_comparison large_protocol distractors passages match_by_rank_families
+same_conversation vector_normalisation sign_documents pca_variance pca_search other_features
 baseline_forest baseline_mbk baseline_ivf baseline_lsh two_level streaming_sizes stream_units sql_surface""".split()
 
 

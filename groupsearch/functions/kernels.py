@@ -152,3 +152,11 @@ def top_k_rows(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
         order = np.lexsort((ids[part], -sub), axis=1)[:, :k]
         return np.take_along_axis(part, order, 1)
     return np.lexsort((np.broadcast_to(ids, scores.shape), -scores), axis=1)[:, :k]
+
+
+def hamming_distances(words: np.ndarray, code: np.ndarray) -> np.ndarray:
+    """Differing bits of a code and many, whose 64-bit words lie word by word (words x codes): one pass over contiguous memory each."""
+    out = np.zeros(words.shape[1], np.uint16)
+    for row, c in zip(words, code, strict=True):
+        out += np.bitwise_count(row ^ c)
+    return out

@@ -86,3 +86,9 @@ def test_top_k_rows_breaks_ties_by_id():
     assert k.top_k_rows(s, np.array([9, 8, 7, 6, 5, 4]), 2).tolist() == [[4, 2]]
     wide = np.zeros((2, 50))
     assert k.top_k_rows(wide, np.arange(50)[::-1], 3).tolist() == [[49, 48, 47]] * 2
+
+
+def test_hamming_distances():
+    bits = np.random.default_rng(2).integers(0, 2, (30, 128)).astype(bool)
+    words = np.ascontiguousarray(np.packbits(bits, axis=1).view(np.uint64).T)
+    assert (k.hamming_distances(words, words[:, 3]) == (bits != bits[3]).sum(1)).all()

@@ -17,7 +17,7 @@ import regex
 import re
 from pyspark.sql import DataFrame
 
-from .common import bounded_batches
+from .common import bounded_batches, tidy
 
 #: The white space of the pre-tokenizer's pattern, and the pattern of byte-level BPE.
 SPACE = "\t-\r \x85\xa0  -     　"
@@ -107,7 +107,7 @@ def merge_symbols(symbols: list[int], merges: dict[tuple[int, int], tuple[int, i
 class ByteBPE:
     """Encoder and decoder for a byte-level vocabulary file of the tokenizers library (special tokens in a text count as such)."""
 
-    def __init__(self, path: str, cache: int = 400_000):
+    def __init__(self, path: str, cache: int = 300_000):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         vocab = spec["model"]["vocab"]
@@ -163,7 +163,7 @@ class ByteBPE:
             if ids is None:
                 ids = self.chunk(chunk)
                 if len(chunk) < 64:
-                    if len(known) >= self.cache:
+                    if len(known) >= self.cache // 2:
                         known.clear()
                     known[chunk] = ids
             out.append(ids)
@@ -191,6 +191,7 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
     kind = dict(docs.dtypes)[id_col]
     extra = ", ids binary, decoded string" if keep_ids else ""
 
+    @tidy
     def run(batches):
         bpe = codec(path)
         for batch in batches:

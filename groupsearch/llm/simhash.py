@@ -15,7 +15,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, bounded_batches
+from .common import Workspace, bounded_batches, tidy
 from .components import connected_components
 
 #: Differing bits that still link, segments on the ring, distinct fingerprints of a key that are compared pair by pair.
@@ -54,6 +54,7 @@ def fingerprints(docs: DataFrame, words: int = 3, id_col: str = "doc_id", text_c
     """doc_id, fp (signed) of every row; a null text counts as empty. A map over rows, no shuffle."""
     bounded_batches(docs.sparkSession)
 
+    @tidy
     def run(batches):
         for b in batches:
             texts = b.column(1).cast(pa.binary()).to_pylist()
@@ -191,6 +192,7 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, similarity: float = NE
     bounded_batches(spark)
     work = Workspace(spark, "near-copies")
 
+    @tidy
     def run(batches):
         for b in batches:
             fps, keys, sketches = [], [], []
@@ -214,6 +216,7 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, similarity: float = NE
     keyed = rows.select("doc_id", F.explode("keys").alias("key"))
     kinds = "u bigint, v bigint"
 
+    @tidy
     def verify(batches):
         for b in batches:
             u, v, x, y = (c.to_pylist() for c in b.columns)

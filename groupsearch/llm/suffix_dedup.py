@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, bounded_batches
+from .common import Workspace, bounded_batches, tidy
 
 WINDOW = 100
 #: Perfect difference sets, every residue but zero is a difference of two of them exactly once.
@@ -266,6 +266,7 @@ def _split(raw: bytes, n: int, *kinds: str) -> list[np.ndarray]:
     return out
 
 
+@tidy
 def _meet(batches):
     """A partition of dealt-out rows: marks the samples whose name lies at two places, and the pieces that are not the first."""
     rows = [r for b in batches for r in zip(*(c.to_pylist() for c in b.columns), strict=True)]
@@ -377,12 +378,14 @@ def repeated_starts(docs: DataFrame, window: int = WINDOW, work: Workspace | Non
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-total // PART_BYTES))
 
+    @tidy
     def name(batches):
         powers = Powers()
         for buffer in _buffers(batches, window, powers):
             rows = buffer.named(window, parts)
             for i in range(0, len(rows), 64):
                 yield _table(rows[i : i + 64])
+            del buffer, rows
 
     dealt = docs.mapInArrow(name, _NAMED).repartition(parts, "part")
     met = work.save(dealt.mapInArrow(_meet, _NAMED).select("kind", "uid", "n", "packed"), "met")
@@ -391,10 +394,12 @@ def repeated_starts(docs: DataFrame, window: int = WINDOW, work: Workspace | Non
     marks = work.save(met.groupBy("uid").applyInArrow(lambda key, table: _by_document(key, table), kinds), "marks")
     work.drop("met")
 
+    @tidy
     def merge(batches):
         powers = Powers()
         for buffer, at in _candidate_buffers(batches, window, powers):
             yield _table(buffer.merged(at, window, parts))
+            del buffer, at
 
     sampled = marks.where(F.octet_length("samples") > 0)
     joined = docs.join(sampled, ["doc", "text_hash"]).select("doc", "text_hash", "text", "samples", "pieces")
@@ -436,6 +441,7 @@ def _candidate_buffers(batches, window: int, powers: Powers):
         yield ready()
 
 
+@tidy
 def _compare(batches):
     """A partition of dealt-out strings of the window: marks all but the first of equal ones."""
     rows = [r for b in batches for r in zip(*(c.to_pylist() for c in b.columns), strict=True)]
@@ -498,6 +504,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id"
     rows = docs.select(F.coalesce(F.col(id_col).cast("bigint"), F.lit(_LAST)).alias("doc"), F.xxhash64(text_col).alias("text_hash"), F.col(text_col).cast("string").alias("text"), F.col(id_col).alias("id"))
     marked = repeated_starts(rows.select("doc", "text_hash", "text"), window, work)
 
+    @tidy
     def cut(batches):
         for b in batches:
             out = []
@@ -529,6 +536,7 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id
     joined = keyed.join(marked, ["__doc", "__hash"], "left").select(*docs.columns, "__pieces", "__starts")
     names = docs.columns
 
+    @tidy
     def cut(batches):
         for b in batches:
             out = []

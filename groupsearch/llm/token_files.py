@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import SPACE
-from .common import Workspace, bounded_batches
+from .common import Workspace, bounded_batches, tidy
 
 MAGIC = b"GSTK\x01\x00\x00\x00"
 HEAD = struct.Struct("<8s5q")
@@ -199,6 +199,7 @@ def write_token_files(
     ordered = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null")
     ordered = ordered.repartitionByRange("doc_id").sortWithinPartitions("doc_id")
 
+    @tidy
     def encode(batches):
         from pyspark import TaskContext
 
@@ -213,6 +214,7 @@ def write_token_files(
     def whole(raw: bytes) -> np.ndarray:
         return np.frombuffer(raw, "<u4", offset=1) if len(raw) % 2 else np.frombuffer(raw, "<u2").astype("<u4")
 
+    @tidy
     def count(batches):
         total = np.zeros(1, np.int64)
         for b in batches:
@@ -228,6 +230,7 @@ def write_token_files(
     by_rank = np.array([r.id for r in sorted(counts, key=lambda r: (-r.n, r.id))], np.int64)
     table = spark.sparkContext.broadcast(by_rank)
 
+    @tidy
     def write(batches):
         ranks = table.value
         rank_of = np.zeros(int(ranks.max(initial=0)) + 1, np.uint32)
@@ -273,6 +276,7 @@ def read_token_files(manifest: DataFrame, keep_ids: bool = False) -> DataFrame:
     spark = manifest.sparkSession
     extra = ", ids array<bigint>" if keep_ids else ""
 
+    @tidy
     def read(batches):
         for b in batches:
             for path, base in zip(*(c.to_pylist() for c in b.columns), strict=True):

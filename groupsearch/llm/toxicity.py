@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, bounded_batches
+from .common import Workspace, bounded_batches, tidy
 
 #: Documented bounds: labelled rows the model is fitted on, voters, words looked up by a worker, least support of a voter.
 FIT_ROWS, VOTERS, MEMO, SUPPORT = 20_000, 400, 300_000, 4
@@ -202,14 +202,14 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, voters: in
                 )
 
     kinds = "pattern string, toxic int, n bigint"
-    held = rows.mapInArrow(count, kinds).groupBy("pattern", "toxic").agg(F.sum("n").alias("n")).where("toxic = 1").where((F.col("n") >= SUPPORT) | (F.col("pattern") == ""))
+    held = rows.mapInArrow(tidy(count), kinds).groupBy("pattern", "toxic").agg(F.sum("n").alias("n")).where("toxic = 1").where((F.col("n") >= SUPPORT) | (F.col("pattern") == ""))
     top = held.orderBy(F.col("pattern") != "", F.desc("n"), "pattern").limit(60_000).collect()
     pos = Counter({r.pattern: r.n for r in top})
     n_pos = pos.pop("", 0)
     if not pos:
         return None
     only = spark.sparkContext.broadcast(set(pos))
-    counted = rows.mapInArrow(lambda batches: count(batches, only.value), kinds).where("toxic = 0").groupBy("pattern").agg(F.sum("n").alias("n")).collect()
+    counted = rows.mapInArrow(tidy(lambda batches: count(batches, only.value)), kinds).where("toxic = 0").groupBy("pattern").agg(F.sum("n").alias("n")).collect()
     neg = Counter({r.pattern: r.n for r in counted})
     n_neg = neg.pop("", 0)
     ranked = _candidates(pos, neg, n_pos, n_neg)
@@ -250,6 +250,7 @@ class Voting:
 
 
 def votes_of(docs: DataFrame, voters: list[str], keep: str) -> DataFrame:
+    @tidy
     def run(batches):
         vote = Voting(voters)
         for b in batches:
@@ -268,6 +269,7 @@ def score_documents(docs: DataFrame, model: ToxicityModel | None, threshold: flo
     bounded_batches(docs.sparkSession)
     kind = dict(docs.dtypes)["doc_id"]
 
+    @tidy
     def run(batches):
         vote = Voting(model.voters if model else [])
         for b in batches:
@@ -287,6 +289,7 @@ def keep_clean(docs: DataFrame, model: ToxicityModel | None, threshold: float =
         return docs
     bounded_batches(docs.sparkSession)
 
+    @tidy
     def run(batches):
         vote = Voting(model.voters)
         for b in batches:

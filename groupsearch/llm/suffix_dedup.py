@@ -387,7 +387,7 @@ def repeated_starts(docs: DataFrame, window: int = WINDOW, work: Workspace | Non
                 yield _table(rows[i : i + 64])
             del buffer, rows
 
-    dealt = docs.mapInArrow(name, _NAMED).repartition(parts, "part")
+    dealt = docs.mapInArrow(name, _NAMED).repartitionById(parts, "part")
     met = work.save(dealt.mapInArrow(_meet, _NAMED).select("kind", "uid", "n", "packed"), "met")
     work.release()
     kinds = "doc bigint, text_hash bigint, samples binary, pieces binary"
@@ -405,7 +405,7 @@ def repeated_starts(docs: DataFrame, window: int = WINDOW, work: Workspace | Non
     joined = docs.join(sampled, ["doc", "text_hash"]).select("doc", "text_hash", "text", "samples", "pieces")
     # in an order of their own, so that a task that is run again makes the same buffers
     named = joined.sortWithinPartitions("doc", "text_hash").mapInArrow(merge, _NAMED)
-    compared = work.save(named.repartition(parts, "part").mapInArrow(_compare, _NAMED).select("kind", "uid", "n", "packed"), "compared")
+    compared = work.save(named.repartitionById(parts, "part").mapInArrow(_compare, _NAMED).select("kind", "uid", "n", "packed"), "compared")
     work.release()
     kinds = "doc bigint, text_hash bigint, samples binary, pieces binary"
     later = work.save(compared.groupBy("uid").applyInArrow(lambda key, table: _by_document(key, table), kinds), "later")

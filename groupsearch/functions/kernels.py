@@ -99,8 +99,8 @@ def best_units(v: np.ndarray, centroids: np.ndarray, block: int = 4096) -> np.nd
 def spherical_lloyd(v: np.ndarray, units: int, kind: str, normalize: bool, seed: int, max_iter: int = 12, empty: str = "drop", start: np.ndarray | None = None):
     """(unit of each row, representatives by unit) of spherical k-means whose update is the representative of the kind.
 
-    Starts from rows drawn by the seed. Stops when no row moves. An empty unit keeps no representative ("drop": it never wins
-    again) or takes the row that fits its own unit worst ("reseed").
+    Starts from rows drawn by the seed. Stops when no row moves. An empty unit goes ("drop", the others are numbered anew) or takes
+    the row that fits its own unit worst ("reseed").
     """
     units = min(units, len(v))
     if start is None:
@@ -109,7 +109,7 @@ def spherical_lloyd(v: np.ndarray, units: int, kind: str, normalize: bool, seed:
     own = np.full(len(v), -1)
     for _ in range(max_iter):
         new = best_units(v, reps)
-        if (new == own).all():
+        if len(own) and (new == own).all():
             break
         own = new
         members = np.split(np.argsort(own, kind="stable"), np.cumsum(np.bincount(own, minlength=len(reps)))[:-1])
@@ -122,8 +122,9 @@ def spherical_lloyd(v: np.ndarray, units: int, kind: str, normalize: bool, seed:
                 worst = int(np.argmin(fit))
                 fit[worst] = np.inf
                 reps[j] = v[worst]
-            else:
-                reps[j] = 0.0
+        if empty == "drop":
+            held = np.array([len(rows) > 0 for rows in members], bool)
+            reps, own = reps[held], (np.cumsum(held) - 1)[own]
     return own, reps
 
 

@@ -9,7 +9,10 @@ from __future__ import annotations
 
 import hashlib
 import json
+import sys
+from array import array
 from functools import lru_cache
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -21,10 +24,12 @@ from .common import bounded_batches, tidy
 
 #: The white space of the pre-tokenizer's pattern, and the pattern of byte-level BPE.
 SPACE = "\t-\r \x85\xa0  -     　"
-WORDS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+"
+WORDS = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{SPACE}\p{{L}}\p{{N}}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+"
 
-_CHUNKS = re.compile(f" ?[^{SPACE}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+")
 _WORDS = regex.compile(WORDS)
+#: The same for texts whose characters all lie below U+0250 and are no fractions or superscripts: there Python's own classes agree.
+_LATIN = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^{SPACE}\w]|_)+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+")
+_OTHER = re.compile("[²³¹¼½¾]|[^\x00-\u024f]")
 _NONE = 1 << 62
 
 
@@ -35,8 +40,11 @@ def byte_alphabet() -> list[str]:
     return [chr(b) if b in plain else chr(next(spare)) for b in range(256)]
 
 
-def merge_symbols(symbols: list[int], merges: dict[tuple[int, int], tuple[int, int]]) -> list[int]:
-    """Applies merges, the lowest rank first and the leftmost of equal ranks, until none fits. merges: pair to (rank, symbol)."""
+def merge_symbols(symbols: list[int], ranks: dict[tuple[int, int], int], merged: list[int]) -> list[int]:
+    """Applies merges, the lowest rank first and the leftmost of equal ranks, until none fits.
+
+    ranks: pair of symbols to the rank of its merge; merged: the symbol that the merge of each rank makes.
+    """
     n = len(symbols)
     if n < 2:
         return symbols
@@ -44,58 +52,53 @@ def merge_symbols(symbols: list[int], merges: dict[tuple[int, int], tuple[int, i
     shift = size.bit_length() - 1
     mask = size - 1
     tree = [_NONE] * (2 * size)
-    made = [0] * n
-    get = merges.get
-    for i in range(n - 1):
-        found = get((symbols[i], symbols[i + 1]))
-        if found is not None:
-            tree[size + i] = found[0] << shift | i
-            made[i] = found[1]
-    for i in range(size - 1, 0, -1):
+    get = ranks.get
+    i = size
+    for pair in zip(symbols, symbols[1:]):
+        rank = get(pair)
+        if rank is not None:
+            tree[i] = rank << shift | i - size
+        i += 1
+    for i in range(mask, 0, -1):
         a, b = tree[2 * i], tree[2 * i + 1]
         tree[i] = a if a < b else b
+    root = tree[1]
+    if root == _NONE:
+        return symbols
     after = list(range(1, n + 1))
     before = list(range(-1, n - 1))
     symbols = list(symbols)
-
-    def put(gap: int, value: int) -> None:
-        i = size + gap
-        tree[i] = value
-        i >>= 1
-        while i:
-            a, b = tree[2 * i], tree[2 * i + 1]
-            least = a if a < b else b
-            if tree[i] == least:
-                return
-            tree[i] = least
-            i >>= 1
-
-    while tree[1] != _NONE:
-        left = tree[1] & mask
+    while root != _NONE:
+        left = root & mask
         right = after[left]
         beyond = after[right]
-        symbols[left] = made[left]
+        symbol = symbols[left] = merged[root >> shift]
         after[left] = beyond
-        if right < n - 1:
-            put(right, _NONE)
+        gaps = []
         if beyond < n:
             before[beyond] = left
-            found = get((symbols[left], symbols[beyond]))
-            if found is None:
-                put(left, _NONE)
-            else:
-                made[left] = found[1]
-                put(left, found[0] << shift | left)
+            rank = get((symbol, symbols[beyond]))
+            gaps.append((size + right, _NONE))
+            gaps.append((size + left, _NONE if rank is None else rank << shift | left))
         else:
-            put(left, _NONE)
+            gaps.append((size + left, _NONE))
         prior = before[left]
         if prior >= 0:
-            found = get((symbols[prior], symbols[left]))
-            if found is None:
-                put(prior, _NONE)
-            else:
-                made[prior] = found[1]
-                put(prior, found[0] << shift | prior)
+            rank = get((symbols[prior], symbol))
+            gaps.append((size + prior, _NONE if rank is None else rank << shift | prior))
+        for i, value in gaps:  # point updates, each up to where the minimum stays
+            if tree[i] == value:
+                continue
+            tree[i] = value
+            while i > 1:
+                other = tree[i ^ 1]
+                i >>= 1
+                if other < value:
+                    value = other
+                if tree[i] == value:
+                    break
+                tree[i] = value
+        root = tree[1]
     out = []
     i = 0
     while i < n:
@@ -104,17 +107,36 @@ def merge_symbols(symbols: list[int], merges: dict[tuple[int, int], tuple[int, i
     return out
 
 
+class Known(dict):
+    """Ids by word, computed where they are not known; at most so many short words are kept, the older half makes room."""
+
+    def __init__(self, compute, most: int):
+        super().__init__()
+        self.compute, self.most = compute, most
+
+    def __missing__(self, word: str) -> bytes:
+        ids = self.compute(word)
+        if len(word) < 64:
+            if len(self) >= self.most:
+                for old in list(islice(self, self.most // 2)):
+                    del self[old]
+            self[word] = ids
+        return ids
+
+
 class ByteBPE:
     """Encoder and decoder for a byte-level vocabulary file of the tokenizers library (special tokens in a text count as such)."""
 
-    def __init__(self, path: str, cache: int = 300_000):
+    def __init__(self, path: str, cache: int = 600_000):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         vocab = spec["model"]["vocab"]
         alphabet = byte_alphabet()
         self.symbol = [vocab[c] for c in alphabet]
         pairs = (m if isinstance(m, list) else m.split(" ") for m in spec["model"]["merges"])
-        self.merges = {(vocab[a], vocab[b]): (rank, vocab[a + b]) for rank, (a, b) in enumerate(pairs)}
+        pairs = list(pairs)
+        self.ranks = {(vocab[a], vocab[b]): rank for rank, (a, b) in enumerate(pairs)}
+        self.merged = [vocab[a + b] for a, b in pairs]
         back = {c: b for b, c in enumerate(alphabet)}
         self.pieces = [b""] * (max(max(vocab.values()), *(t["id"] for t in spec["added_tokens"]), 0) + 1)
         for token, i in vocab.items():
@@ -125,30 +147,14 @@ class ByteBPE:
             self.pieces[i] = content.encode()
         self.special = {s: np.array([i], "<u4").tobytes() for s, i in special.items()}
         self.cut = re.compile("(" + "|".join(map(re.escape, sorted(special, key=len, reverse=True))) + ")") if special else None
-        self.words: dict[str, bytes] = {}
-        self.chunks: dict[str, bytes] = {}
-        self.cache = cache
+        self.words = Known(self.word, cache)
 
     def word(self, word: str) -> bytes:
         symbol = self.symbol
-        return np.array(merge_symbols([symbol[b] for b in word.encode("utf-8", "surrogatepass")], self.merges), "<u4").tobytes()
-
-    def chunk(self, chunk: str) -> bytes:
-        """The ids of one run of white space, or of other characters with a space before, as little-endian 32-bit integers."""
-        words = _WORDS.findall(chunk) if not chunk.isspace() else [chunk]
-        if sum(map(len, words)) != len(chunk):
-            words = [chunk]
-        out = []
-        for w in words:
-            ids = self.words.get(w)
-            if ids is None:
-                ids = self.word(w)
-                if len(w) < 64:
-                    if len(self.words) >= self.cache:
-                        self.words.clear()
-                    self.words[w] = ids
-            out.append(ids)
-        return b"".join(out)
+        ids = array("I", merge_symbols([symbol[b] for b in word.encode("utf-8", "surrogatepass")], self.ranks, self.merged))
+        if sys.byteorder == "big":
+            ids.byteswap()
+        return ids.tobytes()
 
     def encode(self, text: str) -> bytes:
         """The ids of a whole text as little-endian 32-bit integers."""
@@ -157,17 +163,8 @@ class ByteBPE:
         return b"".join(self.special.get(part) or self._plain(part) for part in self.cut.split(text) if part)
 
     def _plain(self, text: str) -> bytes:
-        known, out = self.chunks, []
-        for chunk in _CHUNKS.findall(text):
-            ids = known.get(chunk)
-            if ids is None:
-                ids = self.chunk(chunk)
-                if len(chunk) < 64:
-                    if len(known) >= self.cache // 2:
-                        known.clear()
-                    known[chunk] = ids
-            out.append(ids)
-        return b"".join(out)
+        words = (_WORDS if _OTHER.search(text) else _LATIN).findall(text)
+        return b"".join(map(self.words.__getitem__, words))
 
     def decode(self, ids: bytes) -> str:
         """The text of ids; bytes that are no UTF-8 become U+FFFD."""

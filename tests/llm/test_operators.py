@@ -254,10 +254,10 @@ def test_bpe_equals_the_library():
 
 
 def test_merges_in_order_of_rank_then_place():
-    merges = {(1, 1): (0, 2), (2, 1): (1, 3), (2, 2): (2, 4)}
-    assert bpe.merge_symbols([1] * 5, merges) == [2, 3]
-    assert bpe.merge_symbols([1, 1, 1, 1], merges) == [4]
-    assert bpe.merge_symbols([], merges) == [] and bpe.merge_symbols([1], merges) == [1]
+    rules = {(1, 1): 0, (2, 1): 1, (2, 2): 2}, [2, 3, 4]
+    assert bpe.merge_symbols([1] * 5, *rules) == [2, 3]
+    assert bpe.merge_symbols([1, 1, 1, 1], *rules) == [4]
+    assert bpe.merge_symbols([], *rules) == [] and bpe.merge_symbols([1], *rules) == [1] and bpe.merge_symbols([1, 9], *rules) == [1, 9]
 
 
 def test_bpe_of_odd_rows(spark, odd, none):

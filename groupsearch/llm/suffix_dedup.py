@@ -9,6 +9,9 @@ equal strings of ``window`` bytes hold equal sampled strings of ``window - v + 1
 2. Positions that no marked sample covers have no equal string. Merge the rest: name their prefixes of ``window`` bytes by 128 bits,
    sort, and compare neighbours; all but the first of equal ones are removed.
 
+Prefixes and pieces are compared by polynomial hashes modulo the prime 2**61 - 1 in two bases drawn anew for every run. For any two
+different strings of n bytes, whoever made them, the bases that confuse them are at most n of 2**61, and the two are independent.
+
 Long copies would bring all their positions to step 2. They are met before: texts are cut where the content says, and of pieces
 with equal bytes (and equal ``window - 1`` bytes behind) all but the first are removed whole. Samples that lie alike in equal pieces
 count as one place in step 1, so what reaches step 2 are the positions around the ends of copies.
@@ -17,11 +20,13 @@ count as one place in step 1, so what reaches step 2 are the positions around th
 from __future__ import annotations
 
 import hashlib
+import secrets
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import Workspace, bounded_batches, tidy
 
@@ -39,8 +44,8 @@ COVERS = {
 BATCH, PART_BYTES = 1 << 20, 10 << 20
 #: Bytes that the local hash which cuts texts looks at, and the least distance of cuts.
 CUT_BYTES, CUT_APART = 16, 64
-_BASES = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93))
-_MIX = np.uint64(0xFF51AFD7ED558CCD)
+_PRIME = np.uint64((1 << 61) - 1)
+_ODD, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xFF51AFD7ED558CCD)
 _LAST = (1 << 63) - 1
 
 
@@ -55,60 +60,100 @@ def _mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(29))
 
 
+def _fold(x: np.ndarray) -> np.ndarray:
+    """Numbers of 64 bits modulo 2**61 - 1."""
+    x = (x & _PRIME) + (x >> np.uint64(61))
+    return np.minimum(x, x - _PRIME)  # below the prime the difference wraps round and is the larger
+
+
+def _times(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Products modulo 2**61 - 1 of numbers below it, from halves of 32 bits: 2**61 counts as 1, 2**64 as 8."""
+    half, low = np.uint64(32), np.uint64(0xFFFFFFFF)
+    a1, a0, b1, b0 = a >> half, a & low, b >> half, b & low
+    cross = a1 * b0 + a0 * b1
+    least = a0 * b0
+    return _fold((least & _PRIME) + (least >> np.uint64(61)) + (a1 * b1 << np.uint64(3)) + (cross >> np.uint64(29)) + ((cross & np.uint64((1 << 29) - 1)) << half))
+
+
+def random_bases() -> tuple[int, int]:
+    """Two bases that nobody knows before the run."""
+    return tuple(secrets.randbelow((1 << 61) - (1 << 20)) + (1 << 19) for _ in range(2))
+
+
 class Powers:
-    """Powers of the hash bases and of their inverses modulo 2**64, as far as the longest buffer so far."""
+    """Powers of the hash bases and of their inverses modulo 2**61 - 1, as far as the longest buffer so far."""
 
-    def __init__(self):
-        self.n = 0
-        self.up: list[np.ndarray] = []
-        self.down: list[np.ndarray] = []
+    def __init__(self, bases: tuple[int, int]):
+        self.n = 1
+        self.bases = bases
+        self.up = [np.ones(1, np.uint64) for _ in bases]
+        self.down = [np.ones(1, np.uint64) for _ in bases]
 
     def reach(self, n: int) -> None:
         if n <= self.n:
             return
-        self.n = max(n, 1 << 16)
-        self.up, self.down = [], []
-        for b in _BASES:
-            inverse = np.uint64(pow(int(b), -1, 1 << 64))
-            for table, x in ((self.up, b), (self.down, inverse)):
-                steps = np.full(self.n, x, np.uint64)
-                steps[0] = 1
-                table.append(np.multiply.accumulate(steps))
+        self.n = -(-n // (1 << 17)) << 17
+        prime = int(_PRIME)
+        for tables, sign in ((self.up, 1), (self.down, -1)):
+            for k, base in enumerate(self.bases):
+                steps = tables[k]
+                while len(steps) < self.n:
+                    more = steps[: self.n - len(steps)]
+                    steps = np.concatenate([steps, _times(more, np.uint64(pow(base, sign * len(steps), prime)))])
+                tables[k] = steps
+
+
+_POWERS: list[Powers] = []
+
+
+def powers_of(bases: tuple[int, int]) -> Powers:
+    """The tables of this worker, kept from task to task unless a very long text made them large."""
+    if not _POWERS or _POWERS[0].bases != bases or _POWERS[0].n > 4 * BATCH:
+        _POWERS[:] = [Powers(bases)]
+    return _POWERS[0]
 
 
 class Prefixes:
     """Hashes of any substring of a buffer, from prefix sums of its bytes times powers of a base."""
 
-    def __init__(self, data: np.ndarray, powers: Powers, both: bool = True):
+    def __init__(self, data: np.ndarray, powers: Powers):
         powers.reach(len(data) + 1)
         self.powers = powers
         self.sums = []
-        for k in range(1 + both):
+        half, low = np.uint64(31), np.uint64((1 << 31) - 1)
+        for up in powers.up:
+            up, byte = up[: len(data)], data.astype(np.uint64) + np.uint64(1)
+            high = (up >> np.uint64(32)) * byte
+            term = (up & np.uint64(0xFFFFFFFF)) * byte
+            term += high >> np.uint64(29)
+            term += (high & np.uint64((1 << 29) - 1)) << np.uint64(32)
+            term = (term & _PRIME) + (term >> np.uint64(61))
+            least, most = np.cumsum(term & low), np.cumsum(term >> half)  # exact up to 2**33 bytes
             s = np.zeros(len(data) + 1, np.uint64)
-            np.add(data, np.uint64(1), out=s[1:])
-            s[1:] *= powers.up[k][: len(data)]
-            np.cumsum(s[1:], out=s[1:])
+            s[1:] = _fold(least + (most >> np.uint64(30)) + ((most & np.uint64((1 << 30) - 1)) << half))
             self.sums.append(s)
 
     def of(self, start: np.ndarray, stop: np.ndarray, k: int = 0) -> np.ndarray:
-        return (self.sums[k][stop] - self.sums[k][start]) * self.powers.down[k][start]
+        s = self.sums[k]
+        return _times(_fold(s[stop] + (_PRIME - s[start])), self.powers.down[k][start])
+
 
-    def windows(self, width: int) -> np.ndarray:
-        """Hashes of all substrings of one width."""
-        s = self.sums[0]
-        return (s[width:] - s[:-width]) * self.powers.down[0][: len(s) - width]
+def _local(data: np.ndarray) -> np.ndarray:
+    """A hash of the CUT_BYTES bytes at each place; it only says where to cut."""
+    word = data.astype(np.uint64)
+    for step in (1, 2, 4):
+        word = word[:-step] | (word[step:] << np.uint64(8 * step))
+    return _mix(word[:-8] * _ODD ^ _mix(word[8:]))
 
 
-def cuts(prefixes: Prefixes, first: np.ndarray, last: np.ndarray, n: int) -> np.ndarray:
+def cuts(data: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarray:
     """Places where the content cuts texts: strict minima, within CUT_APART, among local hashes that are low at all.
 
     first, last: first byte of each document and the last place in it where a string of the window starts.
     """
-    if n < CUT_BYTES:
+    if len(data) < CUT_BYTES:
         return np.zeros(0, np.int64)
-    h = prefixes.windows(CUT_BYTES)
-    h ^= h >> np.uint64(33)
-    h *= _MIX
+    h = _local(data)
     low = np.flatnonzero(h < np.uint64(1 << 59))  # one in 32
     doc = np.searchsorted(first, low, "right") - 1
     inside = low <= last[doc] + CUT_APART
@@ -132,7 +177,7 @@ def _pack(kind: int, part: int, uid: int, *columns: np.ndarray) -> tuple:
 class Batch:
     """Documents of one buffer, in ascending id order."""
 
-    def __init__(self, rows: list[tuple[int, int, bytes]], window: int, powers: Powers, both: bool = True):
+    def __init__(self, rows: list[tuple[int, int, bytes]], window: int, powers: Powers):
         rows.sort(key=lambda r: r[:2])
         self.ids = np.array([r[0] for r in rows], np.int64)
         self.text_hash = np.array([r[1] for r in rows], np.int64)
@@ -140,14 +185,14 @@ class Batch:
         self.first = np.cumsum(sizes) - sizes
         self.last = self.first + sizes - window
         self.data = np.frombuffer(b"".join(r[2] for r in rows), np.uint8)
-        self.prefixes = Prefixes(self.data, powers, both)
+        self.prefixes = Prefixes(self.data, powers)
         self.uid = int.from_bytes(hashlib.blake2b(self.ids.tobytes() + self.text_hash.tobytes(), digest_size=8).digest(), "little", signed=True)
 
     def named(self, window: int, parts: int) -> list[tuple]:
         """Rows to deal out: samples (kind 1), marked samples (2), pieces (3), repeated pieces (4), the documents (0)."""
         v, cover = cover_for(window)
         width = window - v + 1
-        start = np.sort(np.concatenate([self.first, cuts(self.prefixes, self.first, self.last, len(self.data))]))
+        start = np.sort(np.concatenate([self.first, cuts(self.data, self.first, self.last)]))
         owner = np.searchsorted(self.first, start, "right") - 1
         stop = np.concatenate([start[1:], [len(self.data)]])
         stop = np.minimum(stop, self.last[owner] + 1)
@@ -179,8 +224,8 @@ class Batch:
         left = np.searchsorted(start, np.maximum(p - v + 1, self.first[d]), "right") - 1
         right = np.searchsorted(start, np.minimum(p, self.last[d]), "right") - 1
         at_start = start[left] == self.first[d]
-        tag = _mix(self.prefixes.of(start[left], stop[right] + window - 1) + (p - start[left]).astype(np.uint64) * _BASES[1] + at_start.astype(np.uint64))
-        tag = (tag >> np.uint64(32)).astype(np.uint32)
+        tag = _mix(self.prefixes.of(start[left], stop[right] + window - 1, 1) + (p - start[left]).astype(np.uint64) * _ODD + at_start.astype(np.uint64))
+        tag >>= np.uint64(24)
         order = np.lexsort((p, tag, name))
         name, tag, p = name[order], tag[order], p[order]
         same = name[1:] == name[:-1]
@@ -197,9 +242,9 @@ class Batch:
         by = np.lexsort((p, part))
         part, rest, tag, p = part[by], rest[by], tag[by], p[by]
         for k, at in _runs(part):
-            low = rest[at].view(np.uint8).reshape(-1, 8)[:, :5]
+            low, place = rest[at].view(np.uint8).reshape(-1, 8)[:, :4], tag[at].view(np.uint8).reshape(-1, 8)[:, :5]
             gaps = np.diff(p[at], prepend=0).astype(np.uint32).view(np.uint8).reshape(-1, 4).T
-            out.append(_pack(1, k, self.uid, low, tag[at], gaps))
+            out.append(_pack(1, k, self.uid, low, place, gaps))
         return out
 
     def merged(self, at: np.ndarray, window: int, parts: int) -> list[tuple]:
@@ -243,7 +288,7 @@ def _table(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], _FIELDS)
 
 
-def _buffers(batches, window: int, powers: Powers, both: bool = True):
+def _buffers(batches, window: int, powers: Powers):
     rows, size = [], 0
     for b in batches:
         for doc, h, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).cast(pa.binary()).to_pylist(), strict=True):
@@ -251,10 +296,10 @@ def _buffers(batches, window: int, powers: Powers, both: bool = True):
                 rows.append((doc, h, text))
                 size += len(text)
                 if size >= BATCH:
-                    yield Batch(rows, window, powers, both)
+                    yield Batch(rows, window, powers)
                     rows, size = [], 0
     if rows:
-        yield Batch(rows, window, powers, both)
+        yield Batch(rows, window, powers)
 
 
 def _split(raw: bytes, n: int, *kinds: str) -> list[np.ndarray]:
@@ -277,10 +322,10 @@ def _meet(batches):
     if samples:
         names, tags, places, source = [], [], [], []
         for i, (_, _, _, n, raw) in enumerate(samples):
-            low = np.zeros((n, 8), np.uint8)
-            low[:, :5] = np.frombuffer(raw, np.uint8, 5 * n).reshape(n, 5)
-            names.append(low.view("<u8").reshape(-1))
-            tags.append(np.frombuffer(raw, "<u4", n, 5 * n))
+            names.append(np.frombuffer(raw, "<u4", n))
+            wide = np.zeros((n, 8), np.uint8)
+            wide[:, :5] = np.frombuffer(raw, np.uint8, 5 * n, 4 * n).reshape(n, 5)
+            tags.append(wide.view("<u8").reshape(-1))
             gaps = np.ascontiguousarray(np.frombuffer(raw, np.uint8, 4 * n, 9 * n).reshape(4, n).T).view("<u4").reshape(-1)
             places.append(np.cumsum(gaps, dtype=np.int64).astype(np.uint32))
             source.append(np.full(n, i, np.int32))
@@ -377,10 +422,11 @@ def repeated_starts(docs: DataFrame, window: int = WINDOW, work: Workspace | Non
     bounded_batches(spark, 256)
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-total // PART_BYTES))
+    bases = random_bases()
 
     @tidy
     def name(batches):
-        powers = Powers()
+        powers = powers_of(bases)
         for buffer in _buffers(batches, window, powers):
             rows = buffer.named(window, parts)
             for i in range(0, len(rows), 64):
@@ -396,7 +442,7 @@ def repeated_starts(docs: DataFrame, window: int = WINDOW, work: Workspace | Non
 
     @tidy
     def merge(batches):
-        powers = Powers()
+        powers = powers_of(bases)
         for buffer, at in _candidate_buffers(batches, window, powers):
             yield _table(buffer.merged(at, window, parts))
             del buffer, at
@@ -524,7 +570,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id"
 
 
 def without_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with repeated bytes taken out of the text, and n_chars, where there is one, counted anew.
+    """docs with repeated bytes taken out of the text, and n_chars, where there is one of an integer type, counted anew.
 
     A character that loses some of its bytes is taken out whole, so texts stay valid; null texts stay null. All rows stay.
     """
@@ -549,11 +595,13 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id
                 out.append(None if text is None else text.decode("utf-8", "ignore"))
             columns = [b.column(i) for i in range(len(names))]
             columns[at] = pa.array(out, pa.string())
-            if "n_chars" in names:
-                columns[names.index("n_chars")] = pa.array([None if t is None else len(t) for t in out], pa.int64())
+            if n_chars:
+                at = names.index("n_chars")
+                columns[at] = pa.array([None if t is None else len(t) for t in out], pa.int64()).cast(columns[at].type)
             yield pa.RecordBatch.from_arrays(columns, names)
 
     bounded_batches(spark, 256)
+    n_chars = "n_chars" in names and isinstance(docs.schema["n_chars"].dataType, T.IntegralType)
     return joined.mapInArrow(cut, docs.schema)
 
 

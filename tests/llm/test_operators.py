@@ -421,6 +421,35 @@ def test_repeats_against_brute_force(spark, tmp_path, monkeypatch, window, buffe
     assert got == _brute(rows, window)
 
 
+def _parity(i):
+    return i.bit_count() & 1
+
+
+def test_texts_made_to_confuse_hashes_modulo_a_power_of_two(spark, tmp_path):
+    rows = []
+    for period in (3, 5, 7):
+        base = [i % period * 2 + 97 for i in range(1024)]
+        rows += [(period * 10 + k, bytes(c + (_parity(i) ^ k) for i, c in enumerate(base)).decode()) for k in (0, 1)]
+    for n in (11, 12):  # longer ones, behind a common text
+        rows += [(n * 100 + k, "common " * 20 + "".join(chr(98 + (_parity(i) ^ k)) for i in range(1 << n))) for k in (0, 1)]
+    spark.createDataFrame(rows, "doc_id bigint, text string").write.parquet(f"{tmp_path}/d")
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(spark.read.parquet(f"{tmp_path}/d")).collect()}
+    assert got == _brute(rows, 100)
+
+
+def test_products_and_hashes_modulo_the_prime():
+    prime, rng = int(suffix_dedup._PRIME), np.random.default_rng(1)
+    a, b = rng.integers(0, prime, (2, 500), dtype=np.uint64)
+    a[:3], b[:3] = [prime - 1, 0, 1], prime - 1
+    assert [int(x) * int(y) % prime for x, y in zip(a, b, strict=True)] == suffix_dedup._times(a, b).tolist()
+    data, bases = rng.integers(0, 256, 3000, dtype=np.uint8), suffix_dedup.random_bases()
+    hashes = suffix_dedup.Prefixes(data, suffix_dedup.Powers(bases))
+    for k, base in enumerate(bases):
+        for i, j in ((0, 10), (7, 2000), (2990, 3000)):
+            want = sum((int(c) + 1) * pow(base, n, prime) for n, c in enumerate(data[i:j])) % prime
+            assert int(hashes.of(np.array([i]), np.array([j]), k)[0]) == want
+
+
 def test_repeats_of_odd_rows(spark, odd, none, tmp_path):
     odd.write.parquet(f"{tmp_path}/d")
     df = spark.read.parquet(f"{tmp_path}/d")

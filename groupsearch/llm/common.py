@@ -14,6 +14,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 ARROW_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+#: Rows of an Arrow batch of texts; most rows of narrow columns that are broadcast.
+BATCH_ROWS, BROADCAST_ROWS = 256, 1_000_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -21,9 +23,31 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def bounded_batches(spark: SparkSession, rows: int = 512) -> None:
-    """Arrow batches of few rows: long texts then stay within a Python worker's memory."""
+def bounded_batches(spark: SparkSession) -> None:
+    """Arrow batches of at most BATCH_ROWS rows: long texts then stay within a Python worker's memory.
+
+    One value for all operators, as the plans they return run later, so the order of calls does not matter; a smaller setting of the
+    caller stays.
+    """
+    now = int(spark.conf.get(ARROW_ROWS))
+    if not 0 < now <= BATCH_ROWS:
+        spark.conf.set(ARROW_ROWS, str(BATCH_ROWS))
+
+
+@contextlib.contextmanager
+def batches_of(spark: SparkSession, rows: int):
+    """Other batches while a step runs that is written at once."""
+    before = spark.conf.get(ARROW_ROWS)
     spark.conf.set(ARROW_ROWS, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(ARROW_ROWS, before)
+
+
+def if_small(df: DataFrame) -> DataFrame:
+    """df, marked for broadcast if it has at most BROADCAST_ROWS rows; df should be a saved table of a few narrow columns."""
+    return F.broadcast(df) if df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df
 
 
 def shared_dir(spark: SparkSession) -> str:

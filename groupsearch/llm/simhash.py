@@ -7,6 +7,7 @@ l * t < m, are equal: they are the key of a hash join. Longer chains are checked
 
 from __future__ import annotations
 
+import hashlib
 import math
 
 import numpy as np
@@ -15,7 +16,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, bounded_batches, tidy
+from .common import Workspace, batches_of, bounded_batches, if_small, tidy
 from .components import connected_components
 
 #: Differing bits that still link, segments on the ring, distinct fingerprints of a key that are compared pair by pair.
@@ -150,18 +151,39 @@ def near_duplicates(
     return rows.join(of_fp, "fp").select("doc_id", hexed.alias("fingerprint"), "component_id")
 
 
-#: Near copies: words of a shingle, similarity, passages of a document that are looked up, shingles of a sketch, rounds of leaders.
-NEAR_WORDS, NEAR_SIMILARITY, PASSAGES, SKETCH, ROUNDS = 5, 0.8, 8, 512, 2
+#: Near copies: words of a shingle, least similarity, chance that a pair of that similarity shares no key.
+NEAR_WORDS, NEAR_SIMILARITY, OVERLOOKED = 5, 0.8, 1e-6
+#: Least values that make one key, in the first and in the finer table of keys.
+ROWS, FINER_ROWS = 8, 16
+#: Hashes of a sketch; pairs whose sketches are this much less similar than asked for aren't read again.
+SKETCH, MARGIN = 128, 0.2
+#: Pairs of one key that are still open and are then compared directly; salts by which a key with more names leaders.
+PAIRS_OF_KEY, SALTS = 50_000, 32
 
 
-def passage_keys(h: np.ndarray, most: int = PASSAGES) -> np.ndarray:
-    """Keys of passages, cut where a shingle's hash says and named by the sum of their hashes; the least few by a hash of the name."""
+def bands_for(rows: int, similarity: float, overlooked: float = OVERLOOKED) -> int:
+    """Keys of so many least values each, so that two sets of that similarity share none only that rarely."""
+    return max(1, math.ceil(math.log(overlooked) / math.log1p(-(similarity**rows)))) if similarity < 1 else 1
+
+
+def _scramble(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
+    return x ^ (x >> np.uint64(29))
+
+
+def band_keys(h: np.ndarray, rows: int, bands: int) -> np.ndarray:
+    """Keys of a set of hashes: the least value under each of rows * bands multiplications, so many to a key; none of an empty set."""
     if not len(h):
         return np.zeros(0, np.int64)
-    edge = np.unique(np.concatenate([[0], np.flatnonzero(h % np.uint64(16) == 0) + 1]))
-    name = np.add.reduceat(h, edge[edge < len(h)])
-    name = (name ^ (name >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
-    return np.unique(name ^ (name >> np.uint64(29)))[:most].view(np.int64)
+    odd = np.random.default_rng(rows).integers(0, 1 << 63, rows * bands, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    least = np.empty(len(odd), np.uint64)
+    step = max(1, (1 << 17) // len(h))
+    for i in range(0, len(odd), step):
+        least[i : i + step] = (odd[i : i + step, None] * h[None, :]).min(1)
+    key = np.arange(bands, dtype=np.uint64)
+    for column in least.reshape(bands, rows).T:
+        key = _scramble(key ^ column)
+    return key.view(np.int64)
 
 
 def sketch_similarity(a: bytes, b: bytes, k: int = SKETCH) -> float:
@@ -176,62 +198,183 @@ def sketch_similarity(a: bytes, b: bytes, k: int = SKETCH) -> float:
     return float(np.searchsorted(both, union[-1], "right")) / len(union) if len(union) else 0.0
 
 
+def similar(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
+    """Whether two sets of distinct hashes have that Jaccard similarity; two empty ones do."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both >= similarity * (len(a) + len(b) - both) - 1e-9
+
+
+class _Copies:
+    """One search for near copies: what was read of the documents, links found so far, and pairs that were compared."""
+
+    def __init__(self, texts: DataFrame, words: int, similarity: float):
+        self.texts, self.words, self.similarity = texts, words, similarity
+        self.work = Workspace(texts.sparkSession, "near-copies")
+        self.steps = 0
+
+    def save(self, df: DataFrame, name: str) -> DataFrame:
+        self.steps += 1
+        return self.work.save(df, f"{name}-{self.steps}")
+
+    def read(self) -> DataFrame:
+        """doc_id, fp, n (distinct shingles), set_a, set_b (128 bits that name the set), keys, sketch of every row."""
+        words, bands = self.words, bands_for(ROWS, self.similarity)
+
+        @tidy
+        def run(batches):
+            for b in batches:
+                out = []
+                for t in b.column(1).cast(pa.binary()).to_pylist():
+                    h = shingle_hashes(t or b"", words)
+                    own = np.unique(h)
+                    name = hashlib.blake2b(own.tobytes(), digest_size=16).digest()
+                    sketch = np.unique((own >> np.uint64(32)).astype(np.uint32))[:SKETCH].astype("<u4").tobytes()
+                    fp = simhash_of(h)
+                    out.append((fp - (1 << 64) if fp >> 63 else fp, len(own), *(int.from_bytes(name[i : i + 8], "little", signed=True) for i in (0, 8)), band_keys(own, ROWS, bands), sketch))
+                yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array([r[i] for r in out], k) for i, k in enumerate(_READ_KINDS))], _READ)
+
+        kinds = "doc_id bigint, fp bigint, n bigint, set_a bigint, set_b bigint, keys array<bigint>, sketch binary"
+        return self.save(self.texts.mapInArrow(run, kinds), "rows")
+
+    def compare(self, pairs: DataFrame) -> DataFrame:
+        """u, v of the pairs whose whole texts have the similarity; sizes and sketches first discard those far below it."""
+        words, similarity = self.words, self.similarity
+        pairs = self.save(pairs.select("u", "v").distinct(), "pairs")
+
+        def both(table: DataFrame, found: DataFrame, *columns: str) -> DataFrame:
+            ids = self.save(found.select(F.col("u").alias("doc_id")).unionByName(found.select(F.col("v").alias("doc_id"))).distinct(), "ids")
+            held = self.save(table.select("doc_id", *columns).join(if_small(ids), "doc_id", "left_semi"), "held")
+            for side in ("u", "v"):
+                found = found.join(held.select(F.col("doc_id").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in columns)), side)
+            return found
+
+        @tidy
+        def discard(batches):
+            for b in batches:
+                x, y = b.column(2).to_pylist(), b.column(3).to_pylist()
+                yield b.filter(pa.array([sketch_similarity(p, q) >= similarity - MARGIN for p, q in zip(x, y, strict=True)], pa.bool_())).select([0, 1])
+
+        sized = both(self.rows, pairs, "n", "sketch").where(F.least("n_u", "n_v") >= similarity * F.greatest("n_u", "n_v") - 1e-9)
+        likely = self.save(sized.select("u", "v", "sketch_u", "sketch_v").mapInArrow(discard, "u bigint, v bigint").distinct(), "likely")
+
+        @tidy
+        def verify(batches):
+            last, own = None, None
+            for b in batches:
+                x, y = (c.cast(pa.binary()).to_pylist() for c in b.columns[2:4])
+                ok = []
+                for p, q in zip(x, y, strict=True):
+                    if last is None or q != last:
+                        last, own = q, np.unique(shingle_hashes(q or b"", words))
+                    ok.append(similar(np.unique(shingle_hashes(p or b"", words)), own, similarity))
+                yield b.filter(pa.array(ok, pa.bool_())).select([0, 1])
+
+        with batches_of(self.texts.sparkSession, 64):
+            return self.save(both(self.texts, likely, "text").select("u", "v", "text_u", "text_v").mapInArrow(verify, "u bigint, v bigint").distinct(), "links")
+
+    def placed(self, shared: DataFrame, links: DataFrame) -> DataFrame:
+        """shared (key, doc_id) with the component of the document by the links so far, of the keys that more than one component share."""
+        roots = connected_components(links, Workspace(self.texts.sparkSession, "near-copies-roots"))
+        comp = shared.join(if_small(roots), F.col("doc_id") == F.col("node"), "left").select("key", "doc_id", F.coalesce("root", "doc_id").alias("comp"))
+        comp = self.save(comp, "placed")
+        held = comp.groupBy("key", "comp").agg(F.count("*").alias("n")).groupBy("key").agg(F.count("*").alias("comps"), F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("n2"))
+        several = held.where("comps > 1").select("key", ((F.col("n") * F.col("n") - F.col("n2")) / 2).alias("open"))
+        return self.save(comp.join(if_small(self.save(several, "several")), "key"), "open")
+
+    def shared_keys(self, keyed: DataFrame) -> DataFrame:
+        """key, doc_id, lead (the smallest document) of the keys that several documents have."""
+        counts = self.save(keyed.groupBy("key").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").select("key", "lead"), "counts")
+        return self.save(keyed.join(if_small(counts), "key").select("key", "doc_id", "lead").distinct(), "shared")
+
+    def finer_keys(self, ids: DataFrame) -> DataFrame:
+        words, bands = self.words, bands_for(FINER_ROWS, self.similarity)
+
+        @tidy
+        def run(batches):
+            for b in batches:
+                keys = [band_keys(np.unique(shingle_hashes(t or b"", words)), FINER_ROWS, bands) for t in b.column(1).cast(pa.binary()).to_pylist()]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "keys"])
+
+        held = self.texts.join(if_small(ids), "doc_id", "left_semi").select("doc_id", "text")
+        return self.save(held.mapInArrow(run, "doc_id bigint, keys array<bigint>"), "finer").select("doc_id", F.explode("keys").alias("key"))
+
+    def links(self) -> DataFrame:
+        self.rows = rows = self.read()
+        sets = self.save(rows.groupBy("set_a", "set_b").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").drop("last"), "sets")
+        links = self.save(rows.select("doc_id", "set_a", "set_b").join(if_small(sets), ["set_a", "set_b"]).where("doc_id <> first").select(F.col("doc_id").alias("u"), F.col("first").alias("v")).distinct(), "same")
+        single = rows.join(if_small(links.select(F.col("u").alias("doc_id")).distinct()), "doc_id", "left_anti")
+
+        # nearest copies by the pigeonring, and the first holder of each key, which most copies of a text are similar to
+        distinct = self.save(single.groupBy("fp").agg(F.min("doc_id").alias("first")), "fps")
+        near = fingerprint_links(distinct, self.work)
+        first = distinct.select(F.col("fp").alias("u"), F.col("first").alias("a")), distinct.select(F.col("fp").alias("v"), F.col("first").alias("b"))
+        ringed = near.join(first[0], "u").join(first[1], "v").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
+        equal = single.select("doc_id", "fp").join(distinct, "fp").where("doc_id <> first").select(F.col("doc_id").alias("u"), F.col("first").alias("v"))
+        shared = self.shared_keys(single.select("doc_id", F.explode("keys").alias("key")))
+        led = shared.where("doc_id <> lead").select(F.col("doc_id").alias("u"), F.col("lead").alias("v"))
+        links = links.unionByName(self.compare(ringed.unionByName(equal).unionByName(led).where("u <> v")))
+
+        links, many = self.settle_small(shared, links)
+        if many is not None:  # keys that too many unlike documents share: finer keys of these documents
+            shared = self.shared_keys(self.finer_keys(self.save(many.select("doc_id").distinct(), "hot")))
+            led = shared.where("doc_id <> lead").select(F.col("doc_id").alias("u"), F.col("lead").alias("v"))
+            links, many = self.settle_small(shared, links.unionByName(self.compare(led)))
+        while many is not None:  # and what is left by some leaders of each key a round, until nobody is left to lead
+            salted = many.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)))
+            leaders = self.save(salted.groupBy("key", "salt").agg(F.min(F.struct("doc_id", "comp")).alias("l")).select("key", F.col("l.doc_id").alias("lead"), F.col("l.comp").alias("of")), "leaders")
+            asked = many.join(if_small(leaders), "key").where("doc_id <> lead and comp <> of")
+            links = links.unionByName(self.compare(asked.select(F.greatest("doc_id", "lead").alias("u"), F.least("doc_id", "lead").alias("v"))))
+            left = many.join(if_small(leaders.select("key", F.col("lead").alias("doc_id"))), ["key", "doc_id"], "left_anti").select("key", "doc_id")
+            open_ = self.placed(self.save(left, "left"), links)
+            many = None if open_.isEmpty() else open_
+        return links
+
+    def settle_small(self, shared: DataFrame, links: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+        """Links with those among all open pairs of keys that have few; and the rows of keys that have many."""
+        open_ = self.placed(shared.select("key", "doc_id"), links)
+        few = open_.where(F.col("open") <= PAIRS_OF_KEY)
+        if not few.isEmpty():
+            a, b = few.select("key", F.col("doc_id").alias("u"), F.col("comp").alias("cu")), few.select("key", F.col("doc_id").alias("v"), F.col("comp").alias("cv"))
+            links = links.unionByName(self.compare(a.join(b, "key").where("u > v and cu <> cv").select("u", "v")))
+        many = open_.where(F.col("open") > PAIRS_OF_KEY)
+        return links, None if many.isEmpty() else many
+
+
+_READ = ["doc_id", "fp", "n", "set_a", "set_b", "keys", "sketch"]
+_READ_KINDS = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.binary()]
+
+
 def near_copies(docs: DataFrame, words: int = NEAR_WORDS, similarity: float = NEAR_SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, component_id of every document: groups of near copies by shingles of so many words and so much similarity.
+    """doc_id, component_id of every document: components of links between texts whose shingle sets are that similar (Jaccard).
 
-    Links are fingerprints within LINK_BITS of each other, found by the pigeonring, and documents that share a looked-up passage
-    with the first document that holds it, if their sketches are that similar. At a similarity of 0.8 fingerprints differ in about
-    ten bits, too many for any selective chain, which is why passages give the candidates there; a second round takes new leaders
-    among documents that have no link yet. Null ids stay alone and unjudged; null texts count as empty; repeated rows with one id
-    are one document; an empty table gives no rows.
+    Every link is verified on the shingles of both whole texts. Candidates come in this order: equal sets; fingerprints within
+    LINK_BITS, by the pigeonring; then keys of ROWS least values, so many that two documents of the similarity share none with a
+    chance of OVERLOOKED, however short or long they are. (At a similarity of 0.8 fingerprints differ in about ten bits, beyond any
+    selective chain.) Of a key's holders the first is compared with all; then every pair of holders that no link has joined yet, if
+    there are at most PAIRS_OF_KEY; documents of keys with more get finer keys, and what is left there goes round by round, some
+    leaders of a key against all its holders, until nobody is left. So no partner is given up.
 
-    Copies of any number meet their leader, never each other. Keys that many documents share are minima by key, then an equi-join
-    that Spark splits where it is skewed.
+    Null ids take no part; null texts count as empty, and texts without words are copies of each other; rows of one id are one
+    document, which any of its texts links; an empty table gives no rows; other columns are ignored.
     """
     spark = docs.sparkSession
     bounded_batches(spark)
-    work = Workspace(spark, "near-copies")
-
-    @tidy
-    def run(batches):
-        for b in batches:
-            fps, keys, sketches = [], [], []
-            for t in b.column(1).cast(pa.binary()).to_pylist():
-                h = shingle_hashes(t or b"", words)
-                fps.append(simhash_of(h))
-                keys.append(passage_keys(h))
-                sketches.append(np.unique((h >> np.uint64(32)).astype(np.uint32))[:SKETCH].astype("<u4").tobytes())
-            fp = pa.array(np.array(fps, np.uint64).view(np.int64), pa.int64())
-            yield pa.RecordBatch.from_arrays([b.column(0), fp, pa.array(keys, pa.list_(pa.int64())), pa.array(sketches, pa.binary())], ["doc_id", "fp", "keys", "sketch"])
-
     source = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    rows = work.save(source.mapInArrow(run, "doc_id bigint, fp bigint, keys array<bigint>, sketch binary"), "rows")
+    search = _Copies(source, words, similarity)
+    components = connected_components(search.links(), Workspace(spark, "near-copies-docs"))
+    return search.rows.select("doc_id").distinct().join(components, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("root", "doc_id").alias("component_id"))
 
-    distinct = work.save(rows.groupBy("fp").agg(F.min("doc_id").alias("first")), "distinct")
-    roots = connected_components(fingerprint_links(distinct, work), Workspace(spark, "near-copies-fp"))
-    placed = distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
-    named = work.save(placed.join(placed.groupBy("root").agg(F.min("first").alias("leader")), "root").select("fp", "leader"), "named")
-    links = work.save(rows.select("doc_id", "fp").join(named, "fp").where("doc_id <> leader").select(F.col("doc_id").alias("u"), F.col("leader").alias("v")), "links-0")
 
-    keyed = rows.select("doc_id", F.explode("keys").alias("key"))
-    kinds = "u bigint, v bigint"
+def without_copies(docs: DataFrame, words: int = NEAR_WORDS, similarity: float = NEAR_SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of the smallest id of each group of near copies, with all their columns; rows with a null id all stay.
 
-    @tidy
-    def verify(batches):
-        for b in batches:
-            u, v, x, y = (c.to_pylist() for c in b.columns)
-            ok = [i for i in range(len(u)) if sketch_similarity(x[i], y[i]) >= similarity]
-            yield pa.RecordBatch.from_arrays([pa.array([u[i] for i in ok], pa.int64()), pa.array([v[i] for i in ok], pa.int64())], ["u", "v"])
-
-    for i in range(1, ROUNDS + 1):
-        if i > 1:  # those linked so far may still lead, but are not asked again
-            linked = links.select(F.col("u").alias("doc_id")).distinct()
-            keyed = work.save(keyed.join(linked, "doc_id", "left_anti"), f"keyed-{i}")
-        leaders = keyed.groupBy("key").agg(F.min("doc_id").alias("v"), F.count("*").alias("n")).where("n > 1").select("key", "v")
-        asked = keyed.join(leaders, "key").where("doc_id <> v").select(F.col("doc_id").alias("u"), "v").distinct()
-        pairs = asked.join(rows.select(F.col("doc_id").alias("u"), F.col("sketch").alias("a")), "u")
-        pairs = pairs.join(rows.select(F.col("doc_id").alias("v"), F.col("sketch").alias("b")), "v").select("u", "v", "a", "b")
-        found = work.save(pairs.mapInArrow(verify, kinds), f"found-{i}")
-        links = work.save(links.unionByName(found), f"links-{i}")
-    components = connected_components(links, Workspace(spark, "near-copies-docs"))
-    return rows.select("doc_id").distinct().join(components, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("root", "doc_id").alias("component_id"))
+    Of rows that share an id and a text one stays; with another text they stay if their id does.
+    """
+    groups = near_copies(docs, words, similarity, id_col, text_col)
+    work = Workspace(docs.sparkSession, "without-copies")
+    spare = work.save(groups.where("doc_id <> component_id").select(F.col("doc_id").alias("__spare")), "spare")
+    left = docs.join(if_small(spare), docs[id_col] == F.col("__spare"), "left_anti")
+    twice = work.save(docs.where(F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("__twice")).count().where("count > 1").select("__twice"), "twice")
+    held = if_small(twice)
+    again = left.join(held, left[id_col] == F.col("__twice"), "left_semi").dropDuplicates([id_col, text_col])
+    return left.join(held, left[id_col] == F.col("__twice"), "left_anti").unionByName(again)

@@ -203,24 +203,69 @@ def test_near_duplicates_of_odd_rows(spark, odd, none):
     assert near[7] == 6 and near[5] == 4 and None not in near
 
 
-def test_near_copies_by_similarity(spark):
-    rng = random.Random(4)
-    words = [f"v{i}" for i in range(5000)]
-    rows, pairs = [], []
-    for i in range(0, 120, 2):
-        t = rng.choices(words, k=rng.randint(60, 900))
-        u = list(t)
-        for _ in range(max(1, len(t) // (60 if i % 4 else 12))):
-            u[rng.randrange(len(u))] = "edit"
-        rows += [(i, " ".join(t)), (i + 1, " ".join(u))]
-        a, b = _shingles(rows[-2][1]), _shingles(rows[-1][1])
-        pairs.append((i, len(a & b) / len(a | b)))
+def _ascii_shingles(text):
+    w = (text or "").encode().lower().split()
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+def _components(sets, similarity=0.8):
+    """The smallest id reachable by pairs of that similarity, by comparing all."""
+    root = {i: i for i in sets}
+    for i in sorted(sets):
+        for j in sorted(sets):
+            if j < i and len(sets[i] & sets[j]) >= similarity * len(sets[i] | sets[j]) and root[i] != root[j]:
+                a, b = sorted((root[i], root[j]))
+                root = {k: a if r == b else r for k, r in root.items()}
+    return root
+
+
+def _edited_texts(seed, n):
+    """Originals of 5 to 400 words, half of them behind a passage that many share, and chains of copies with ever more edits."""
+    rng = random.Random(seed)
+    words, rows = [f"v{i}" for i in range(5000)], []
+    passages = [rng.choices(words, k=60) for _ in range(2)]
+    for _ in range(n):
+        t = rng.choices(words, k=rng.choice([5, 12, 20, 25, 30, 45, 60, 120, 400]))
+        if rng.random() < 0.5:
+            t = rng.choice(passages) + t
+        for _ in range(rng.randint(1, 6)):
+            rows.append(" ".join(t))
+            t = list(t)
+            for _ in range(max(1, len(t) * rng.randint(0, 3) // 60)):
+                t[rng.randrange(len(t))] = rng.choice(words)
+    rng.shuffle(rows)
+    return list(enumerate(rows))
+
+
+@pytest.mark.parametrize("pairs,seed", [(simhash.PAIRS_OF_KEY, 4), (0, 5)])
+def test_near_copies_against_brute_force(spark, monkeypatch, pairs, seed):
+    monkeypatch.setattr(simhash, "PAIRS_OF_KEY", pairs)
+    monkeypatch.setattr(simhash, "SALTS", 2)
+    rows = _edited_texts(seed, 120)
+    want = _components({i: _ascii_shingles(t) for i, t in rows})
     got = {r.doc_id: r.component_id for r in simhash.near_copies(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
-    for i, s in pairs:
-        if s >= 0.83:
-            assert got[i + 1] == i
-        if s < 0.77:
-            assert got[i + 1] == i + 1
+    assert got == want and len(set(want.values())) < len(rows) - 50
+
+
+def test_keys_of_similar_sets_meet_as_often_as_stated():
+    rng = np.random.default_rng(6)
+    bands, lost, tried = simhash.bands_for(4, 0.8, 0.05), 0, 0
+    for n in (12, 40, 300):
+        for _ in range(500):
+            h = rng.integers(0, 1 << 64, n * 10 // 9, dtype=np.uint64)
+            k = len(h) - n  # each set lacks some of the other's: similarity 0.8
+            a, b = simhash.band_keys(h[k:], 4, bands), simhash.band_keys(h[: len(h) - k], 4, bands)
+            if (len(h) - 2 * k) / len(h) >= 0.8:
+                tried, lost = tried + 1, lost + (not np.intersect1d(a, b).size)
+    assert tried >= 1000 and lost / tried < 0.07
+
+
+def test_rows_without_copies(spark, odd, none):
+    out = simhash.without_copies(odd)
+    assert out.columns == odd.columns and [r.doc_id for r in out.orderBy("doc_id").collect()] == [None, 1, 4, 6, 8, 9]
+    two = spark.createDataFrame([(None, "a b"), (None, "a b"), (3, "x y"), (3, "x y"), (3, "z w"), (4, "x y")], "doc_id bigint, text string")
+    assert sorted(map(str, (tuple(r) for r in simhash.without_copies(two).collect()))) == ["(3, 'x y')", "(3, 'z w')", "(None, 'a b')", "(None, 'a b')"]
+    assert simhash.without_copies(none).count() == 0
 
 
 def test_components_of_a_long_path_and_a_star(spark):

@@ -7,7 +7,6 @@ documents. What a stage decides takes effect: rejected documents go, removed byt
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from groupsearch.llm import bpe, common, decontaminate, simhash, suffix_dedup, toxicity
 
@@ -22,9 +21,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The first document of each group of near copies; documents with a null id stay."""
-    groups = simhash.near_copies(docs)
-    spare = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("__spare"))
-    return docs.join(spare, docs.doc_id == F.col("__spare"), "left_anti").dropDuplicates(["doc_id", "text"]).select(COLUMNS)
+    return simhash.without_copies(docs).select(COLUMNS)
 
 
 def drop_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

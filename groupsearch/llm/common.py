@@ -96,6 +96,13 @@ class Workspace:
             time.sleep(0.7)
 
 
+def filesystem(uri: str):
+    """A file system that driver and executors can use without Spark, and the path in it."""
+    from pyarrow import fs
+
+    return fs.FileSystem.from_uri(uri if "://" in uri or uri.startswith("file:") else f"file://{uri}")
+
+
 def give_back() -> None:
     """Returns freed memory of this Python worker to the system: workers are reused, and freed arrays stay with them otherwise."""
     import ctypes

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from . import bpe, common, decontaminate, licenses, simhash, suffix_dedup, token_files, topk, toxicity, url_filter, warc
 
-#: Fixed values of the URL query: rules as (host, path, verdict), and hosts of the block list.
+#: Fixed values of the URL query: rules as (host, path, verdict).
 URL_RULES = [
     ("com", "/", "allow"),
     ("example.com", "/en/", "block"),
@@ -14,16 +14,14 @@ URL_RULES = [
     ("net", "/es/", "block"),
     ("net", "/fr/", "block"),
 ]
-LISTED_HOSTS = [
-    "casino-win.example.com", "ads-track.example.com", "free-bets.example.com", "spam-farm.example.com",
-    "cheap-pills.example.com", "adult-x.example.net",
-]
 
 
 def op1_url_filter(spark, sf_dir):
+    """The rules, above a list of every seventh page's url, as another crawler may have noted it down."""
+    pages = common.table(spark, sf_dir, "pages")
     rules = spark.createDataFrame(URL_RULES, "host string, path string, verdict string")
-    listed = spark.createDataFrame([(h, "", "block") for h in LISTED_HOSTS], "host string, path string, verdict string")
-    return url_filter.judge_urls(common.table(spark, sf_dir, "pages"), rules, listed)
+    listed = pages.where(F.col("page_id") % 7 == 0).select(F.concat("url", F.lit("#seen")).alias("url"))
+    return url_filter.judge_urls(pages, rules, listed)
 
 
 def op2_exact_topk(spark, sf_dir):
@@ -101,20 +99,28 @@ select doc_id, sentences,
 from g"""
 
 
+def _canonical_sql(url: str) -> str:
+    """warc.canonical_url() of a column."""
+    rest = f"regexp_extract({url}, '(?s)^[^:/?#]*://([^#]*)', 1)"
+    host = f"regexp_replace(translate(regexp_extract({rest}, '(?s)^(?:[^/?@]*@)?([^/?]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), ':(80|443)$', '')"
+    path = f"regexp_extract({rest}, '(?s)^[^/?]*([^?]*)', 1)"
+    params = f"array_to_string(list_sort(list_filter(string_split(regexp_extract({rest}, '(?s)\\?(.*)$', 1), '&'), lambda x: x <> '' and not starts_with(x, 'utm_'))), '&')"
+    return f"case when regexp_matches({url}, '^[^:/?#]*://') then {host} || case when {path} = '' then '/' else {path} end || case when {params} <> '' then '?' || {params} else '' end end"
+
+
 SQL = {
     "op1_url_filter": f"""
-with rules(host, path, verdict) as (values {_values(URL_RULES)}), listed(host) as (values {_values([(h,) for h in LISTED_HOSTS])}),
+with rules(host, path, verdict) as (values {_values(URL_RULES)}),
+listed as (select distinct {_canonical_sql("url")} as key from pages where page_id % 7 = 0 and {_canonical_sql("url")} is not null),
 p as (
-  select page_id, row_number() over () as r,
+  select page_id, {_canonical_sql("url")} as key,
     translate(coalesce(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as host,
     coalesce(regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '') as path
-  from pages)
-select page_id, host, path,
+  from pages),
+j as (select *, coalesce(key in (select key from listed), false) as listed,
   (select max_by(u.host || u.path, length(u.host || u.path)) from rules u where (p.host = u.host or ends_with(p.host, '.' || u.host)) and starts_with(p.path, u.path)) as rule,
-  coalesce(
-    (select max_by(u.verdict, length(u.host || u.path)) from rules u where (p.host = u.host or ends_with(p.host, '.' || u.host)) and starts_with(p.path, u.path)),
-    (select 'block' from listed l where p.host = l.host or ends_with(p.host, '.' || l.host) limit 1), 'allow') as verdict
-from p""",
+  (select max_by(u.verdict, length(u.host || u.path)) from rules u where (p.host = u.host or ends_with(p.host, '.' || u.host)) and starts_with(p.path, u.path)) as ruled from p)
+select page_id, host, path, rule, coalesce(ruled, case when listed then 'block' end, 'allow') as verdict, listed from j""",
     "op3_decontamination": """
 with d as (select doc_id, row_number() over () as r, regexp_extract_all(lower(coalesce(text, '')), '[\\p{L}\\p{N}]+') as w from documents where doc_id is not null),
 i as (select item_id, row_number() over () as q, regexp_extract_all(lower(coalesce(text, '')), '[\\p{L}\\p{N}]+') as w from benchmark where item_id is not null),
@@ -125,23 +131,20 @@ p as (select doc_id, r, item_id, q, count(*) as n_shared from ds join si using (
 b as (select doc_id, item_id, n_shared, n_item, n_shared::double / n_item as containment from p join n using (item_id, q) where n_shared::double / n_item >= 0.8)
 select doc_id, item_id, n_shared, n_item, containment from b qualify row_number() over (partition by doc_id, item_id order by containment desc, n_shared desc) = 1""",
     "op6_licences": _licence_sql(),
-    "op7_warc_revisits": """
-with q as (
-  select page_id, url, md5(coalesce(html, '')) as h, regexp_extract(url, '(?s)^[^:/?#]*://([^#]*)', 1) as rest, regexp_matches(url, '^[^:/?#]*://') as ok from pages),
-c as (
-  select page_id, h, case when ok then
-    regexp_replace(translate(regexp_extract(rest, '(?s)^(?:[^/?@]*@)?([^/?]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), ':(80|443)$', '')
-    || case when regexp_extract(rest, '(?s)^[^/?]*([^?]*)', 1) = '' then '/' else regexp_extract(rest, '(?s)^[^/?]*([^?]*)', 1) end
-    || case when p <> '' then '?' || p else '' end end as key
-  from (select *, array_to_string(list_sort(list_filter(string_split(regexp_extract(rest, '(?s)\\?(.*)$', 1), '&'), lambda x: x <> '' and not starts_with(x, 'utm_'))), '&') as p from q)),
-r as (select c.page_id, c.key, c.h, max_by(e.page_id, (e.page_id, 'response-' || e.page_id)) as prior, max_by(e.h, (e.page_id, 'response-' || e.page_id)) as prior_h
-  from c left join c e on c.key = e.key and e.page_id < c.page_id + 31536000 group by all)
-select 'revisit-' || page_id as record_id, key as canonical, 'response-' || prior as refers_to,
-  case when key is null or page_id is null then 'no_key' when prior is null then 'no_earlier_response' when h = prior_h then 'resolved' else 'validator_mismatch' end as outcome,
-  case when h = prior_h then 'cache-control: max-age=60' || chr(10) || 'content-type: text/html' || chr(10) || 'date: ' || (1704067200 + 31536000 + page_id) || chr(10) || 'etag: "' || h || '"' end as headers
-from r""",
+    "op7_warc_revisits": f"""
+with q as (select page_id, '"' || md5(coalesce(html, '')) || '"' as h, {_canonical_sql("url")} as key, page_id % 7 as way from pages),
+e as (select page_id, key, h, 1704067200 + page_id as t from q where page_id % 11 <> 3),
+r as (select q.page_id, q.key, q.h, q.way, max_by(e.page_id, (e.t, 'response-' || e.page_id)) as prior, max_by(e.h, (e.t, 'response-' || e.page_id)) as prior_h
+  from q left join e on q.key = e.key and e.t < 1704067200 + q.page_id + 31536000 group by all),
+s as (select *, case when way = 1 then '"other"' when way = 5 then 'W/' || h when way not in (2, 3, 4) then h end as etag, case when way = 3 then (1704067200 + page_id)::varchar when way = 4 then '0' end as modified from r),
+o as (select *, case when key is null or page_id is null then 'no_key' when prior is null then 'no_earlier_response' when etag is null and modified is null then 'no_validator'
+  when etag is not null and regexp_replace(etag, '^W/', '') = prior_h then 'resolved' when etag is null and modified = (1704067200 + prior)::varchar then 'resolved' else 'validator_mismatch' end as outcome from s)
+select 'revisit-' || page_id as record_id, key as canonical, 'response-' || prior as refers_to, outcome,
+  case when outcome = 'resolved' then 'cache-control: max-age=60' || chr(10) || 'content-type: text/html' || chr(10) || 'date: ' || (1704067200 + 31536000 + page_id) || chr(10)
+    || 'etag: ' || coalesce(etag, prior_h) || chr(10) || 'last-modified: ' || (1704067200 + prior) end as headers
+from o""",
     "op2_exact_topk": """
-with v as (select vec_id, list_transform(embedding, lambda e: floor(256 * e::double)) as v from embeddings where embedding is not null and not list_has_any(list_transform(embedding, lambda e: e is null or not isfinite(e)), [true])),
+with v as (select distinct vec_id, list_transform(embedding, lambda e: floor(256 * e::double)) as v from embeddings where embedding is not null and not list_has_any(list_transform(embedding, lambda e: e is null or not isfinite(e)), [true])),
 s as (select q.vec_id as query_id, c.vec_id, list_dot_product(q.v, c.v)::bigint as score from v q join v c on q.vec_id % 50 = 0 and q.vec_id <> c.vec_id)
 select query_id, rank, vec_id, score from (select *, row_number() over (partition by query_id order by score desc, vec_id)::int as rank from s) where rank <= 5""",
 }

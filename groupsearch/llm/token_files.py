@@ -2,7 +2,8 @@
 
 A file holds whole documents in ascending id order::
 
-    magic "GSTK", version, then as little-endian 64-bit integers: documents, tokens, control bytes, data bytes, table entries
+    magic "GSTK", version, then as little-endian 64-bit integers: documents, tokens, control bytes, data bytes, table entries, and how
+    many documents have no id (they come last, with a zero in its place)
     document ids (int64) | tokens of each document (int64) | id of each rank (uint32) | control bytes | data bytes
 
 Each token is the rank of its id by corpus frequency, in one to four bytes. Two bits in a control byte give the length, four
@@ -26,10 +27,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import SPACE
-from .common import Workspace, bounded_batches, tidy
+from .common import Workspace, batches_of, bounded_batches, filesystem, tidy
 
-MAGIC = b"GSTK\x01\x00\x00\x00"
-HEAD = struct.Struct("<8s5q")
+MAGIC = b"GSTK\x02\x00\x00\x00"
+HEAD = struct.Struct("<8s6q")
+#: Rows of a batch that is encoded at once, so that its distinct stretches are few; most tasks that read files.
+BATCH_ROWS, READ_TASKS = 4096, 10_000
 _CHUNKS = re.compile(f"[^{SPACE}]+")
 #: Lengths of the four tokens that a control byte describes.
 LENGTHS = ((np.arange(256)[:, None] >> np.array([0, 2, 4, 6])) & 3).astype(np.uint8) + 1
@@ -56,19 +59,20 @@ def unpack(control: bytes, data: bytes, n: int) -> np.ndarray:
     return out.view("<u4").reshape(-1)
 
 
-def file_bytes(doc_ids: np.ndarray, counts: np.ndarray, ids: np.ndarray, by_rank: np.ndarray, rank_of: np.ndarray) -> bytes:
+def file_bytes(doc_ids: list[int | None], counts: np.ndarray, ids: np.ndarray, by_rank: np.ndarray, rank_of: np.ndarray) -> bytes:
     control, data = pack(rank_of[ids])
-    head = HEAD.pack(MAGIC, len(doc_ids), len(ids), len(control), len(data), len(by_rank))
-    return b"".join((head, doc_ids.astype("<i8").tobytes(), counts.astype("<i8").tobytes(), by_rank.astype("<u4").tobytes(), control, data))
+    head = HEAD.pack(MAGIC, len(doc_ids), len(ids), len(control), len(data), len(by_rank), sum(d is None for d in doc_ids))
+    named = np.array([d or 0 for d in doc_ids], "<i8")
+    return b"".join((head, named.tobytes(), counts.astype("<i8").tobytes(), by_rank.astype("<u4").tobytes(), control, data))
 
 
-def parse_file(raw: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def parse_file(raw: bytes) -> tuple[pa.Array, np.ndarray, np.ndarray]:
     """(document ids, tokens of each, all ids in order) of a file's bytes."""
-    magic, docs, tokens, n_control, n_data, entries = HEAD.unpack_from(raw)
+    magic, docs, tokens, n_control, n_data, entries, unnamed = HEAD.unpack_from(raw)
     if magic != MAGIC:
         raise ValueError("not a token file")
     at = HEAD.size
-    doc_ids = np.frombuffer(raw, "<i8", docs, at)
+    doc_ids = pa.array(np.frombuffer(raw, "<i8", docs, at), pa.int64(), mask=np.arange(docs) >= docs - unnamed)
     counts = np.frombuffer(raw, "<i8", docs, at := at + 8 * docs)
     by_rank = np.frombuffer(raw, "<u4", entries, at := at + 8 * docs)
     at += 4 * entries
@@ -76,13 +80,6 @@ def parse_file(raw: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return doc_ids, counts, by_rank[ranks]
 
 
-def _filesystem(uri: str):
-    """A file system that executors can write to, and the path in it."""
-    from pyarrow import fs
-
-    return fs.FileSystem.from_uri(uri if "://" in uri or uri.startswith("file:") else f"file://{uri}")
-
-
 #: Texts with none of these can be lower-cased and cut at white space before the tokenizer sees them: no character that normal
 #: forms compose or that lower-cases to two, and no start of a special token. The rest of a text's characters lie below U+0250.
 _UNSAFE = r"[^\x00-\x{12f}\x{131}-\x{24f}]|<\|"
@@ -188,16 +185,17 @@ def write_token_files(
     Steps: deal documents out by ranges of id, encode once into a Parquet table; count every id of the vocabulary over all
     documents (one row of counts a task, at most the vocabulary to the driver) and rank them by falling count; code ranks file by
     file, about file_tokens tokens each, longer only for one longer document. A file is written under a name of its own and then
-    moved, so a retried task leaves a whole file. Manifest: path, first_doc, last_doc, n_docs, n_tokens, base (tokens before it).
-    Null texts count as empty (the end id alone). Rows with equal ids stay, in any order; a null id is dropped. Empty tables give
-    an empty manifest.
+    moved, so a retried task leaves a whole file. Manifest: path, first_doc, last_doc, n_docs, n_tokens, base
+    (tokens before it), file (its number).
+    Null texts count as empty (the end id alone). Rows with equal ids stay, in any order; rows with a null id come last. Empty tables
+    give an empty manifest.
     """
     spark = docs.sparkSession
-    bounded_batches(spark, 4096)
     work = Workspace(spark, "token-files")
     folder = folder or f"{work.path}/files"
-    ordered = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null")
-    ordered = ordered.repartitionByRange("doc_id").sortWithinPartitions("doc_id")
+    ordered = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
+    last = F.col("doc_id").asc_nulls_last()
+    ordered = ordered.repartitionByRange(last).sortWithinPartitions(last)
 
     @tidy
     def encode(batches):
@@ -208,7 +206,8 @@ def write_token_files(
             ids = [x.astype("<u2").tobytes() if x.max() < 1 << 16 else b"\0" + x.tobytes() for x in encoder(path).encode(b.column(1), end_id)]
             yield pa.RecordBatch.from_arrays([pa.array([part] * b.num_rows, pa.int32()), b.column(0), pa.array(ids, pa.binary())], ["part", "doc_id", "ids"])
 
-    coded = work.save(ordered.mapInArrow(encode, "part int, doc_id bigint, ids binary"), "coded")
+    with batches_of(spark, BATCH_ROWS):
+        coded = work.save(ordered.mapInArrow(encode, "part int, doc_id bigint, ids binary"), "coded")
     work.release()
 
     def whole(raw: bytes) -> np.ndarray:
@@ -235,14 +234,14 @@ def write_token_files(
         ranks = table.value
         rank_of = np.zeros(int(ranks.max(initial=0)) + 1, np.uint32)
         rank_of[ranks] = np.arange(len(ranks), dtype=np.uint32)
-        store, root = _filesystem(folder)
+        store, root = filesystem(folder)
         store.create_dir(root, recursive=True)
         ids, docs, held, last = [], [], 0, None
 
         def flush():
             counts = np.array([len(x) for x in ids], np.int64)
-            raw = file_bytes(np.array(docs, np.int64), counts, np.concatenate(ids), ranks, rank_of)
-            name = f"{root}/{docs[0]:020d}-{uuid.uuid4().hex}.gstk"
+            raw = file_bytes(docs, counts, np.concatenate(ids), ranks, rank_of)
+            name = f"{root}/{'unnamed' if docs[0] is None else f'{docs[0]:020d}'}-{uuid.uuid4().hex}.gstk"
             with store.open_output_stream(f"{name}.part") as out:
                 out.write(raw)
             store.move(f"{name}.part", name)
@@ -251,7 +250,7 @@ def write_token_files(
         done = []
         for b in batches:
             for part, doc, raw in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if docs and (held >= file_tokens or part != last or doc < docs[-1]):
+                if docs and (held >= file_tokens or part != last or (doc is None, doc or 0) < (docs[-1] is None, docs[-1] or 0)):
                     done.append(flush())
                     ids, docs, held = [], [], 0
                 last = part
@@ -267,27 +266,32 @@ def write_token_files(
 
     manifest = work.save(coded.mapInArrow(write, "path string, first_doc bigint, last_doc bigint, n_docs bigint, n_tokens bigint"), "manifest")
     work.drop("coded")
-    before = Window.orderBy("first_doc", "last_doc", "path").rowsBetween(Window.unboundedPreceding, -1)  # one row a file
-    return manifest.withColumn("base", F.coalesce(F.sum("n_tokens").over(before), F.lit(0))), len(by_rank)
+    files = Window.orderBy(F.col("first_doc").asc_nulls_last(), F.col("last_doc").asc_nulls_last(), "path")  # one row a file
+    before = F.sum("n_tokens").over(files.rowsBetween(Window.unboundedPreceding, -1))
+    return manifest.withColumn("base", F.coalesce(before, F.lit(0))).withColumn("file", F.row_number().over(files) - 1), len(by_rank)
 
 
 def read_token_files(manifest: DataFrame, keep_ids: bool = False) -> DataFrame:
-    """Documents of token files: doc_id, start (tokens of all documents before), n_tokens, ids_crc32 and, with keep_ids, ids."""
+    """Documents of token files: doc_id, start (tokens of all documents before), n_tokens, ids_crc32 and, with keep_ids, ids.
+
+    manifest: path, base, file (numbers from 0). A file is a task of its own, up to READ_TASKS; beyond, tasks take several.
+    """
     spark = manifest.sparkSession
+    tasks = max(1, min(manifest.count(), READ_TASKS))
     extra = ", ids array<bigint>" if keep_ids else ""
 
     @tidy
     def read(batches):
         for b in batches:
             for path, base in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                store, name = _filesystem(path)
+                store, name = filesystem(path)
                 with store.open_input_file(name) as f:
                     doc_ids, counts, ids = parse_file(f.read())
                 ends = np.cumsum(counts)
                 starts = ends - counts
                 raw = memoryview(ids.astype("<u4").tobytes())
                 crc = [zlib.crc32(raw[4 * s : 4 * e]) for s, e in zip(starts.tolist(), ends.tolist(), strict=True)]
-                columns = [pa.array(doc_ids, pa.int64()), pa.array(starts + base, pa.int64()), pa.array(counts, pa.int64()), pa.array(crc, pa.int64())]
+                columns = [doc_ids, pa.array(starts + base, pa.int64()), pa.array(counts, pa.int64()), pa.array(crc, pa.int64())]
                 names = ["doc_id", "start", "n_tokens", "ids_crc32"]
                 if keep_ids:
                     columns.append(pa.array([ids[s:e].tolist() for s, e in zip(starts, ends, strict=True)], pa.list_(pa.int64())))
@@ -295,4 +299,5 @@ def read_token_files(manifest: DataFrame, keep_ids: bool = False) -> DataFrame:
                 yield pa.RecordBatch.from_arrays(columns, names)
 
     bounded_batches(spark)
-    return manifest.select("path", "base").repartition("path").mapInArrow(read, f"doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint{extra}")
+    dealt = manifest.select("path", "base", F.pmod("file", F.lit(tasks)).cast("int").alias("task")).repartitionById(tasks, "task").select("path", "base")
+    return dealt.mapInArrow(read, f"doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint{extra}")

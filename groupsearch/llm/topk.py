@@ -1,22 +1,23 @@
 """Exact top-k inner-product search: a ball tree for each shard, searched by branch and bound.
 
-A node keeps its centre and radius, so no member scores above <query, centre> + |query| radius. Children are visited in falling
-order of that bound, and a node is left out for every query whose k-th score so far already exceeds it. The k-th scores are
-shared: a bounded first part of the rows gives each query a score that its k-th can't fall below, which is sent to all shards.
+A node keeps its centre and radius, so no member scores above <query, centre> + |query| radius. Each query visits first the child
+with the larger bound, and a node is left out for every query whose k-th score so far already exceeds it. The k-th scores are
+shared: shards are searched in waves, and each wave starts from the k-th scores of all shards before it.
 """
 
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Workspace, bounded_batches
+from .common import Workspace, bounded_batches, filesystem, tidy
 
 LEAF = 256
-#: Queries in one block, rows that give the first bounds, and rows of a shard.
-QUERY_BLOCK, FIRST_ROWS, SHARD_ROWS = 4096, 2048, 65536
+#: Queries in one block, rows of a shard, and the share of the shards that each wave ends with.
+QUERY_BLOCK, SHARD_ROWS, WAVES = 4096, 65536, (1 / 16, 1 / 4, 1)
 _EXACT = float(1 << 53)
 
 
@@ -25,6 +26,7 @@ class BallTree:
 
     def __init__(self, ids: np.ndarray, vectors: np.ndarray, leaf: int = LEAF):
         self.nodes: list[tuple] = []
+        self.evaluated = 0
         order = np.argsort(ids, kind="stable")
         self.ids, self.vectors = ids[order], vectors[order]
         place = np.arange(len(ids))
@@ -48,30 +50,46 @@ class BallTree:
             stack += [(rows[by[half:]], at), (rows[by[:half]], at)]
 
     def search(self, query_ids: np.ndarray, queries: np.ndarray, floor: np.ndarray, k: int):
-        """Lists of (query row, id, score): per query the k best by (score, then smaller id), but none below its floor."""
+        """Lists of (query row, id, score): per query the k best by (score, then smaller id), but none below its floor.
+
+        evaluated counts the products with vectors that were computed.
+        """
         n = len(queries)
         score = np.full((n, k), -np.inf)
         found = np.full((n, k), np.iinfo(np.int64).max)
         norm = np.sqrt((queries**2).sum(1))
         kth = floor.astype(float).copy()
 
-        def bound(node, active):
+        def bound(at, active):
+            node = self.nodes[at]
             exact = queries[active] @ node[0] + norm[active] * node[1]
             return exact + 1e-9 * (np.abs(exact) + norm[active] * (node[1] + np.abs(node[0]).max()) + 1)
 
         def visit(at, active, upper):
-            node = self.nodes[at]
-            active = active[upper >= kth[active]]
+            open_ = upper >= kth[active]
+            active = active[open_]
             if not len(active):
                 return
-            if node[3] is None:
-                bounds = [(bound(self.nodes[c], active), c) for c in node[2]]
-                for upper, c in sorted(bounds, key=lambda x: -x[0].mean()):
-                    visit(c, active, upper)
+            node = self.nodes[at]
+            if node[3] is not None:
+                compare(node, active)
                 return
-            rows = node[3] if node[1] else node[3][: k + 1]  # of equal vectors the smallest ids, one of them perhaps the query's own
+            left, right = node[2]
+            low, high = bound(left, active), bound(right, active)
+            first = low >= high  # these visit the left child first, the others the right one
+            visit(left, active[first], low[first])
+            visit(right, active[~first], high[~first])
+            visit(right, active[first], high[first])
+            visit(left, active[~first], low[~first])
+
+        def compare(node, active):
+            rows = node[3]
+            if not node[1] and len(rows) > k:  # of equal vectors the k smallest ids, and one more for each that is a query's own
+                own = np.isin(self.ids[rows], query_ids[active])
+                rows = rows[np.cumsum(~own) <= k]
             ids = self.ids[rows]
             s = queries[active] @ self.vectors[rows].T
+            self.evaluated += s.size
             s[query_ids[active][:, None] == ids[None, :]] = -np.inf
             if len(rows) > 4 * k:  # those that can be among the k best, ties included
                 part = -np.partition(-s, k - 1, axis=1)[:, k - 1]
@@ -90,7 +108,7 @@ class BallTree:
 
         everyone = np.arange(n)
         if len(self.ids):
-            visit(0, everyone, bound(self.nodes[0], everyone))
+            visit(0, everyone, bound(0, everyone))
         ok = np.isfinite(score) & (score >= floor[:, None])
         at = np.nonzero(ok)
         return at[0], found[at], score[at]
@@ -104,66 +122,86 @@ def integer_vectors(df: DataFrame, id_col: str, vec_col: str, scale: int = 256)
     return ok.select(F.col(id_col).cast("bigint").alias("vec_id"), F.transform(x, lambda e: F.floor(e.cast("double") * F.lit(scale)).cast("double")).alias("v"))
 
 
-def _matrix(column) -> np.ndarray:
-    return np.stack([np.asarray(x, float) for x in column]) if len(column) else np.zeros((0, 0))
+def _by_width(vectors: pa.ChunkedArray, *columns: pa.ChunkedArray):
+    """(width, matrix, columns) of the vectors of each length: vectors of unequal length have no inner product."""
+    widths = pc.list_value_length(vectors).to_numpy()
+    for width in np.unique(widths):
+        if width:
+            at = pa.array(np.flatnonzero(widths == width))
+            flat = pa.concat_arrays([c.flatten() for c in vectors.take(at).chunks])
+            yield int(width), flat.to_numpy(zero_copy_only=False).reshape(len(at), -1), *(c.take(at).to_numpy() for c in columns)
+
 
+def _query_blocks(folder: str):
+    """The saved blocks of queries, one file at a time."""
+    import pyarrow.parquet as pq
+    from pyarrow import fs
 
-def _per_width(frame: pd.DataFrame):
-    """Vectors of unequal length have no inner product; each length is searched by itself."""
-    for width, part in frame.groupby(frame["v"].map(len), sort=True):
-        if width:
-            yield int(width), part["vec_id"].to_numpy(np.int64), _matrix(part["v"].tolist())
+    store, root = filesystem(folder)
+    for info in sorted(store.get_file_info(fs.FileSelector(root)), key=lambda i: i.path):
+        if info.path.endswith(".parquet"):
+            with store.open_input_file(info.path) as f:
+                table = pq.read_table(f)
+            if table.num_rows:
+                yield table
 
 
 def exact_top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, block: int = QUERY_BLOCK) -> DataFrame:
     """The k highest integer inner products of each query: query_id, rank, vec_id, score; ties go to the smaller vec_id.
 
     Both inputs: vec_id, v (see integer_vectors). A query meets every row but those with its own id. Rows repeated with one id and
-    vector count once; of unequal vectors with one id the one that sorts first counts. Fewer than k others give fewer rows, empty
-    tables give none; vectors of unequal length do not meet. Scores must stay below 2**53, else it raises.
+    vector count once; unequal vectors with one id are rows, and queries, of their own. Fewer than k others give fewer rows, empty
+    tables give none; vectors of unequal length, or of none, do not meet. Scores must stay below 2**53, else it raises.
 
-    Queries are taken in blocks of bounded size, each broadcast and met by every shard in one job; rows are dealt by a hash of the
-    id into shards of about SHARD_ROWS, whatever values they hold, so equal vectors spread.
+    Rows are dealt by a hash of id and vector into shards of about SHARD_ROWS, so equal vectors spread. A task builds the tree of its
+    shard once and reads the queries block by block from the shared folder, so neither it nor the driver holds more than a block.
+    Shards are searched in three waves; the k-th scores so far are written with the queries for the next one, and only scores that
+    reach them leave a task.
     """
     spark = vectors.sparkSession
-    bounded_batches(spark, 8192)
+    bounded_batches(spark)
     work = Workspace(spark, "topk")
-    rows = work.save(vectors.groupBy("vec_id").agg(F.min("v").alias("v")), "rows")
-    asked = work.save(queries.groupBy("vec_id").agg(F.min("v").alias("v")), "queries")
+    rows = work.save(vectors.select("vec_id", "v").distinct(), "rows")
+    asked = work.save(queries.select("vec_id", "v").distinct().withColumn("query", F.monotonically_increasing_id()), "queries")
     n_rows, n_queries = rows.count(), asked.count()
-    shards = max(1, min(-(-n_rows // 4096), max(spark.sparkContext.defaultParallelism, -(-n_rows // SHARD_ROWS))))
-    dealt = rows.repartition(shards, "vec_id")
-    first = rows.limit(FIRST_ROWS).toPandas() if n_rows else pd.DataFrame({"vec_id": [], "v": []})  # only bounds; all rows are searched
-    out = None
     blocks = max(1, -(-n_queries // block))
-    for b in range(blocks):
-        mine = asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).toPandas() if n_queries else first[:0]
-        parts = []
-        starts = {w: (i, v) for w, i, v in _per_width(first)} if len(first) else {}
-        for width, ids, q in _per_width(mine) if len(mine) else ():
-            floor = np.full(len(ids), -np.inf)
-            if width in starts:
-                at, _, s = BallTree(*starts[width]).search(ids, q, floor, k)
-                best = pd.Series(s).groupby(at).agg(["size", "min"])
-                full = best[best["size"] == k]
-                floor[full.index.to_numpy(int)] = full["min"].to_numpy()
-            parts.append((width, ids, q, floor))
-        shared = spark.sparkContext.broadcast(parts)
-
-        def run(frames, shared=shared):
-            frames = list(frames)  # a shard, of bounded rows
-            frame = pd.concat(frames) if frames else pd.DataFrame({"vec_id": [], "v": []})
-            trees = {w: (i, v) for w, i, v in _per_width(frame)} if len(frame) else {}
-            for width, ids, q, floor in shared.value:
-                if width in trees:
-                    i, v = trees[width]
-                    if np.abs(v).max(initial=0) * np.abs(q).max(initial=0) * width >= _EXACT:
+    shards = max(1, min(-(-n_rows // 4096), max(spark.sparkContext.defaultParallelism, -(-n_rows // SHARD_ROWS))))
+    dealt = rows.withColumn("shard", F.pmod(F.xxhash64("vec_id", "v"), F.lit(shards)).cast("int"))
+    best = spark.createDataFrame([], "query bigint, query_id bigint, vec_id bigint, score bigint")
+    first = 0
+    for wave, share in enumerate(WAVES):
+        last = max(first, round(shards * share))
+        if last == first:
+            continue
+        kth = best.groupBy("query").agg(F.min("score").alias("floor"), F.count("*").alias("n")).where(F.col("n") == k).select("query", "floor")
+        ready = asked.join(kth, "query", "left").repartitionById(blocks, F.pmod(F.xxhash64("query"), F.lit(blocks)).cast("int"))
+        work.save(ready.select("query", "vec_id", F.col("floor").cast("double").alias("floor"), "v"), f"asked-{wave}")
+        folder = f"{work.path}/asked-{wave}"
+
+        @tidy
+        def run(batches, folder=folder):
+            batches = [b for b in batches if b.num_rows]  # a shard, of bounded rows
+            if not batches:
+                return
+            table = pa.Table.from_batches(batches)
+            trees = {}
+            for width, matrix, ids in _by_width(table.column("v"), table.column("vec_id")):
+                trees[width] = BallTree(ids, matrix), float(np.abs(matrix).max())
+            for asked in _query_blocks(folder):
+                for width, q, query, ids, floor in _by_width(asked.column("v"), asked.column("query"), asked.column("vec_id"), asked.column("floor")):
+                    if width not in trees:
+                        continue
+                    tree, largest = trees[width]
+                    if largest * np.abs(q).max() * width >= _EXACT:
                         raise ValueError("inner products beyond 2**53")
-                    at, found, score = BallTree(i, v).search(ids, q, floor, k)
-                    yield pd.DataFrame({"query_id": ids[at], "vec_id": found, "score": score.astype(np.int64)})
-
-        hits = dealt.mapInPandas(run, "query_id bigint, vec_id bigint, score bigint")
-        best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-        part = hits.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
-        out = part if out is None else out.unionByName(part)
-    return out
+                    at, found, score = tree.search(ids, q, np.where(np.isnan(floor), -np.inf, floor), k)
+                    columns = [query[at], ids[at], found, score.astype(np.int64)]
+                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["query", "query_id", "vec_id", "score"])
+
+        mine = dealt.where((F.col("shard") >= first) & (F.col("shard") < last)).withColumn("task", F.col("shard") - first)
+        hits = mine.repartitionById(last - first, "task").select("vec_id", "v").mapInArrow(run, "query bigint, query_id bigint, vec_id bigint, score bigint")
+        order = Window.partitionBy("query").orderBy(F.desc("score"), "vec_id")
+        ranked = best.unionByName(hits).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+        best, first = work.save(ranked.drop("rank"), f"best-{wave}"), last
+    order = Window.partitionBy("query").orderBy(F.desc("score"), "vec_id")
+    return best.withColumn("rank", F.row_number().over(order)).select("query_id", "rank", "vec_id", "score")

@@ -8,7 +8,9 @@ from __future__ import annotations
 
 import gzip
 import io
+import zlib
 from collections.abc import Iterator
+from datetime import datetime, timezone
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
@@ -18,8 +20,8 @@ from .common import ascii_lower, bounded_batches
 
 #: Headers that a not-modified answer may carry and that replace the stored ones.
 PERMITTED = ("cache-control", "content-location", "date", "etag", "expires", "vary")
-#: Rows of one url that a time slice is made for.
-SLICE_ROWS = 200_000
+#: Rows of one url that a time slice is made for; bytes of records that leave a reader at once.
+SLICE_ROWS, READ_BYTES = 200_000, 16 << 20
 RECORDS = "record_id string, kind string, url string, ts timestamp, status int, headers map<string,string>, body binary"
 
 
@@ -36,18 +38,47 @@ def canonical_url(url: Column) -> Column:
     return F.when(url.rlike(r"^[^:/?#]*://"), whole)
 
 
+class _Inflated(io.RawIOBase):
+    """The members of a gzip file, one after the other, up to where it is cut off or damaged."""
+
+    def __init__(self, raw: bytes):
+        self.raw, self.at, self.member = memoryview(raw), 0, zlib.decompressobj(31)
+
+    def readable(self) -> bool:
+        return True
+
+    def readinto(self, out) -> int:
+        try:
+            while self.at < len(self.raw):
+                given = self.raw[self.at : self.at + (1 << 14)]
+                got = self.member.decompress(given, len(out))
+                self.at += len(given) - len(self.member.unused_data if self.member.eof else self.member.unconsumed_tail)
+                if self.member.eof:
+                    self.member = zlib.decompressobj(31)
+                if got:
+                    out[: len(got)] = got
+                    return len(got)
+        except zlib.error:
+            pass
+        return 0
+
+
 def parse_warc(raw: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
-    """(record headers in lower case, block) of each record; gzip members are inflated, a cut-off last record is left out."""
-    if raw[:2] == b"\x1f\x8b":
-        raw = gzip.decompress(raw)
-    f = io.BytesIO(raw)
+    """(record headers in lower case, block) of each record, one at a time; gzip members are inflated as they are reached.
+
+    A cut-off or damaged end of the file is left out, records before it are not. A record whose length is missing, negative or no
+    number is skipped; the next one is found by its first line.
+    """
+    f = io.BufferedReader(_Inflated(raw)) if raw[:2] == b"\x1f\x8b" else io.BytesIO(raw)
     while line := f.readline():
         if not line.startswith(b"WARC/"):
             continue
         head = _headers(f)
-        size = int(head.get("content-length") or 0)
-        block = f.read(size)
-        if len(block) == size:
+        size = head.get("content-length", "")
+        if not (size.isascii() and size.isdigit()):
+            continue
+        block = f.read(int(size))
+        if len(block) == int(size):
             yield head, block
 
 
@@ -69,29 +100,37 @@ def write_warc(records: list[tuple[dict[str, str], bytes]], compress: bool = Tru
     return b"".join(out)
 
 
+def _record(head: dict[str, str], block: bytes) -> dict:
+    f = io.BytesIO(block)
+    first = f.readline().split()
+    status = int(first[1]) if len(first) > 1 and first[1].isdigit() and len(first[1]) < 6 else None
+    fields = _headers(f)
+    try:
+        ts = datetime.fromisoformat(head.get("warc-date", "").replace("Z", "+00:00"))
+        ts = ts if ts.tzinfo else ts.replace(tzinfo=timezone.utc)
+    except ValueError:
+        ts = None
+    return {"record_id": head.get("warc-record-id"), "kind": head["warc-type"], "url": head.get("warc-target-uri"), "ts": ts, "status": status, "headers": list(fields.items()), "body": f.read()}
+
+
 def read_warc(spark, path: str) -> DataFrame:
-    """Response and revisit records of WARC files, a file a task: see RECORDS. Files are read by Spark, so any store will do."""
-    bounded_batches(spark, 1)
+    """Response and revisit records of WARC files, a file a task: see RECORDS. Files are read by Spark, so any store will do.
 
-    def run(batches):
-        from datetime import datetime, timezone
+    A worker holds a file as it is stored, one inflated record and the rows of a batch of READ_BYTES.
+    """
+    bounded_batches(spark)
 
+    def run(batches):
         for b in batches:
-            for raw in b.column(0).to_pylist():
-                rows = []
-                for head, block in parse_warc(raw):
-                    if head.get("warc-type") not in ("response", "revisit"):
-                        continue
-                    f = io.BytesIO(block)
-                    first = f.readline().split()
-                    status = int(first[1]) if len(first) > 1 and first[1].isdigit() else None
-                    fields = _headers(f)
-                    try:
-                        ts = datetime.fromisoformat(head.get("warc-date", "").replace("Z", "+00:00"))
-                        ts = ts if ts.tzinfo else ts.replace(tzinfo=timezone.utc)
-                    except ValueError:
-                        ts = None
-                    rows.append({"record_id": head.get("warc-record-id"), "kind": head["warc-type"], "url": head.get("warc-target-uri"), "ts": ts, "status": status, "headers": list(fields.items()), "body": f.read()})
+            for raw in b.column(0):
+                rows, size = [], 0
+                for head, block in parse_warc(raw.as_py()):
+                    if head.get("warc-type") in ("response", "revisit"):
+                        rows.append(_record(head, block))
+                        size += len(block)
+                    if size >= READ_BYTES:
+                        yield pa.RecordBatch.from_pylist(rows, schema=_SCHEMA)
+                        rows, size = [], 0
                 yield pa.RecordBatch.from_pylist(rows, schema=_SCHEMA)
 
     return spark.read.format("binaryFile").load(path).select("content").mapInArrow(run, RECORDS)
@@ -176,17 +215,30 @@ def resolve_revisits(records: DataFrame, slice_rows: int = SLICE_ROWS) -> DataFr
 
 
 def crawl_of_pages(pages: DataFrame) -> DataFrame:
-    """Records of two visits to every page, as a crawler would have kept them: the response, then a not-modified revisit.
+    """Records of two visits to every page, as a crawler would have kept them: a response, then a revisit a year later.
 
-    The response has the page's id as its second since 2024, its html's digest as ETag; the revisit is a year later and repeats
-    the digest. Pages that share a canonical url meet each other's records.
+    The response has the page's id as its second since 2024, its html's digest as ETag, and its time as Last-Modified; every eleventh
+    failed (503). Revisits by id modulo 7: 1 sends another digest, 2 no validator, 3 its Last-Modified alone, 4 another one, 5 its
+    digest as a weak tag, the others their digest. Pages that share a canonical url meet each other's records.
     """
-    etag = F.concat(F.lit('"'), F.md5(F.coalesce("html", F.lit(""))), F.lit('"'))
-    seconds = F.lit(1704067200) + F.col("page_id")
-    first = F.create_map(F.lit("Content-Type"), F.lit("text/html"), F.lit("ETag"), etag, F.lit("Date"), seconds.cast("string"), F.lit("Cache-Control"), F.lit("max-age=60"))
-    again = F.create_map(F.lit("ETag"), etag, F.lit("Date"), (seconds + 31536000).cast("string"), F.lit("Server"), F.lit("cache"))
+    page = F.col("page_id")
+    digest = F.concat(F.lit('"'), F.md5(F.coalesce("html", F.lit(""))), F.lit('"'))
+    seconds, way = F.lit(1704067200) + page, F.pmod(page, F.lit(7))
+    status = F.when(F.pmod(page, F.lit(11)) == 3, 503).otherwise(200)
+    first = F.create_map(
+        F.lit("Content-Type"), F.lit("text/html"), F.lit("ETag"), digest, F.lit("Last-Modified"), seconds.cast("string"), F.lit("Date"), seconds.cast("string"), F.lit("Cache-Control"), F.lit("max-age=60")
+    )
+    etag = F.when(way == 1, F.lit('"other"')).when(way == 5, F.concat(F.lit("W/"), digest)).when(~way.isin(2, 3, 4), digest)
+    modified = F.when(way == 3, seconds.cast("string")).when(way == 4, F.lit("0"))
+    again = F.create_map(F.lit("ETag"), etag, F.lit("Last-Modified"), modified, F.lit("Date"), (seconds + 31536000).cast("string"), F.lit("Server"), F.lit("cache"))
     kinds = F.array(
-        F.struct(F.concat(F.lit("response-"), F.col("page_id")).alias("record_id"), F.lit("response").alias("kind"), F.timestamp_seconds(seconds).alias("ts"), F.lit(200).alias("status"), first.alias("headers")),
-        F.struct(F.concat(F.lit("revisit-"), F.col("page_id")).alias("record_id"), F.lit("revisit").alias("kind"), F.timestamp_seconds(seconds + 31536000).alias("ts"), F.lit(304).alias("status"), again.alias("headers")),
+        F.struct(F.concat(F.lit("response-"), page).alias("record_id"), F.lit("response").alias("kind"), F.timestamp_seconds(seconds).alias("ts"), status.alias("status"), first.alias("headers")),
+        F.struct(
+            F.concat(F.lit("revisit-"), page).alias("record_id"),
+            F.lit("revisit").alias("kind"),
+            F.timestamp_seconds(seconds + 31536000).alias("ts"),
+            F.lit(304).alias("status"),
+            F.map_filter(again, lambda k, v: v.isNotNull()).alias("headers"),
+        ),
     )
     return pages.select("url", F.explode(kinds).alias("r")).select("url", "r.*")

@@ -47,27 +47,43 @@ def _judge(host, path, rules):
     return max(fits, key=lambda r: (len(r[0] + r[1]), r[0] + r[1]), default=None)
 
 
-@pytest.mark.parametrize("limit", [url_filter.BROADCAST_ROWS, 0])
-def test_urls_against_brute_force(spark, monkeypatch, limit):
+@pytest.mark.parametrize("few,limit", [(url_filter.FEW_RULES, url_filter.BROADCAST_ROWS), (0, url_filter.BROADCAST_ROWS), (0, 0)])
+def test_urls_against_brute_force(spark, monkeypatch, few, limit):
+    monkeypatch.setattr(url_filter, "FEW_RULES", few)
     monkeypatch.setattr(url_filter, "BROADCAST_ROWS", limit)
     rng = random.Random(1)
     hosts = [".".join(rng.choices(["a", "b", "example", "com", "net"], k=rng.randint(1, 4))) for _ in range(60)]
     rules = list({(rng.choice(hosts), rng.choice(["/", "/x", "/x/y", ""])): None for _ in range(40)})
     urls = [f"http{rng.choice(['', 's'])}://{rng.choice(hosts).upper()}{rng.choice(['', '/', '/x/y?q', '/x#z', '?a'])}" for _ in range(300)] + [None, "", "nothing", "://", "a://?x"]
-    pages = spark.createDataFrame([(i // 2, u, "clash") for i, u in enumerate(urls)], "page_id bigint, url string, key string")
-    listed = spark.createDataFrame([(h, p, "block") for h, p in rules] + [(None, "/", "block"), ("x", None, "allow")], "host string, path string, verdict string")
-    got = url_filter.judge_urls(pages, listed).collect()
+    pages = spark.createDataFrame([(i // 2, u, "clash") for i, u in enumerate(urls)], "page_id bigint, url string, key string").withColumn("block", F.lit(1)).withColumn("listed", F.lit("x"))
+    ruled = spark.createDataFrame([(h, p, "block" if i % 3 else "allow") for i, (h, p) in enumerate(rules)] + [(None, "/", "block"), ("x", None, "allow")], "host string, path string, verdict string")
+    # the list holds other spellings of some urls
+    noted = [u.replace("https://", "http://user@").replace("/", "/", 1) + "#z" for u in urls[:300:4]] + [None, "junk"]
+    listed = spark.createDataFrame([(u,) for u in noted], "url string")
+    got = url_filter.judge_urls(pages, ruled, listed).collect()
     assert len(got) == len(urls)
-    want = []
+    want, known = [], {_plain(u) for u in noted if u and "://" in u}
     for i, u in enumerate(urls):
         rest = (u or "").partition("://")[2] if u and "://" in u else ""
         host = rest.split("/")[0].split("?")[0].split("#")[0]
         path = rest[len(host) :].split("?")[0].split("#")[0]
-        best = _judge(host.lower(), path, [r for r in rules]) if host else None
-        want.append((i // 2, host.lower(), path, best and best[0] + best[1], "block" if best else "allow"))
+        best = _judge(host.lower(), path, rules) if host else None
+        is_listed = bool(u) and "://" in u and u != "://" and _plain(u) in known
+        verdict = ("block" if rules.index(best) % 3 else "allow") if best else "block" if is_listed else "allow"
+        want.append((i // 2, host.lower(), path, best and best[0] + best[1], verdict, is_listed))
     assert sorted(map(str, [tuple(r) for r in got])) == sorted(map(str, want))
-    assert url_filter.judge_urls(pages, listed.limit(0)).where("verdict <> 'allow'").count() == 0
-    assert url_filter.judge_urls(pages.limit(0), listed).count() == 0
+    assert {w[4] for w in want if w[3] is None} == {"block", "allow"}
+    none = url_filter.judge_urls(pages, ruled.limit(0), listed.limit(0))
+    assert none.where("verdict <> 'allow' or listed").count() == 0 and none.count() == len(urls)
+    assert url_filter.judge_urls(pages.limit(0), ruled, listed).count() == 0
+
+
+def _plain(url):
+    """The canonical form of the test's urls."""
+    rest = url.partition("://")[2].split("#")[0].rpartition("@")[2]
+    host, _, query = rest.partition("?")
+    host, slash, path = host.partition("/")
+    return host.lower() + "/" + path + (f"?{query}" if query else "")
 
 
 def test_bloom_filter_has_no_false_negatives(spark):
@@ -89,8 +105,10 @@ def test_top_k_against_brute_force_with_ties(spark, monkeypatch):
     rng = np.random.default_rng(0)
     x = rng.integers(-3, 4, (400, 4)) / 256
     x[100:250] = x[100]  # many equal vectors
-    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(900, None), (901, [None, 1.0, 0.0, 0.0]), (902, [float("nan")] * 4), (903, [float("inf")] * 4), (5, x[5].tolist())]
-    v = topk.integer_vectors(spark.createDataFrame(rows, "vec_id bigint, embedding array<float>"), "vec_id", "embedding")
+    rows = [(i, v.tolist(), "c") for i, v in enumerate(x)]
+    rows += [(900, None, ""), (901, [None, 1.0, 0.0, 0.0], ""), (902, [float("nan")] * 4, ""), (903, [float("inf")] * 4, ""), (904, [], ""), (905, [1.0] * 5, ""), (None, [1.0] * 4, ""), (5, x[5].tolist(), "again")]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<float>, v string").withColumn("query", F.lit(1)).withColumn("score", F.lit(1))
+    v = topk.integer_vectors(df, "vec_id", "embedding")
     got = {}
     for r in topk.exact_top_k(v, v.where("vec_id % 50 = 0"), 5, block=3).collect():
         got.setdefault(r.query_id, []).append((r.rank, r.vec_id, r.score))
@@ -101,7 +119,29 @@ def test_top_k_against_brute_force_with_ties(spark, monkeypatch):
     assert set(got) == set(range(0, 400, 50))
     few = v.where("vec_id < 3")
     assert topk.exact_top_k(few, few.where("vec_id = 0"), 5).count() == 2
-    assert topk.exact_top_k(v.limit(0), v.limit(0), 5).count() == 0
+    assert topk.exact_top_k(v.limit(0), v.limit(0), 5).count() == topk.exact_top_k(v, v.limit(0), 5).count() == 0
+
+
+def test_unequal_vectors_with_one_id_all_take_part(spark):
+    rows = [(1, [1.0, 0.0]), (2, [3.0, 0.0]), (2, [5.0, 0.0]), (3, [4.0, 0.0]), (1, [-1.0, 0.0])]
+    v = spark.createDataFrame(rows, "vec_id bigint, v array<double>")
+    got = topk.exact_top_k(v, v.where("vec_id = 1"), 3).collect()
+    assert sorted((r.rank, r.vec_id, r.score) for r in got if r.score > 0) == [(1, 2, 5), (2, 3, 4), (3, 2, 3)]
+    assert sorted((r.rank, r.vec_id, r.score) for r in got if r.score < 0) == [(1, 2, -3), (2, 3, -4), (3, 2, -5)]
+
+
+def test_trees_leave_nodes_out():
+    rng = np.random.default_rng(3)
+    centres = rng.integers(-200, 200, (40, 8))
+    x = (centres[rng.integers(0, 40, 8000)] + rng.integers(-9, 10, (8000, 8))).astype(float)
+    ids, tree = np.arange(8000), topk.BallTree(np.arange(8000), x, 64)
+    at, found, score = tree.search(ids[:50], x[:50], np.full(50, -np.inf), 5)
+    assert tree.evaluated < 0.3 * 50 * 8000
+    for i in range(50):
+        s = x @ x[i]
+        s[i] = -np.inf
+        want = np.lexsort((ids, -s))[:5]
+        assert found[at == i].tolist() == want.tolist() and score[at == i].tolist() == s[want].tolist()
 
 
 # op3 -------------------------------------------------------------------------------------------------------------------------
@@ -337,12 +377,15 @@ def test_token_files_of_odd_rows(spark, odd, none):
     manifest, _ = token_files.write_token_files(odd, path, file_tokens=40)
     rows = sorted(token_files.read_token_files(manifest, keep_ids=True).collect(), key=lambda r: r.start)
     library, start = Tokenizer.from_file(path), 0
-    want = sorted((r.doc_id, library.encode(r.text or "", add_special_tokens=False).ids + [1]) for r in odd.collect() if r.doc_id is not None)
+    coded = [(r.doc_id, library.encode(r.text or "", add_special_tokens=False).ids + [1]) for r in odd.collect()]
+    want = sorted(coded, key=lambda r: (r[0] is None, r[0] or 0))
     assert [(r.doc_id, r.ids) for r in rows] == want
     for r in rows:
         assert r.start == start and r.ids_crc32 == zlib.crc32(np.array(r.ids, "<u4").tobytes())
         start += r.n_tokens
     assert manifest.count() > 2
+    used = token_files.read_token_files(manifest).select(F.spark_partition_id().alias("p")).distinct().count()
+    assert used == manifest.count()  # a task for each file
     empty, _ = token_files.write_token_files(none, path)
     assert token_files.read_token_files(empty).count() == 0
 
@@ -414,6 +457,13 @@ def test_warc_files(spark, tmp_path):
     for compress in (True, False):
         raw = warc.write_warc(records, compress)
         assert [(h["warc-type"], b) for h, b in warc.parse_warc(raw)] == [(h["WARC-Type"], b) for h, b in records]
+        assert [(h["warc-type"], b) for h, b in warc.parse_warc(raw[:-30])] == [(h["WARC-Type"], b) for h, b in records[:2]]
+        long = warc.write_warc([({"WARC-Type": "response"}, bytes([i % 251]) * (i * 977 % 300_000)) for i in range(60)], compress)
+        assert [len(b) for _, b in warc.parse_warc(long)] == [i * 977 % 300_000 for i in range(60)]
+        assert len(list(warc.parse_warc(long[: len(long) // 2] + b"junk" * 9))) < 60
+        assert list(warc.parse_warc(raw[:12])) == list(warc.parse_warc(b"")) == []
+    odd = b"WARC/1.1\r\nWARC-Type: response\r\nContent-Length: many\r\n\r\nx\r\n\r\n" + warc.write_warc(records[:1], False)
+    assert [h["warc-type"] for h, _ in warc.parse_warc(odd)] == ["warcinfo"]
     (tmp_path / "a.warc.gz").write_bytes(warc.write_warc(records))
     rows = warc.read_warc(spark, str(tmp_path))
     assert rows.count() == 2 and bytes(rows.where("record_id = 'a'").first().body) == b"body"

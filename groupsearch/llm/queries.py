@@ -80,23 +80,25 @@ def _values(rows) -> str:
     return ", ".join("(" + ", ".join(f"'{x}'" for x in r) + ")" for r in rows)
 
 
+def _quoted(pattern: str) -> str:
+    return "'" + pattern.replace("'", "''") + "'"
+
+
 def _licence_sql() -> str:
-    """Rules as nested replacements, as the operator spends identifiers."""
-    left, found = "whole", []
-    for i, (ids, licence) in enumerate(licenses.RULES):
-        run = "".join(f"<{x}>" for x in ids)
-        found.append(f"case when contains({left}, '{run}') then '{licence}' end")
-        left = f"replace({left}, '{run}', '|')"
+    """Rules one after the other, as the operator spends identifiers."""
+    rules = [(i + 1, "".join(f"<{x}>" for x in ids), licence) for i, (ids, licence) in enumerate(licenses.RULES)]
     return f"""
-with known(sentence, sid) as (values {_values(licenses.SENTENCES)}),
-s as (select doc_id, row_number() over () as r, string_split(regexp_replace(coalesce(text, ''), '[.!?]+([\\s]|$)|;|\\r', chr(10), 'g'), chr(10)) as parts from documents),
-u as (select doc_id, r, unnest(parts) as raw, generate_subscripts(parts, 1) as pos from s),
-h as (select u.doc_id, u.r, u.pos, k.sid from u join known k on trim(regexp_replace(lower(u.raw), '[^\\p{{L}}\\p{{N}}]+', ' ', 'g')) = k.sentence),
-g as (select doc_id, r, string_agg(sid, ' ' order by pos) as sentences, string_agg('<' || sid || '>', '' order by pos) as whole from h group by doc_id, r)
-select doc_id, sentences,
-  (select coalesce(string_agg(x, ' ' order by o), '') from (select x, min(o) as o from (select unnest([{", ".join(found)}]) as x, generate_subscripts([{", ".join("1" for _ in found)}], 1) as o) where x is not null group by x)) as licences,
-  trim(regexp_replace(replace({left}, '|', ''), '[<>]+', ' ', 'g')) as unmatched
-from g"""
+with recursive known(sentence, sid) as (values {_values(licenses.SENTENCES)}),
+rules(i, run, licence) as (values {", ".join(f"({i}, '{run}', '{licence}')" for i, run, licence in rules)}),
+s as (select doc_id, row_number() over () as r, string_split(regexp_replace(regexp_replace(coalesce(text, ''), {_quoted(licenses.DEFINED)}, ' ', 'g'), {_quoted(licenses.ENDS)}, chr(1), 'g'), chr(1)) as parts from documents),
+u as (select doc_id, r, unnest(parts) as whole, generate_subscripts(parts, 1) as pos from s),
+l as (select doc_id, r, pos, case when contains(whole, chr(10)) then list_concat([whole], string_split(whole, chr(10))) else [whole] end as units from u),
+x as (select doc_id, r, pos, unnest(units) as raw, generate_subscripts(units, 1) as line from l),
+h as (select x.doc_id, x.r, x.pos, x.line, k.sid from x join known k on trim(regexp_replace(lower(x.raw), '[^\\p{{L}}\\p{{N}}]+', ' ', 'g')) = k.sentence qualify x.line = 1 or min(x.line) over (partition by x.r, x.pos) > 1),
+g as (select doc_id, r, string_agg(sid, ' ' order by pos, line) as sentences, string_agg('<' || sid || '>', '' order by pos, line) as whole from h group by doc_id, r),
+w as (select doc_id, r, sentences, 0 as i, whole as rest, []::varchar[] as found from g
+  union all select doc_id, r, sentences, rules.i, replace(rest, run, '|'), case when contains(rest, run) and not list_contains(found, licence) then list_append(found, licence) else found end from w join rules on rules.i = w.i + 1)
+select doc_id, sentences, array_to_string(found, ' ') as licences, trim(regexp_replace(replace(rest, '|', ''), '[<>]+', ' ', 'g')) as unmatched from w where i = {len(rules)}"""
 
 
 def _canonical_sql(url: str) -> str:

@@ -398,12 +398,129 @@ def test_licence_rules(spark, odd, none):
         "Licensed under the Apache License, Version 2.0. You may not use this file except in compliance with the License!\nYou may obtain a copy of the License at: nowhere",
         "Released under the MIT License.\nreleased under the MIT license; All rights reserved.",
         "The software is provided \"as is\", without warranty of any kind.",
+        "some line\nThis work is licensed under CC BY-NC-SA 3.0\nanother line",
+        "// SPDX-License-Identifier: GPL-2.0-or-later\nint main() {}",
+        "This project is licensed under the MIT License - see the LICENSE file for details",
     ]
     got = {r.doc_id: r for r in licenses.scan_licences(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")).collect()}
-    assert got[0].sentences == "ApacheRef2 ApacheComply" and got[0].licences == "Apache-2.0" and got[0].unmatched == "ApacheComply"
+    assert got[0].sentences == "ref-Apache-2.0 ApacheComply" and got[0].licences == "Apache-2.0" and got[0].unmatched == "ApacheComply"
     assert got[1].licences == "MIT Proprietary" and got[1].unmatched == ""
     assert got[2].licences == "" and got[2].unmatched == "AsIs"
+    assert [got[i].licences for i in (3, 4, 5)] == ["CC-BY-NC-SA-3.0", "GPL-2.0-or-later", "MIT"]
     assert licenses.scan_licences(odd).count() == licenses.scan_licences(none).count() == 0
+    assert len(licenses.SENTENCES) == len({s for s, _ in licenses.SENTENCES}) > 500
+    assert all(ids and all(c not in "".join(ids) for c in "<>| '") for ids, _ in licenses.RULES)
+
+
+#: Published notices as they stand in files.
+NOTICES = {
+    "Apache-2.0": '''/*
+ * Copyright 2020 Some One
+ *
+ * Licensed under the Apache License, Version 2.0 (the "License");
+ * you may not use this file except in compliance with the License.
+ * You may obtain a copy of the License at
+ *
+ *     http://www.apache.org/licenses/LICENSE-2.0
+ *
+ * Unless required by applicable law or agreed to in writing, software
+ * distributed under the License is distributed on an "AS IS" BASIS,
+ * WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+ * See the License for the specific language governing permissions and
+ * limitations under the License.
+ */''',
+    "MIT": '''MIT License
+
+Copyright (c) 2020 Some One
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE.''',
+    "BSD-3-Clause": '''Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+
+3. Neither the name of the copyright holder nor the names of its
+   contributors may be used to endorse or promote products derived from
+   this software without specific prior written permission.
+
+THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS"
+AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE
+IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE
+DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE
+FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL
+DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR
+SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER
+CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY,
+OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE
+OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE.''',
+    "GPL-3.0-or-later": '''# This program is free software: you can redistribute it and/or modify
+# it under the terms of the GNU General Public License as published by
+# the Free Software Foundation, either version 3 of the License, or
+# (at your option) any later version.
+#
+# This program is distributed in the hope that it will be useful,
+# but WITHOUT ANY WARRANTY; without even the implied warranty of
+# MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+# GNU General Public License for more details.
+#
+# You should have received a copy of the GNU General Public License
+# along with this program.  If not, see <https://www.gnu.org/licenses/>.''',
+    "LGPL-2.1-or-later": '''   This library is free software; you can redistribute it and/or
+   modify it under the terms of the GNU Lesser General Public
+   License as published by the Free Software Foundation; either
+   version 2.1 of the License, or (at your option) any later version.
+
+   This library is distributed in the hope that it will be useful,
+   but WITHOUT ANY WARRANTY; without even the implied warranty of
+   MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the GNU
+   Lesser General Public License for more details.''',
+    "MPL-2.0": '''/* This Source Code Form is subject to the terms of the Mozilla Public
+ * License, v. 2.0. If a copy of the MPL was not distributed with this
+ * file, You can obtain one at https://mozilla.org/MPL/2.0/. */''',
+    "ISC": '''Permission to use, copy, modify, and/or distribute this software for any
+purpose with or without fee is hereby granted, provided that the above
+copyright notice and this permission notice appear in all copies.
+
+THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES
+WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF
+MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR
+ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES
+WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN
+ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF
+OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.''',
+}
+
+
+def test_published_notices(spark):
+    rows = [(i, f"some code before\n\n{t}\n\nand after") for i, t in enumerate(NOTICES.values())]
+    rows.append((100, "\n\n".join(NOTICES.values())))
+    rows = [r for i, t in rows for r in ((i, t), (i + 1000, t.replace("\n", "\r\n")))]
+    got = {r.doc_id: r for r in licenses.scan_licences(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    for i, name in enumerate(NOTICES):
+        assert (got[i].licences, got[i + 1000].licences) == (name, name)
+        assert got[i].unmatched == ("GnuHope GnuImplied LGPLSee" if name == "LGPL-2.1-or-later" else "")
+    assert set(got[100].licences.split()) == set(NOTICES)
 
 
 def _records(rows, spark):

@@ -1,9 +1,10 @@
 """Toxicity by weak supervision.
 
 Voters are lexicon entries (whole words, word starts) and patterns (character n-grams of words), chosen where they are
-over-represented in labelled toxic documents. A generative label model with a latent label gives each voter its two vote rates
-and takes the correlation of voters into account: voters that agree beyond what the label explains share their weight. Its
-posteriors, not the labels, train a logistic classifier over all voters, which scores every document.
+over-represented in labelled toxic documents. A generative label model with a latent label estimates each voter's accuracy (its vote
+rates among clean and among toxic documents) and its correlation with the voter it depends on most (its rates given that one's vote):
+a vote that another one explains counts for little. Its posteriors, not the labels, train a logistic classifier over all voters,
+which scores every document.
 """
 
 from __future__ import annotations
@@ -20,20 +21,18 @@ from pyspark.sql import functions as F
 
 from .common import Workspace, bounded_batches, tidy
 
-#: Documented bounds: labelled rows the model is fitted on, voters, words looked up by a worker, least support of a voter.
-FIT_ROWS, VOTERS, MEMO, SUPPORT = 20_000, 400, 300_000, 4
+#: Documented bounds: labelled rows the model is fitted on, voters, words looked up by a worker, and the least support of a voter, in
+#: toxic rows and as a share of them. As fitted rows are bounded, so are the patterns that enough toxic ones hold.
+FIT_ROWS, VOTERS, MEMO, SUPPORT, SUPPORT_SHARE = 20_000, 400, 300_000, 4, 0.002
+#: How much likelier a voter is in toxic documents than in clean ones.
+GAIN = 12
 THRESHOLD = 0.7
 _WORD = re.compile(r"\w+")
 
 
 def patterns(word: str) -> set[str]:
-    """What a word can match: itself, its starts of 3 to 7 letters, its n-grams of 4 to 6; ^ and $ mark its ends.
-
-    Of words over 40 letters only the word itself and n-grams of 6 count, at every place.
-    """
+    """What a word can match: itself, its starts of 3 to 7 letters, its n-grams of 4 to 6; ^ and $ mark its ends."""
     w = f"^{word}$"
-    if len(word) > 40:
-        return {w} | {w[i : i + 6] for i in range(len(w) - 5)}
     found = {w} | {w[:k] for k in range(4, 9)}
     for k in (4, 5, 6):
         found.update(w[i : i + k] for i in range(len(w) - k + 1))
@@ -54,13 +53,14 @@ class ToxicityModel:
     voters: list[str]
     weights: np.ndarray
     bias: float
-    rates: np.ndarray  # of each voter: votes among clean and among toxic documents
-    shared: np.ndarray  # of each voter: how many voters its evidence counts for
-    prior: float
+    labels: LabelModel
 
-    def score(self, votes: set[int] | list[int]) -> float:
-        logit = self.bias + sum(self.weights[i] for i in sorted(votes)) + float(_totals(np.array([len(votes)])) @ self.weights[len(self.voters) :])
-        return 1 / (1 + math.exp(-min(max(logit, -50), 50)))
+    def scores(self, votes: list[list[int]]) -> np.ndarray:
+        """Scores of documents from the voters that fire on each, all at once."""
+        n = np.fromiter(map(len, votes), np.int64, len(votes))
+        flat = np.fromiter((i for v in votes for i in v), np.int64, int(n.sum()))
+        logit = self.bias + np.bincount(np.repeat(np.arange(len(n)), n), self.weights[flat], len(n)) + _totals(n) @ self.weights[len(self.voters) :]
+        return 1 / (1 + np.exp(-np.clip(logit, -50, 50)))
 
 
 def _totals(n: np.ndarray) -> np.ndarray:
@@ -68,41 +68,85 @@ def _totals(n: np.ndarray) -> np.ndarray:
     return np.stack([n >= 1, n >= 2, np.log1p(n)], -1).astype(float)
 
 
-def label_model(votes: np.ndarray, labels: np.ndarray, rounds: int = 30) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
-    """EM over binary votes: posteriors, vote rates by label, correlation shares, prior. The given labels act as one more voter.
+@dataclass
+class LabelModel:
+    """A generative model of votes: by latent label, each voter's rate, and its rates given the vote of the voter it depends on."""
+
+    prior: float
+    trust: float  # how often a given label is the latent one
+    rates: np.ndarray  # voters x label
+    parent: np.ndarray  # of each voter the one it depends on, or -1
+    given: np.ndarray  # voters x label x vote of the parent
 
-    labels: 0, 1, or -1 where unknown. After each round, correlations of votes that remain within a label are measured; a voter
-    with strong ones to others counts for the inverse of their number. A voter that does not fire abstains.
+    def evidence(self, votes: np.ndarray) -> np.ndarray:
+        """Log odds that the votes of each row give: a voter that fires, given what its parent does; one that doesn't abstains."""
+        free, tied = self.parent < 0, self.parent >= 0
+        alone = np.log(self.rates[:, 1] / self.rates[:, 0])
+        odds = np.log(self.given[:, 1] / self.given[:, 0])
+        of_parent = votes[:, self.parent[tied]]
+        return votes[:, free] @ alone[free] + (votes[:, tied] * np.where(of_parent > 0, odds[tied, 1], odds[tied, 0])).sum(1)
+
+
+def dependencies(votes: np.ndarray, weight: np.ndarray, least: float = 0.01) -> np.ndarray:
+    """The parent of each voter in a forest of the strongest mutual information given the label; links of less than the least go.
+
+    weight: rows x label, how much a row counts for each label.
+    """
+    n, k = votes.shape
+    info = np.zeros((k, k))
+    for y in (0, 1):
+        total = weight[:, y].sum() + 2
+        both = (votes.T * weight[:, y]) @ votes + 0.5
+        one = votes.T @ weight[:, y] + 1
+        share = total / n
+        for a, b, joint in ((one, one, both), (one, total - one, one[:, None] - both), (total - one, one, one[None, :] - both), (total - one, total - one, total - one[:, None] - one[None, :] + both)):
+            joint = np.clip(joint, 1e-9, None) / total
+            info += share * joint * np.log(joint / (a[:, None] / total) / (b[None, :] / total))
+    entropy = [-(x * np.log(x) + (1 - x) * np.log(1 - x)) for x in [np.clip(votes.mean(0), 1e-6, 1 - 1e-6)]][0]
+    strength = info / np.sqrt(np.outer(entropy, entropy))
+    np.fill_diagonal(strength, -1)
+    parent, best, link = np.full(k, -1), np.full(k, -1.0), np.full(k, -1)
+    left = np.ones(k, bool)
+    for _ in range(k):  # a tree grown from its strongest link on; a voter without a strong one starts another
+        i = int(np.argmax(np.where(left, best, -2)))
+        if best[i] >= least:
+            parent[i] = link[i]
+        left[i] = False
+        closer = left & (strength[i] > best)
+        best[closer], link[closer] = strength[i][closer], i
+    return parent
+
+
+def label_model(votes: np.ndarray, labels: np.ndarray, rounds: int = 30) -> tuple[np.ndarray, LabelModel]:
+    """EM over binary votes: posteriors of the latent label, and the model. The given labels act as one more voter.
+
+    labels: 0, 1, or -1 where unknown. A voter that does not fire abstains; that none fires at all is evidence of its own. Which
+    voter another depends on is chosen anew every tenth round, from what the posteriors leave unexplained.
     """
     n, k = votes.shape
     known = labels >= 0
     post = np.where(known, np.where(labels == 1, 0.98, 0.02), 0.1) if known.any() else np.clip(votes.mean(1) * 4, 0.02, 0.98)
-    shared = np.ones(k)
-    rates = np.zeros((k, 2))
-    prior = float(post.mean()) if n else 0.1
-    trust = 0.97
+    model = LabelModel(float(post.mean()) if n else 0.1, 0.97, np.full((k, 2), 0.5), np.full(k, -1), np.full((k, 2, 2), 0.5))
+    silent = votes.sum(1) == 0
     for step in range(rounds if n else 0):
         weight = np.stack([1 - post, post], 1)
         total = weight.sum(0)
-        rates = (votes.T @ weight + 0.5) / (total + 1)
-        rates = np.clip(rates, 1e-4, 1 - 1e-4)
-        prior = float(np.clip(total[1] / n, 1e-4, 1 - 1e-4))
+        model.rates = np.clip((votes.T @ weight + 0.5) / (total + 1), 1e-4, 1 - 1e-4)
+        model.prior = float(np.clip(total[1] / n, 1e-4, 1 - 1e-4))
         if step % 10 == 0:
-            rest = votes - (rates @ weight.T).T
-            sd = np.sqrt((rest**2).mean(0)) + 1e-9
-            corr = np.abs((rest / sd).T @ (rest / sd)) / n
-            np.fill_diagonal(corr, 0)
-            shared = 1 + np.where(corr > 0.3, corr, 0).sum(1)
-        on = np.log(rates[:, 1] / rates[:, 0]) / shared
-        silent = votes.sum(1) == 0
+            model.parent = dependencies(votes, weight)
+        of_parent = np.where(model.parent >= 0, votes[:, model.parent], 0)
+        for vote in (0, 1):
+            at = of_parent if vote else 1 - of_parent
+            pooled = ((votes * at).sum(0) + 0.5) / (at.sum(0) + 1)  # whatever the label: where one label has no such rows, both agree
+            model.given[:, :, vote] = np.clip(((votes * at).T @ weight + 2 * pooled[:, None]) / (at.T @ weight + 2), 1e-4, 1 - 1e-4)
         quiet = np.clip((silent @ weight + 0.5) / (total + 1), 1e-4, 1 - 1e-4)
-        logit = np.log(prior / (1 - prior)) + votes @ on + silent * np.log(quiet[1] / quiet[0])
-        logit += np.where(known, np.where(labels == 1, 1, -1) * np.log(trust / (1 - trust)), 0)
+        logit = np.log(model.prior / (1 - model.prior)) + model.evidence(votes) + silent * np.log(quiet[1] / quiet[0])
+        logit += np.where(known, np.where(labels == 1, 1, -1) * np.log(model.trust / (1 - model.trust)), 0)
         post = 1 / (1 + np.exp(-np.clip(logit, -30, 30)))
         if known.any():
-            agree = np.where(labels == 1, post, 1 - post)[known].mean()
-            trust = float(np.clip(agree, 0.6, 0.995))
-    return post, rates, shared, prior
+            model.trust = float(np.clip(np.where(labels == 1, post, 1 - post)[known].mean(), 0.6, 0.995))
+    return post, model
 
 
 def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05, steps: int = 25) -> tuple[np.ndarray, float]:
@@ -122,20 +166,21 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05, steps: int = 25)
     return w[:-1], float(w[-1])
 
 
-def _candidates(pos: Counter, neg: Counter, n_pos: int, n_neg: int, most: int = 6000) -> list[str]:
+def _candidates(pos: dict, neg: dict, n_pos: int, n_neg: int) -> list[str]:
     """Over-represented patterns, the strongest first; of nested ones that equally many toxic documents hold, only the shortest."""
     rated = []
     for p, a in pos.items():
         gain = math.log((a + 0.5) / (n_pos + 1)) - math.log((neg.get(p, 0) + 0.5) / (n_neg + 1))
-        if gain > math.log(12) and a >= SUPPORT:
+        if gain > math.log(GAIN):
             rated.append((a, gain, p))
-    kept: dict[int, list[str]] = {}
+    kept: dict[int, set[str]] = {}
     out = []
     for a, gain, p in sorted(rated, key=lambda r: (len(r[2]), r[2])):
-        if not any(q in p for q in kept.get(a, ())):
-            kept.setdefault(a, []).append(p)
+        held = kept.setdefault(a, set())
+        if not any(p[i:j] in held for i in range(len(p)) for j in range(i + 1, min(len(p), i + 8) + 1)):
+            held.add(p)
             out.append((a * gain * gain, p))
-    return [p for _, p in sorted(out, reverse=True)[:most]]
+    return [p for _, p in sorted(out, reverse=True)]
 
 
 def _cover(votes: list[list[int]], toxic: list[int], n: int, most: int, times: int = 8) -> list[int]:
@@ -160,8 +205,8 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, voters: in
     """Fits on rows whose labels may be learned, about fit_rows of them, chosen by a hash of the id; None without toxic rows.
 
     The chosen labels are broadcast (fit_rows bounds them) to find their documents. Counting is distributed: a task counts in how
-    many of its documents each pattern occurs; the driver gets only patterns that enough toxic rows hold, then a short list of
-    votes for each fitted row. Repeated labels of an id count once, the largest of them; null labels and ids are ignored.
+    many of its documents each pattern occurs; the driver gets only patterns that at least SUPPORT toxic rows and SUPPORT_SHARE of them
+    hold, which the bound on rows bounds, then a list of votes for each fitted row. Repeated labels of an id count once, the largest of them; null labels and ids are ignored.
     """
     spark = docs.sparkSession
     bounded_batches(spark)
@@ -202,15 +247,15 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, voters: in
                 )
 
     kinds = "pattern string, toxic int, n bigint"
-    held = rows.mapInArrow(tidy(count), kinds).groupBy("pattern", "toxic").agg(F.sum("n").alias("n")).where("toxic = 1").where((F.col("n") >= SUPPORT) | (F.col("pattern") == ""))
-    top = held.orderBy(F.col("pattern") != "", F.desc("n"), "pattern").limit(60_000).collect()
-    pos = Counter({r.pattern: r.n for r in top})
-    n_pos = pos.pop("", 0)
+    held = rows.mapInArrow(tidy(count), kinds).groupBy("pattern", "toxic").agg(F.sum("n").alias("n")).where("toxic = 1")
+    held = work.save(held.where((F.col("n") >= SUPPORT) | (F.col("pattern") == "")).select("pattern", "n"), "held")
+    n_pos = held.where("pattern = ''").agg(F.max("n")).first()[0] or 0
+    pos = {r.pattern: r.n for r in held.where(F.col("pattern") != "").where(F.col("n") >= SUPPORT_SHARE * n_pos).collect()}
     if not pos:
         return None
     only = spark.sparkContext.broadcast(set(pos))
     counted = rows.mapInArrow(tidy(lambda batches: count(batches, only.value)), kinds).where("toxic = 0").groupBy("pattern").agg(F.sum("n").alias("n")).collect()
-    neg = Counter({r.pattern: r.n for r in counted})
+    neg = {r.pattern: r.n for r in counted}
     n_neg = neg.pop("", 0)
     ranked = _candidates(pos, neg, n_pos, n_neg)
     if not ranked:
@@ -221,9 +266,9 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, voters: in
     x = np.zeros((len(votes), len(place)))
     for i, r in enumerate(votes):
         x[i, [place[v] for v in r.votes if v in place]] = 1
-    post, rates, shared, prior = label_model(x, y)
+    post, model = label_model(x, y)
     weights, bias = logistic(np.hstack([x, _totals(x.sum(1))]), post)
-    return ToxicityModel([ranked[v] for v in place], weights, bias, rates, shared, prior)
+    return ToxicityModel([ranked[v] for v in place], weights, bias, model)
 
 
 class Voting:
@@ -274,7 +319,7 @@ def score_documents(docs: DataFrame, model: ToxicityModel | None, threshold: flo
         vote = Voting(model.voters if model else [])
         for b in batches:
             if model:
-                score = np.array([model.score(vote(t)) for t in b.column(1).to_pylist()])
+                score = model.scores([sorted(vote(t)) for t in b.column(1).to_pylist()])
             else:
                 score = np.zeros(b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(score, pa.float64())], ["doc_id", "score"])
@@ -294,6 +339,6 @@ def keep_clean(docs: DataFrame, model: ToxicityModel | None, threshold: float =
         vote = Voting(model.voters)
         for b in batches:
             at = b.schema.get_field_index("text")
-            yield b.filter(pa.array([model.score(vote(t)) < threshold for t in b.column(at).to_pylist()], pa.bool_()))
+            yield b.filter(pa.array(model.scores([sorted(vote(t)) for t in b.column(at).to_pylist()]) < threshold, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -683,7 +683,7 @@ def test_toxicity_on_held_out_rows(spark):
     labels = common.table(spark, sf, "labels")
     got = queries.op10_toxicity(spark, sf).join(labels, "doc_id").where("held_out").toPandas()
     toxic, clean = got[got.toxic == 1], got[got.toxic == 0]
-    assert (clean.predicted == 0).mean() > 0.99 and (toxic.predicted == 1).mean() > 0.85
+    assert (clean.predicted == 0).mean() > 0.99 and (toxic.predicted == 1).mean() > 0.9
     assert got.score.between(0, 1).all()
     assert ((got.score >= 0.7).astype(int) == got.predicted).all()
 
@@ -700,19 +700,25 @@ def test_held_out_labels_are_not_learned(spark):
 def test_toxicity_of_odd_rows(spark, odd, none):
     labels = spark.createDataFrame([(1, None), (None, 1), (2, 0)], "doc_id bigint, toxic int")
     assert toxicity.fit(odd, labels) is None and toxicity.fit(none, labels) is None
-    model = toxicity.ToxicityModel(["clow"], np.array([2.0, 0, 0, 0]), -1.0, np.zeros((1, 2)), np.ones(1), 0.1)
+    model = toxicity.ToxicityModel(["clow"], np.array([2.0, 0, 0, 0]), -1.0, toxicity.label_model(np.zeros((0, 1)), np.zeros(0))[1])
     scored = toxicity.score_documents(odd, model).collect()
     assert len(scored) == odd.count() and all(r.predicted == 0 and 0 <= r.score <= 1 for r in scored)
     assert toxicity.keep_clean(odd, model).count() == odd.count() and toxicity.score_documents(none, model).count() == 0
 
 
-def test_label_model_recovers_rates():
+def test_label_model_recovers_accuracies_and_correlations():
     rng = np.random.default_rng(0)
     y = rng.random(4000) < 0.2
     votes = np.stack([np.where(y, rng.random(4000) < a, rng.random(4000) < b) for a, b in ((0.8, 0.02), (0.6, 0.05), (0.5, 0.01))], 1).astype(float)
-    votes = np.hstack([votes, votes[:, :1]])  # a voter that copies another
+    echo = np.where(rng.random(4000) < 0.9, votes[:, 0], 0)  # a voter that nearly copies another
+    votes = np.hstack([votes, echo[:, None]])
     labels = np.where(rng.random(4000) < 0.3, y, -1).astype(int)
-    post, rates, shared, _ = toxicity.label_model(votes, labels)
+    post, model = toxicity.label_model(votes, labels)
     assert ((post > 0.5) == y).mean() > 0.93
-    assert rates[0, 1] == pytest.approx(0.8, abs=0.1) and rates[0, 0] < 0.08
-    assert shared[0] > 1.5 and shared[3] > 1.5 and shared[2] < 1.3
+    assert model.rates[0, 1] == pytest.approx(0.8, abs=0.15) and model.rates[0, 0] < 0.08
+    assert {model.parent[0], model.parent[3]} & {0, 3} and model.parent[2] == -1
+    i = 3 if model.parent[3] == 0 else 0
+    assert abs(model.given[i, 1, 1] - model.given[i, 0, 1]) < 0.1  # given the other's vote it says little of the label
+    one, two = np.eye(4)[[0, 1]], np.array([[1.0, 0, 0, 1], [1, 1, 0, 0]])
+    apart, echoed = model.evidence(one)[0], model.evidence(two)
+    assert abs(echoed[0] - apart) < 0.1 < echoed[1] - apart

@@ -35,16 +35,16 @@ def hash_weights(df: DataFrame, id_col: str, text: Column, d: int) -> DataFrame:
     return placed.groupBy(id_col, "pos").agg(F.sum("s").alias("weight"))
 
 
-def _hashed(items: list[str], d: int, memo: dict) -> np.ndarray:
-    v = np.zeros(d)
+def _hashed(items: list[str], memo: dict) -> list[int]:
+    out = []
     for w in items:
         h = memo.get(w)
         if h is None:
             h = int(hashlib.md5(w.encode()).hexdigest()[:8], 16)
             if len(memo) < 500_000:
                 memo[w] = h
-        v[h % d] += 1 if (h // d) % 2 == 0 else -1
-    return v
+        out.append(h)
+    return out
 
 
 def hash_vectors(df: DataFrame, id_col: str, text_col: str, d: int, kind: str = "word", keep: list[str] | None = None) -> DataFrame:
@@ -62,7 +62,8 @@ def hash_vectors(df: DataFrame, id_col: str, text_col: str, d: int, kind: str =
             for i, t in enumerate(b.column(1).to_pylist()):
                 t = (t or "").lower()
                 items = _WORD.findall(t) if kind == "word" else [t[j : j + 3] for j in range(len(t) - 2)]
-                v = _hashed(items, d, memo)
+                h = np.array(_hashed(items, memo), np.int64)
+                v = np.bincount(h % d, 1.0 - 2.0 * (h // d % 2), d)
                 n = np.linalg.norm(v)
                 if n > 0:
                     rows.append(v / n)
@@ -72,6 +73,9 @@ def hash_vectors(df: DataFrame, id_col: str, text_col: str, d: int, kind: str =
             yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at, pa.int64())), x, *kept], ["vec_id", "vec", *keep])
 
     schema = ", ".join(["vec_id bigint", "vec array<double>", *(f"{c} {kinds[c]}" for c in keep)])
+    tasks = df.sparkSession.sparkContext.defaultParallelism
+    if 0 < len(df.inputFiles()) < tasks:  # a table of few files is spread first
+        df = df.repartition(tasks)
     return df.select(F.col(id_col).cast("bigint"), text_col, *keep).mapInArrow(run, schema)
 
 

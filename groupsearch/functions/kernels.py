@@ -6,15 +6,15 @@ import numpy as np
 import pyarrow as pa
 
 
-def matrix(column) -> np.ndarray:
-    """Rows of an Arrow list column, all of one length, as a double matrix."""
+def matrix(column, kind=float) -> np.ndarray:
+    """Rows of an Arrow list column, all of one length, as a matrix of doubles or of another kind."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     n = len(column)
     if not n:
-        return np.zeros((0, 0))
+        return np.zeros((0, 0), kind)
     flat = column.flatten().to_numpy(zero_copy_only=False)
-    return np.asarray(flat, float).reshape(n, -1)
+    return np.asarray(flat, kind).reshape(n, -1)
 
 
 def vectors_column(x: np.ndarray) -> pa.Array:
@@ -50,6 +50,37 @@ def representative(x: np.ndarray, kind: str, normalize: bool = False, lam: float
     return m / size if normalize and size > 0 else m
 
 
+def unit_reps(v: np.ndarray, own: np.ndarray, units: int, kind: str, normalize: bool = False, rcond: float = 1e-10) -> tuple[np.ndarray, np.ndarray]:
+    """(representatives of all units, sizes): rows of units without members are zero. Units of one size are solved in one call."""
+    size = np.bincount(own, minlength=units)
+    order = np.argsort(own, kind="stable")
+    first = np.cumsum(size) - size
+    reps = np.zeros((units, v.shape[1]))
+    if kind == "sum":
+        held = np.flatnonzero(size)
+        if len(held):
+            reps[held] = np.add.reduceat(v[order], first[held])
+    else:
+        for n in np.unique(size[size > 0]):
+            which = np.flatnonzero(size == n)
+            if n > v.shape[1]:
+                for j in which:
+                    reps[j] = pinv_rep(v[order[first[j] : first[j] + n]], rcond)
+                continue
+            step = max(1, (1 << 22) // (n * v.shape[1]))
+            for i in range(0, len(which), step):
+                part = which[i : i + step]
+                x = v[order[first[part][:, None] + np.arange(n)]]
+                values, basis = np.linalg.eigh(x @ x.transpose(0, 2, 1))
+                keep = values > rcond * np.maximum(values[:, -1:], 0)
+                weight = np.einsum("uij,uj->ui", basis, np.where(keep, basis.sum(1) / np.where(keep, values, 1), 0))
+                reps[part] = np.einsum("ui,uid->ud", weight, x)
+    if normalize:
+        length = np.linalg.norm(reps, axis=1, keepdims=True)
+        reps /= np.where(length > 0, length, 1)
+    return reps, size
+
+
 class UnitState:
     """A representative that grows by one vector at a time.
 
@@ -112,18 +143,15 @@ def spherical_lloyd(v: np.ndarray, units: int, kind: str, normalize: bool, seed:
         if len(own) and (new == own).all():
             break
         own = new
-        members = np.split(np.argsort(own, kind="stable"), np.cumsum(np.bincount(own, minlength=len(reps)))[:-1])
-        fit = None
-        for j, rows in enumerate(members):
-            if len(rows):
-                reps[j] = representative(v[rows], kind, normalize)
-            elif empty == "reseed":
-                fit = (v * reps[own]).sum(1) if fit is None else fit
+        reps, size = unit_reps(v, own, len(reps), kind, normalize)
+        if empty == "reseed" and (size == 0).any():
+            fit = (v * reps[own]).sum(1)
+            for j in np.flatnonzero(size == 0):
                 worst = int(np.argmin(fit))
                 fit[worst] = np.inf
                 reps[j] = v[worst]
         if empty == "drop":
-            held = np.array([len(rows) > 0 for rows in members], bool)
+            held = size > 0
             reps, own = reps[held], (np.cumsum(held) - 1)[own]
     return own, reps
 
@@ -143,16 +171,34 @@ def minibatch_kmeans(v: np.ndarray, units: int, batch: int, steps: int, seed: in
 
 
 def top_k_rows(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
-    """For each row of scores the columns of the k best, ties to the smaller id."""
+    """For each row of scores the columns of the k best, ties to the smaller id. ids: of each column, or of each score."""
+    ids = np.broadcast_to(ids, scores.shape)
     if scores.shape[1] > 4 * k:
         cut = -np.partition(-scores, k - 1, axis=1)[:, k - 1]
         wide = scores >= cut[:, None]
         most = int(wide.sum(1).max())
         part = np.argsort(~wide, axis=1, kind="stable")[:, :most]
         sub = np.where(np.take_along_axis(wide, part, 1), np.take_along_axis(scores, part, 1), -np.inf)
-        order = np.lexsort((ids[part], -sub), axis=1)[:, :k]
+        order = np.lexsort((np.take_along_axis(ids, part, 1), -sub), axis=1)[:, :k]
         return np.take_along_axis(part, order, 1)
-    return np.lexsort((np.broadcast_to(ids, scores.shape), -scores), axis=1)[:, :k]
+    return np.lexsort((ids, -scores), axis=1)[:, :k]
+
+
+class Best:
+    """The k best of each query so far, blocks of scores taken in one after the other."""
+
+    def __init__(self, queries: int, k: int):
+        self.k = k
+        self.score, self.ids = np.full((queries, k), -np.inf), np.full((queries, k), np.iinfo(np.int64).max)
+
+    def add(self, first: int, scores: np.ndarray, ids: np.ndarray) -> None:
+        """Scores of the queries from the first on against columns of these ids."""
+        rows = slice(first, first + len(scores))
+        at = top_k_rows(scores, ids, self.k)
+        both = np.concatenate([self.score[rows], np.take_along_axis(scores, at, 1)], 1)
+        held = np.concatenate([self.ids[rows], ids[at]], 1)
+        at = np.lexsort((held, -both), axis=1)[:, : self.k]
+        self.score[rows], self.ids[rows] = np.take_along_axis(both, at, 1), np.take_along_axis(held, at, 1)
 
 
 def hamming_distances(words: np.ndarray, code: np.ndarray) -> np.ndarray:
@@ -161,3 +207,11 @@ def hamming_distances(words: np.ndarray, code: np.ndarray) -> np.ndarray:
     for row, c in zip(words, code, strict=True):
         out += np.bitwise_count(row ^ c)
     return out
+
+
+def hamming_block(queries: np.ndarray, codes: np.ndarray) -> np.ndarray:
+    """Differing bits of every query code and every code (rows of words)."""
+    out = np.zeros((len(queries), len(codes)), np.int32)
+    for q, c in zip(np.ascontiguousarray(queries.T), np.ascontiguousarray(codes.T), strict=True):
+        out += np.bitwise_count(q[:, None] ^ c[None, :])
+    return out

@@ -27,23 +27,39 @@ def phi(x: pd.Series) -> pd.Series:
     return x.map(theory.phi)
 
 
-def register(spark: SparkSession, index_members=None, index_reps=None, tau: float = 0.5) -> None:
-    """Registers pinv_rep, sum_rep and phi; with a bounded index (collected here), group_search(query, k) as a table function."""
+def register(spark: SparkSession, path: str | None = None, tau: float = 0.5) -> None:
+    """Registers pinv_rep, sum_rep and phi; with the folder of an index (see tables.write_index), group_search(query, k) as a table function.
+
+    The function streams the representatives, batch by batch, and reads from the members only row groups of the units it opens, so
+    neither the driver nor a worker holds the index. The folder must be one that executors can read.
+    """
     for name, f in (("pinv_rep", pinv_rep), ("sum_rep", sum_rep), ("phi", phi)):
         spark.udf.register(name, f)
-    if index_reps is None:
+    if path is None:
         return
-    reps, members = index_reps.orderBy("unit_id").toArrow(), index_members.orderBy("vec_id").toArrow()
-    m, units = kernels.matrix(reps.column("rep")), reps.column("unit_id").to_numpy()
-    v, ids, own = kernels.matrix(members.column("vec")), members.column("vec_id").to_numpy(), members.column("unit_id").to_numpy()
 
     @udtf(returnType="vec_id bigint, sim double")
     class GroupSearch:
+        def __init__(self):
+            import pyarrow.dataset as ds
+            from pyarrow import fs
+
+            store, root = fs.FileSystem.from_uri(path if "://" in path or path.startswith("file:") else f"file://{path}")
+            self.reps, self.members = (ds.dataset(f"{root}/{name}", filesystem=store, format="parquet") for name in ("reps", "members"))
+            self.unit = ds.field("unit_id")
+
         def eval(self, query: list, k: int):
             q = np.asarray(query, float)
-            rows = np.flatnonzero(np.isin(own, units[m @ q > tau]))
-            s = v[rows] @ q
-            for i in np.lexsort((ids[rows], -s))[:k]:
-                yield int(ids[rows[i]]), float(s[i])
+            opened: list[int] = []
+            for b in self.reps.to_batches(columns=["unit_id", "rep"]):
+                if b.num_rows:
+                    opened += b.column(0).to_numpy()[kernels.matrix(b.column(1)) @ q > tau].tolist()
+            ids, sims = np.zeros(0, np.int64), np.zeros(0)
+            for b in self.members.to_batches(columns=["vec_id", "vec"], filter=self.unit.isin(opened)) if opened else ():
+                if b.num_rows:
+                    ids, sims = np.concatenate([ids, b.column(0).to_numpy()]), np.concatenate([sims, kernels.matrix(b.column(1)) @ q])
+                    best = np.lexsort((ids, -sims))[:k]
+                    ids, sims = ids[best], sims[best]
+            yield from zip(ids.tolist(), sims.tolist(), strict=True)
 
     spark.udtf.register("group_search", GroupSearch)

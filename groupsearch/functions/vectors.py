@@ -2,8 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_type
+
+from . import kernels
 
 
 def _col(c) -> Column:
@@ -55,17 +61,64 @@ def power_normalize(df: DataFrame, exponent: float = 0.5, vec: str = "vec") -> D
     return normalize(df.withColumn(vec, F.transform(vec, lambda x: F.signum(x) * F.pow(F.abs(x), F.lit(exponent)))), vec)
 
 
-def mean_vectors(df: DataFrame, by: str | None = None, vec: str = "vec", d: int = 64) -> DataFrame:
-    """One row of component means, for each value of ``by`` or overall; partial sums before the shuffle."""
-    means = F.array(*[F.avg(F.get(vec, i)) for i in range(d)]).alias("mean")
-    return df.groupBy(by).agg(means) if by else df.agg(means)
-
-
-def center_vectors(df: DataFrame, by: str | None = None, vec: str = "vec", d: int = 64) -> DataFrame:
-    """Subtracts the mean vector, overall or of a column's value (few values: means are broadcast), then scales to unit length."""
-    means = mean_vectors(df, by, vec, d)
-    joined = df.join(F.broadcast(means), by) if by else df.crossJoin(F.broadcast(means))
-    return normalize(joined.withColumn(vec, F.zip_with(vec, "mean", lambda x, m: x - m)).drop("mean"), vec)
+def mean_vectors(df: DataFrame, by: str | None = None, vec: str = "vec") -> DataFrame:
+    """One row of component means, for each value of ``by`` or overall: dense partial sums of a task, added up by value."""
+    kind = dict(df.dtypes)[by] if by else "int"
+    parts = df.where(F.col(vec).isNotNull()).select((F.col(by) if by else F.lit(0)).alias("k"), vec)
+
+    def partial(batches):
+        sums: dict = {}
+        for b in batches:
+            x = kernels.matrix(b.column(1))
+            coded = b.column(0).dictionary_encode()
+            names, place = coded.dictionary.to_pylist(), coded.indices.fill_null(-1).to_numpy(zero_copy_only=False)
+            for i in np.unique(place):
+                rows = x[place == i]
+                total = sums.setdefault(names[i] if i >= 0 else None, [np.zeros(x.shape[1]), 0])
+                total[0] += rows.sum(0)
+                total[1] += len(rows)
+        out = list(sums.items())
+        yield pa.RecordBatch.from_arrays(
+            [pa.array([k for k, _ in out], key_type), kernels.vectors_column(np.stack([t[0] for _, t in out]) if out else np.zeros((0, 0))), pa.array([t[1] for _, t in out], pa.int64())], ["k", "total", "n"]
+        )
+
+    def final(key, table):
+        total = kernels.matrix(table.column("total")).sum(0) / sum(table.column("n").to_pylist())
+        return pa.table([pa.array([key[0].as_py()], key_type), kernels.vectors_column(total[None, :])], names=["k", "mean"])
+
+    key_type = to_arrow_type(parts.schema["k"].dataType)
+    out = parts.mapInArrow(partial, f"k {kind}, total array<double>, n bigint").groupBy("k").applyInArrow(final, f"k {kind}, mean array<double>")
+    return out.withColumnRenamed("k", by) if by else out.select("mean")
+
+
+def center_vectors(df: DataFrame, by: str | None = None, vec: str = "vec") -> DataFrame:
+    """Subtracts the mean vector, overall or of a column's value (few values: means are broadcast), then scales to unit length.
+
+    Vectors that are their mean become null, null vectors stay null. Dense blocks in Arrow tasks; the input is read twice.
+    """
+    means = mean_vectors(df, by, vec)
+    if by:
+        means = means.withColumnRenamed(by, "__by")
+        joined = df.join(F.broadcast(means), df[by].eqNullSafe(F.col("__by")), "left").drop("__by")
+    else:
+        joined = df.join(F.broadcast(means), F.lit(True), "left")
+    names = df.columns
+    at = names.index(vec)
+
+    def run(batches):
+        for b in batches:
+            columns = [b.column(i) for i in range(len(names))]
+            known = np.flatnonzero(columns[at].is_valid().to_numpy(zero_copy_only=False))
+            x = kernels.matrix(columns[at].take(pa.array(known))) - kernels.matrix(b.column(len(names)).take(pa.array(known))) if len(known) else np.zeros((0, 0))
+            size = np.linalg.norm(x, axis=1) if len(known) else np.zeros(0)
+            place = np.full(b.num_rows, -1)
+            place[known[size > 0]] = np.arange(int((size > 0).sum()))
+            scaled = kernels.vectors_column(x[size > 0] / size[size > 0, None]) if (size > 0).any() else pa.array([], pa.list_(pa.float64()))
+            columns[at] = scaled.take(pa.array(place, mask=place < 0))
+            yield pa.RecordBatch.from_arrays(columns, names)
+
+    schema = T.StructType([T.StructField(f.name, T.ArrayType(T.DoubleType()) if f.name == vec else f.dataType) for f in df.schema])
+    return joined.select(*names, "mean").mapInArrow(run, schema)
 
 
 def binarize(vec, d: int) -> Column:

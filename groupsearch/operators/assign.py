@@ -79,6 +79,8 @@ def spherical_kmeans(
     end when no vector moves. With a folder every round is written there, which cuts the lineage; else each plan is one round long,
     as a round depends on the last only through its centroids.
     """
+    if units * d * 8 > BROADCAST_BYTES:
+        raise ValueError("too many centroids to broadcast; cluster in batches")
     order = [F.col("vec_id")] if start == "first" else [F.xxhash64("vec_id", F.lit(seed)), F.col("vec_id")]
     first = vectors.orderBy(*order).limit(units).select("vec").collect()
     c = np.array([r.vec for r in first], float).reshape(len(first), -1)
@@ -131,10 +133,13 @@ def batch_spherical_kmeans(
 
 
 def append_batch(spark, path: str, new: DataFrame, batch_id: int, **options) -> None:
-    """Clusters new vectors by themselves and adds them to an index on disk; what is there stays untouched, a repeat overwrites itself."""
+    """Clusters new vectors by themselves, in batches of bounded size, and adds them to an index on disk.
+
+    What is there stays untouched, a repeat overwrites itself.
+    """
     from .represent import pinv_representatives
 
-    members = batch_spherical_kmeans(new, batch_size=1 << 30, **options)
+    members = batch_spherical_kmeans(new, **options)
     members = members.withColumn("unit_id", F.col("unit_id") + F.lit(batch_id << 40)).withColumn("batch_id", F.lit(batch_id).cast("bigint"))
     target = f"{path}/members/batch_id={batch_id}"
     members.drop("batch_id").sortWithinPartitions("unit_id").write.mode("overwrite").parquet(target)

@@ -13,10 +13,10 @@ from pyspark.sql import functions as F
 from ..functions import kernels
 from ..functions.vectors import dot
 from .assign import nearest_unit
-from .search import Index, rank_hits, search
+from .search import Index, bounded_broadcast, query_blocks, rank_hits, search
 
-#: Documented bound of the rows that mini-batch centroids are fitted on.
-FIT_ROWS = 200_000
+#: Documented bounds: rows that centroids are fitted on (on the driver), vectors of one forest.
+FIT_ROWS, FOREST_ROWS = 200_000, 100_000
 
 
 def _fit_rows(vectors: DataFrame, n: int, most: int) -> np.ndarray:
@@ -101,13 +101,16 @@ def forest_query(trees: list[Tree], q: np.ndarray, checks: int) -> np.ndarray:
     return np.fromiter(sorted(seen), np.int64)
 
 
-def forest_ann(vectors: DataFrame, queries: DataFrame, trees: int = 4, leaf: int = 16, checks: int = 256, k: int = 10, parts: int = 1, seed: int = 0) -> DataFrame:
+def forest_ann(vectors: DataFrame, queries: DataFrame, trees: int = 4, leaf: int = 16, checks: int = 256, k: int = 10, parts: int | None = None, seed: int = 0) -> DataFrame:
     """query_id, vec_id, sim, hit_rank, checked: a forest for each part of the vectors, built and searched where it lies.
 
-    checked: distances computed for the query over all parts. Queries are broadcast (a bounded block).
+    part_checked: distances computed for the query in the part. Parts hold about FOREST_ROWS vectors, dealt by a hash of the id; the
+    queries are one block (see search.query_blocks).
     """
-    got = queries.select("query_id", "qvec").toArrow()
-    shared = vectors.sparkSession.sparkContext.broadcast((got.column("query_id").to_numpy(), kernels.matrix(got.column("qvec"))))
+    parts = parts or max(1, -(-vectors.count() // FOREST_ROWS))
+    (_, shared), *more = query_blocks(queries)
+    if more:
+        raise ValueError("more than a block of queries")
 
     def run(key, table):
         table = table.sort_by("vec_id")
@@ -153,7 +156,7 @@ def filter_refine_search(vectors: DataFrame, queries: DataFrame, alpha0: float,
     step = 2.0 / (1 << bits)
     cell = F.transform("vec", lambda x: F.floor((x + 1) / step).cast("double"))
     coded = vectors.withColumn("low", F.transform(cell, lambda c: c * step - 1))
-    asked = F.broadcast(queries.select("query_id", "qvec"))
+    asked = bounded_broadcast(queries.select("query_id", "qvec"))
     # a component lies in [low, low + step]: the end that its query component's sign favours bounds the product
     upper = F.aggregate(F.zip_with("low", "qvec", lambda lo, q: F.when(q >= 0, q * (lo + step)).otherwise(q * lo)), F.lit(0.0), lambda s, x: s + x)
     likely = coded.join(asked, upper >= alpha0)

@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.vectors import binarize, dot, hamming, signs
+from ..functions import kernels
+from ..functions.vectors import binarize, signs
 from .represent import representatives
-from .search import Index, rank_hits
+from .search import Index, Measure, rank_hits, score_pairs, verify
+
+#: Codes compared by falling similarity: minus the distance.
+NEARNESS = Measure(lambda q, x: -kernels.hamming_block(q, x).astype(float), lambda q, x: -np.bitwise_count(q ^ x).sum(1).astype(float), np.int64)
 
 
 def encode(df: DataFrame, d: int, vec: str = "vec", code: str = "code") -> DataFrame:
@@ -15,9 +20,9 @@ def encode(df: DataFrame, d: int, vec: str = "vec", code: str = "code") -> DataF
 
 
 def hamming_search(vectors: DataFrame, queries: DataFrame, d: int, k: int) -> DataFrame:
-    """query_id, vec_id, distance, hit_rank by exhaustive scan of codes. Queries (code, query_id) are broadcast."""
-    pairs = vectors.select("vec_id", "code").join(F.broadcast(queries.select("query_id", F.col("code").alias("qcode"))))
-    scored = pairs.select("query_id", "vec_id", hamming("code", "qcode", -(-d // 32)).alias("distance"))
+    """query_id, vec_id, distance, hit_rank by exhaustive scan of codes. Queries (code, query_id) are broadcast in blocks."""
+    scored = score_pairs(vectors, queries, "vec_id", "code", k=k, measure=NEARNESS, qvec="code")
+    scored = scored.select("query_id", "vec_id", (-F.col("score")).cast("int").alias("distance"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy("distance", "vec_id"))
     return scored.withColumn("hit_rank", rank).where(F.col("hit_rank") <= k)
 
@@ -28,6 +33,21 @@ def sign_index(members: DataFrame, kind: str = "sum", d: int = 64) -> Index:
     return Index(encode(reps, d, "rep"), encode(members, d).withColumn("vec", signs("vec")), {"codec": "sign", "rep": kind, "d": d})
 
 
+def measures(d: int, symmetric: bool) -> Measure:
+    """Products over the number of components: of two sign codes, or of a real query, scaled to unit length, with signs scaled likewise."""
+    if symmetric:
+        return Measure(lambda q, x: 1 - 2 * kernels.hamming_block(q, x) / d, lambda q, x: 1 - 2 * np.bitwise_count(q ^ x).sum(1).astype(float) / d, np.int64)
+    return Measure(lambda q, x: q @ x.T / d**0.5, lambda q, x: np.einsum("ij,ij->i", q, x) / d**0.5)
+
+
+def sign_scores(index: Index, queries: DataFrame, symmetric: bool = False, tau: float | None = None) -> DataFrame:
+    """query_id, unit_id, score of every unit, or of those above tau."""
+    measure = measures(index.meta["d"], symmetric)
+    if symmetric:
+        return score_pairs(index.reps, encode(queries, index.meta["d"], "qvec", "qcode"), "unit_id", "code", tau, measure=measure, qvec="qcode")
+    return score_pairs(index.reps, queries, "unit_id", "rep", tau, measure=measure)
+
+
 def search_signs(index: Index, queries: DataFrame, tau: float, symmetric: bool = False, k: int | None = None) -> DataFrame:
     """query_id, vec_id, sim, hit_rank through an index of signs; sim and tau are products over the number of components.
 
@@ -35,15 +55,7 @@ def search_signs(index: Index, queries: DataFrame, tau: float, symmetric: bool =
     queries become signs too, and products become 1 - 2 * distance / d.
     """
     d = index.meta["d"]
-    words = -(-d // 32)
+    positives = sign_scores(index, queries, symmetric, tau)
     if symmetric:
-        asked = F.broadcast(encode(queries, d, "qvec", "qcode").select("query_id", "qcode"))
-        score = 1 - 2 * hamming("code", "qcode", words) / d
-        positives = index.reps.select("unit_id", "code").join(asked, score > tau).select("query_id", "unit_id", "qcode")
-        hits = index.members.select("unit_id", "vec_id", "code").join(positives, "unit_id").select("query_id", "vec_id", score.alias("sim"))
-    else:
-        asked = F.broadcast(queries.select("query_id", "qvec"))
-        score = dot("rep", "qvec") / d**0.5
-        positives = index.reps.select("unit_id", "rep").join(asked, score > tau).select("query_id", "unit_id", "qvec")
-        hits = index.members.select("unit_id", "vec_id", "vec").join(positives, "unit_id").select("query_id", "vec_id", (dot("vec", "qvec") / d**0.5).alias("sim"))
-    return rank_hits(hits, k)
+        return rank_hits(verify(positives, index.members, encode(queries, d, "qvec", "qcode"), measure=measures(d, True), vec="code", qvec="qcode"), k)
+    return rank_hits(verify(positives, index.members, queries, measure=measures(d, False)), k)

@@ -2,20 +2,24 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
 from ..functions import kernels, theory
+from ..functions.kernels import Best
 from ..functions.vectors import dot
 from ..sources.tables import BROADCAST_BYTES, BROADCAST_ROWS
 from .represent import normalize_representatives, representatives
 
-#: Queries that one scan of the representatives answers at once.
-QUERY_BLOCK = 100_000
+#: Bytes of queries that one scan of the representatives answers at once, rows met at a time, and products of a block of scores.
+BLOCK_BYTES, SLICE, TILE = 64 << 20, 1024, 1 << 22
 
 
 @dataclass
@@ -32,45 +36,72 @@ def build_index(members: DataFrame, rep: str = "pinv", d: int = 64, normalize: b
     return Index(normalize_representatives(reps) if normalize else reps, members, {"rep": rep, "d": d, "normalize": normalize, **meta})
 
 
-def score_pairs(rows: DataFrame, queries: DataFrame, id_col: str, vec: str, tau: float | Column | None = None, k: int | None = None, extra: list[str] | None = None) -> DataFrame:
-    """query_id, id, score of the rows whose product with a query is above tau, or of each task's k best of a query.
+@dataclass
+class Measure:
+    """How queries and rows are compared: all with all, and row by row. kind: of the components."""
+
+    blocks: Callable[[np.ndarray, np.ndarray], np.ndarray]
+    rows: Callable[[np.ndarray, np.ndarray], np.ndarray]
+    kind: type = float
+
+
+PRODUCT = Measure(lambda q, x: q @ x.T, lambda q, x: np.einsum("ij,ij->i", q, x))
+
+
+def query_blocks(queries: DataFrame, qvec: str = "qvec", kind: type = float) -> Iterator[tuple[Column | None, Broadcast]]:
+    """(condition that picks the block's queries, broadcast (ids in order, matrix)) of blocks of about BLOCK_BYTES.
+
+    The driver holds one block at a time; a block that turns out larger than BROADCAST_BYTES raises.
+    """
+    asked = queries.select("query_id", qvec)
+    size = asked.agg(F.count("*").alias("n"), F.coalesce(F.max(F.size(qvec)), F.lit(0)).alias("d")).first()
+    blocks = max(1, -(-size.n * max(size.d, 1) * 8 // BLOCK_BYTES))
+    for block in range(blocks):
+        mine = F.pmod(F.xxhash64("query_id"), F.lit(blocks)) == block if blocks > 1 else None
+        got = (asked if mine is None else asked.where(mine)).orderBy("query_id").toArrow()
+        q = kernels.matrix(got.column(qvec), kind)
+        if q.nbytes > BROADCAST_BYTES:
+            raise ValueError("a block of queries is too large to broadcast; lower BLOCK_BYTES")
+        yield mine, queries.sparkSession.sparkContext.broadcast((got.column("query_id").to_numpy(), q))
+
+
+def score_pairs(
+    rows: DataFrame, queries: DataFrame, id_col: str, vec: str, tau: float | str | None = None, k: int | None = None, measure: Measure = PRODUCT, qvec: str = "qvec"
+) -> DataFrame:
+    """query_id, id, score of the rows that score above tau against a query, or of each task's k best of a query.
 
-    Queries are broadcast in blocks, each in one scan of the rows; products are dense blocks in Arrow tasks, and only pairs that
-    pass leave them. tau may be a number or the name of a column of rows.
+    Queries are broadcast in blocks, each in one scan of the rows; scores are dense blocks of at most TILE in Arrow tasks, and only
+    pairs that pass leave them: with k, one list of k a query and task. tau may be a number or the name of a column of rows.
     """
-    spark = rows.sparkSession
-    asked = queries.select("query_id", "qvec")
-    n = asked.count()
-    blocks = max(1, -(-n // QUERY_BLOCK))
     kind = dict(rows.dtypes)[id_col]
     tau_col = tau if isinstance(tau, str) else None
     columns = [id_col, vec] + ([tau_col] if tau_col else [])
     out = None
-    for block in range(blocks):
-        mine = asked if blocks == 1 else asked.where(F.pmod(F.xxhash64("query_id"), F.lit(blocks)) == block)
-        got = mine.toArrow()
-        q, q_ids = kernels.matrix(got.column("qvec")), got.column("query_id").to_numpy()
-        if q.nbytes > BROADCAST_BYTES:
-            raise ValueError("a block of queries is too large to broadcast; lower QUERY_BLOCK")
-        shared = spark.sparkContext.broadcast((q_ids, q))
+    for _, shared in query_blocks(queries, qvec, measure.kind):
 
         def run(batches, shared=shared):
             q_ids, q = shared.value
+            best = Best(len(q_ids), k) if k is not None else None
             for b in batches:
-                if not b.num_rows or not len(q_ids):
+                if not len(q_ids):
                     continue
-                for i in range(0, b.num_rows, 1024):
-                    part = b.slice(i, 1024)
-                    s = q @ kernels.matrix(part.column(1)).T
-                    ids = part.column(0).to_numpy(zero_copy_only=False)
-                    if k is not None:
-                        at = kernels.top_k_rows(s, ids, k)
-                        a, c = np.repeat(np.arange(len(q_ids)), at.shape[1]), at.reshape(-1)
-                    else:
-                        least = part.column(2).to_numpy(zero_copy_only=False)[None, :] if tau_col else tau
-                        a, c = np.nonzero(s > least) if tau is not None else (x.reshape(-1) for x in np.indices(s.shape))
-                    yield pa.RecordBatch.from_arrays([pa.array(q_ids[a], pa.int64()), pa.array(ids[c], part.column(0).type), pa.array(s[a, c])], ["query_id", id_col, "score"])
-
+                for i in range(0, b.num_rows, SLICE):
+                    part = b.slice(i, SLICE)
+                    x, ids = kernels.matrix(part.column(1), measure.kind), part.column(0).to_numpy(zero_copy_only=False)
+                    least = part.column(2).to_numpy(zero_copy_only=False)[None, :] if tau_col else tau
+                    step = max(1, TILE // len(ids))
+                    for j in range(0, len(q), step):
+                        s = measure.blocks(q[j : j + step], x)
+                        if best:
+                            best.add(j, s, ids)
+                            continue
+                        a, c = np.nonzero(s > least) if tau is not None else (y.reshape(-1) for y in np.indices(s.shape))
+                        yield pa.RecordBatch.from_arrays([pa.array(q_ids[j + a], pa.int64()), pa.array(ids[c], part.column(0).type), pa.array(s[a, c], pa.float64())], names)
+            if best:
+                a, c = np.nonzero(np.isfinite(best.score))
+                yield pa.RecordBatch.from_arrays([pa.array(q_ids[a], pa.int64()), pa.array(best.ids[a, c]).cast(id_type), pa.array(best.score[a, c])], names)
+
+        names, id_type = ["query_id", id_col, "score"], to_arrow_type(rows.schema[id_col].dataType)
         part = rows.select(*columns).mapInArrow(run, f"query_id bigint, {id_col} {kind}, score double")
         out = part if out is None else out.unionByName(part)
     return out
@@ -82,9 +113,9 @@ def probe(reps: DataFrame, queries: DataFrame, tau: float | str | None = None) -
 
 
 def probe_native(reps: DataFrame, queries: DataFrame, tau: float | None = None) -> DataFrame:
-    """The same as a theta join with broadcast queries, in the JVM: the form for SQL users, and a check on the dense one."""
+    """The same as a theta join in the JVM, for SQL users and as a check on the dense one. Queries are broadcast: at most BROADCAST_ROWS."""
     score = dot("rep", "qvec")
-    joined = reps.select("unit_id", "rep").join(F.broadcast(queries.select("query_id", "qvec")), score > tau if tau is not None else F.lit(True))
+    joined = reps.select("unit_id", "rep").join(bounded_broadcast(queries.select("query_id", "qvec")), score > tau if tau is not None else F.lit(True))
     return joined.select("query_id", "unit_id", score.alias("score"))
 
 
@@ -112,18 +143,35 @@ def with_unit_thresholds(reps: DataFrame, d: int, alpha0: float, eps: float, kin
     return reps.withColumn("tau", F.lit(alpha0) + spread * z)
 
 
-def verify(positives: DataFrame, members: DataFrame, queries: DataFrame, min_sim: float | None = None, strict: bool = False) -> DataFrame:
+def verify(
+    positives: DataFrame, members: DataFrame, queries: DataFrame, min_sim: float | None = None, strict: bool = False, measure: Measure = PRODUCT, vec: str = "vec", qvec: str = "qvec"
+) -> DataFrame:
     """query_id, vec_id, sim of the members of positive units, those of at least min_sim.
 
-    An equi-join on unit_id; Spark picks broadcast or sort-merge and splits skewed units. Queries are joined to the positives first:
-    they are the small side by far.
+    An equi-join on unit_id of members and ids of queries; Spark picks broadcast or sort-merge and splits skewed units. Query vectors
+    are not shuffled: tasks have them in blocks, as probing has.
     """
-    asked = positives.select("query_id", "unit_id").join(queries.select("query_id", "qvec"), "query_id")
-    pairs = members.select("unit_id", "vec_id", "vec").join(asked, "unit_id")
-    out = pairs.select("query_id", "vec_id", dot("vec", "qvec").alias("sim"))
-    if min_sim is None:
-        return out
-    return out.where(F.col("sim") > min_sim if strict else F.col("sim") >= min_sim)
+    out = None
+    for mine, shared in query_blocks(queries, qvec, measure.kind):
+        asked = positives.select("query_id", "unit_id")
+        pairs = members.select("unit_id", "vec_id", vec).join(asked if mine is None else asked.where(mine), "unit_id").select("query_id", "vec_id", vec)
+
+        def run(batches, shared=shared):
+            ids, q = shared.value
+            for b in batches:
+                at = b.column(0).to_numpy(zero_copy_only=False)
+                place = np.searchsorted(ids, at)
+                known = np.flatnonzero((place < len(ids)) & (ids[np.minimum(place, len(ids) - 1)] == at)) if len(ids) else np.zeros(0, int)
+                b = b.take(pa.array(known, pa.int64()))
+                x = kernels.matrix(b.column(2), measure.kind)
+                s = np.concatenate([measure.rows(q[place[known[i : i + SLICE]]], x[i : i + SLICE]) for i in range(0, len(known), SLICE)] or [np.zeros(0)])
+                ok = np.ones(len(s), bool) if min_sim is None else s > min_sim if strict else s >= min_sim
+                yield pa.RecordBatch.from_arrays([*b.select([0, 1]).filter(pa.array(ok)).columns, pa.array(s[ok], pa.float64())], ["query_id", "vec_id", "sim"])
+
+        kind = dict(members.dtypes)["vec_id"]
+        part = pairs.mapInArrow(run, f"query_id bigint, vec_id {kind}, sim double")
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 def rank_hits(hits: DataFrame, k: int | None = None) -> DataFrame:
@@ -137,7 +185,7 @@ def search(
 ) -> DataFrame:
     """query_id, vec_id, sim, hit_rank: range search (min_sim), top k, or all members of the positive units.
 
-    where: a condition on member columns, pushed to their scan.
+    where: a condition on member columns; it reaches their scan if they are columns of the stored members (see tables.write_index).
     """
     positives = select_units(index.reps, queries, tau, top_units)
     members = index.members.where(where) if where is not None else index.members
@@ -151,14 +199,19 @@ def membership_test(reps: DataFrame, queries: DataFrame, tau: float) -> DataFram
     return out.select("query_id", F.coalesce(F.col("n"), F.lit(0)).alias("n_positive"), F.col("n").isNotNull().alias("member"))
 
 
-def similarity_join(left: DataFrame, index: Index, alpha0: float, tau: float, block: int = QUERY_BLOCK) -> DataFrame:
-    """left_id, right_id, sim of all pairs of at least alpha0 that the index finds; left_id < right_id if both are one table.
+def similarity_join(left: DataFrame, index: Index, alpha0: float, tau: float, same: bool = True) -> DataFrame:
+    """left_id, right_id, sim of all pairs of at least alpha0 that the index finds, each once.
 
-    The left table is the queries, met in blocks by the representatives.
+    The left table is the queries, met in blocks by the representatives. same: left is the indexed table itself; then a pair counts
+    whichever of the two finds the other's unit, once with the smaller id on the left. The method is approximate: see the query for
+    its measured recall.
     """
     queries = left.select(F.col("vec_id").alias("query_id"), F.col("vec").alias("qvec"))
     hits = verify(probe(index.reps, queries, tau), index.members, queries, alpha0)
-    return hits.where("query_id < vec_id").select(F.col("query_id").alias("left_id"), F.col("vec_id").alias("right_id"), "sim")
+    if not same:
+        return hits.select(F.col("query_id").alias("left_id"), F.col("vec_id").alias("right_id"), "sim")
+    pairs = hits.where("query_id <> vec_id").select(F.least("query_id", "vec_id").alias("left_id"), F.greatest("query_id", "vec_id").alias("right_id"), "sim")
+    return pairs.groupBy("left_id", "right_id").agg(F.max("sim").alias("sim"))
 
 
 def exhaustive_search(vectors: DataFrame, queries: DataFrame, k: int | None = None, alpha0: float | None = None) -> DataFrame:
@@ -195,5 +248,12 @@ def build_two_level(index: Index, n: int = 10, d: int = 64) -> tuple[DataFrame,
     return representatives(grouped, "pinv", d), grouped
 
 
+def bounded_broadcast(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """df, marked for broadcast; raises if it has more rows than may be broadcast and no other way exists."""
+    if df.limit(rows + 1).count() > rows:
+        raise ValueError(f"more than {rows} rows to broadcast; take them in blocks")
+    return F.broadcast(df)
+
+
 def broadcast_if_small(df: DataFrame) -> DataFrame:
-    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+    return F.broadcast(df) if df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df

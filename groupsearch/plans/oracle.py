@@ -169,7 +169,7 @@ select kind, alpha, tau, round({phi("(-tau / sqrt(v0))")}, 6) as pfp, round({phi
         "search_range": f"{BASE}, {PROBE}, {h} select query_id, vec_id, round(sim, 6) as sim from h where sim >= 0.3",
         "search_topk": f"{BASE}, {PROBE}, {TOP}, {TOPHITS} select query_id, vec_id, round(sim, 6) as sim, k::int as hit_rank from (select *, row_number() over (partition by query_id order by sim desc, vec_id) as k from h) where k <= 4",
         "membership": f"{BASE}, {PROBE} select q.query_id, count(s.unit_id) as n_positive, count(s.unit_id) > 0 as member from q left join s on s.query_id = q.query_id and s.score > 0.7 group by 1",
-        "similarity_join": f"with {V}, {U}, {PARTS}, {R} select a.vec_id as left_id, u.vec_id as right_id, round(list_dot_product(a.x, u.x), 6) as sim from v a join r on list_dot_product(r.m, a.x) > 0.3 join u on u.unit_id = r.unit_id where a.vec_id < u.vec_id and list_dot_product(a.x, u.x) >= 0.35",
+        "similarity_join": f"with {V}, {U}, {PARTS}, {R} select distinct least(a.vec_id, u.vec_id) as left_id, greatest(a.vec_id, u.vec_id) as right_id, round(list_dot_product(a.x, u.x), 6) as sim from v a join r on list_dot_product(r.m, a.x) > 0.3 join u on u.unit_id = r.unit_id where a.vec_id <> u.vec_id and list_dot_product(a.x, u.x) >= 0.35",
         "filtered_search": f"{BASE}, {PROBE}, {h} select query_id, vec_id, round(sim, 6) as sim from h join embeddings using (vec_id) where label = 3",
         "exact_range": f"with {V}, {Q}, {TRUTH.format(a=0.3)} select query_id, vec_id, round(sim, 6) as sim from truth",
         "exact_topk": f"with {V}, {Q} select query_id, vec_id, round(sim, 6) as sim, k::int as hit_rank from (select *, row_number() over (partition by query_id order by sim desc, vec_id) as k from (select query_id, vec_id, list_dot_product(x, y) as sim from v cross join q)) where k <= 10",

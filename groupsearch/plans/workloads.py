@@ -17,7 +17,7 @@ from ..streaming import arrivals
 from .queries import D, members, pinv_index, planted, r6, stated, vectors
 
 OPENED = [1, 2, 5, 10, 20, 40]
-UNIT = 10
+UNIT, TURNS = 10, 1 << 20
 
 
 # vector families ---------------------------------------------------------------------------------------------------------------
@@ -26,7 +26,7 @@ UNIT = 10
 def document_vectors(spark, sf, d: int = 256) -> DataFrame:
     """Hashed words of documents, centred by language."""
     docs = tables.load_table(spark, sf, "documents", ["doc_id", "text", "lang"])
-    return vx.center_vectors(ft.hash_vectors(docs, "doc_id", "text", d, keep=["lang"]), "lang", d=d).where("vec is not null").select("vec_id", "vec")
+    return vx.center_vectors(ft.hash_vectors(docs, "doc_id", "text", d, keep=["lang"]).cache(), "lang").where("vec is not null").select("vec_id", "vec")
 
 
 def trigram_vectors(spark, sf) -> DataFrame:
@@ -35,8 +35,9 @@ def trigram_vectors(spark, sf) -> DataFrame:
 
 
 def conversation_vectors(spark, sf) -> DataFrame:
-    turns = tables.load_table(spark, sf, "conversations").select((F.col("conv_id") * 100 + F.col("turn")).alias("id"), "text")
-    return vx.center_vectors(ft.hash_vectors(turns, "id", "text", 256), None, d=256).where("vec is not null")
+    """Turns; the id has the turn in its last 20 bits, so conversations of up to a million turns never meet."""
+    turns = tables.load_table(spark, sf, "conversations").select((F.col("conv_id") * TURNS + F.col("turn")).alias("id"), "text")
+    return vx.center_vectors(ft.hash_vectors(turns, "id", "text", 256).cache()).where("vec is not null")
 
 
 def page_vectors(spark, sf) -> DataFrame:
@@ -46,11 +47,11 @@ def page_vectors(spark, sf) -> DataFrame:
 
 def basket_vectors(spark, sf) -> DataFrame:
     t = {n: tables.load_table(spark, sf, n) for n in ("lineitem", "orders", "part")}
-    return vx.center_vectors(ft.basket_vectors(t["lineitem"], t["orders"], t["part"], "o_custkey", 128), None, d=128).where("vec is not null")
+    return vx.center_vectors(ft.basket_vectors(t["lineitem"], t["orders"], t["part"], "o_custkey", 128), None).where("vec is not null")
 
 
 def profile_vectors(spark, sf) -> DataFrame:
-    return vx.center_vectors(ft.profile_vectors(tables.load_table(spark, sf, "events")), None, d=120).where("vec is not null")
+    return vx.center_vectors(ft.profile_vectors(tables.load_table(spark, sf, "events")), None).where("vec is not null")
 
 
 # curves --------------------------------------------------------------------------------------------------------------------------
@@ -319,7 +320,7 @@ def distractors(spark, sf):
     both = docs.unionByName(pages.select((-F.col("vec_id") - 1).alias("vec_id"), "vec"))
     out = []
     for name, v in (("documents", docs), ("documents+pages", both)):
-        v = vx.center_vectors(v, None, d=256).where("vec is not null").cache()
+        v = vx.center_vectors(v, None).where("vec is not null").cache()
         n, queries = v.count(), ft.every_50th(v.where("vec_id >= 0")).cache()
         truth = _truth(v, queries, 0.8).cache()
         out.append(_tag(curve_by_units(index_of(v, "batch-pinv_norm", n, 256), queries, truth, n), database=name, n=n))
@@ -360,7 +361,7 @@ def same_conversation(spark, sf):
     """Turns as queries: how many of the four best other turns belong to the same conversation, exhaustive and through units."""
     v = conversation_vectors(spark, sf).cache()
     n, queries = v.count(), ft.every_50th(v).cache()
-    truth = v.select("vec_id", F.floor(F.col("vec_id") / 100).alias("conv")).join(queries.select("query_id", F.floor(F.col("query_id") / 100).alias("conv")), "conv").where("query_id <> vec_id").select("query_id", "vec_id")
+    truth = v.select("vec_id", F.floor(F.col("vec_id") / TURNS).alias("conv")).join(queries.select("query_id", F.floor(F.col("query_id") / TURNS).alias("conv")), "conv").where("query_id <> vec_id").select("query_id", "vec_id")
     index = index_of(v, "batch-pinv_norm", n, 256)
     out = []
     for method, hits in (("exhaustive", search.exhaustive_search(v, queries, k=20)), ("units", search.search(index, queries, top_units=max(3, n // 50)))):
@@ -494,7 +495,9 @@ def stream_units(spark, sf):
 def sql_surface(spark, sf):
     """Aggregates and the table function from SQL."""
     index = search.build_index(members(spark, sf), "pinv", D)
-    udtf.register(spark, index.members.select("vec_id", "vec", "unit_id"), index.reps, 0.5)
+    path = f"{tables.shared_dir(spark)}/index-{uuid.uuid4().hex}"
+    tables.write_index(index.reps, index.members, index.meta, path)
+    udtf.register(spark, path, 0.5)
     stated(spark, sf).createOrReplaceTempView("groupsearch_asked")
     return spark.sql("SELECT q.query_id, s.vec_id, round(s.sim, 6) AS sim FROM groupsearch_asked q, LATERAL group_search(q.qvec, 5) s")
 

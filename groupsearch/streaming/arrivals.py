@@ -91,11 +91,16 @@ def batch_cluster_sink(path: str, per_unit: int = 10, rep: str = "pinv", seed: i
 
 
 def live_search(reps: DataFrame, members: DataFrame, arriving: DataFrame, tau: float, alpha0: float) -> DataFrame:
-    """Arrivals as queries against an index: a stream-static join when arriving is a stream."""
+    """Arrivals as queries against an index: a stream-static join when arriving is a stream.
+
+    The representatives are the static side of a theta join and are broadcast: at most BROADCAST_ROWS. Larger indexes take the
+    arrivals of a foreachBatch as queries of search.search().
+    """
     from ..functions.vectors import dot
+    from ..operators.search import bounded_broadcast
 
     queries = arriving.select(F.col("event_id").alias("query_id"), F.col("vec").alias("qvec"))
-    positives = queries.join(F.broadcast(reps.select("unit_id", "rep")), dot("rep", "qvec") > tau)
+    positives = queries.join(bounded_broadcast(reps.select("unit_id", "rep")), dot("rep", "qvec") > tau)
     pairs = positives.join(members.select("unit_id", "vec_id", "vec"), "unit_id")
     return pairs.select("query_id", "vec_id", dot("vec", "qvec").alias("sim")).where(F.col("sim") >= alpha0)
 

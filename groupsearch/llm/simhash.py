@@ -153,11 +153,11 @@ def near_duplicates(
 
 #: Near copies: words of a shingle, least similarity, chance that a pair of that similarity shares no key.
 NEAR_WORDS, NEAR_SIMILARITY, OVERLOOKED = 5, 0.8, 1e-6
-#: Least values that make one key, in the first and in the finer table of keys.
-ROWS, FINER_ROWS = 8, 16
+#: Least values that make one key.
+ROWS = 8
 #: Hashes of a sketch; pairs whose sketches are this much less similar than asked for aren't read again.
 SKETCH, MARGIN = 128, 0.2
-#: Pairs of one key that are still open and are then compared directly; salts by which a key with more names leaders.
+#: Pairs of one shingle that are still open and are then compared directly; salts by which a shingle with more names leaders.
 PAIRS_OF_KEY, SALTS = 50_000, 32
 
 
@@ -272,10 +272,10 @@ class _Copies:
         with batches_of(self.texts.sparkSession, 64):
             return self.save(both(self.texts, likely, "text").select("u", "v", "text_u", "text_v").mapInArrow(verify, "u bigint, v bigint").distinct(), "links")
 
-    def placed(self, shared: DataFrame, links: DataFrame) -> DataFrame:
-        """shared (key, doc_id) with the component of the document by the links so far, of the keys that more than one component share."""
+    def open_keys(self, keyed: DataFrame, links: DataFrame) -> DataFrame:
+        """keyed (key, doc_id, ...) of the keys that documents of several components share, with comp, and open: their pairs between components."""
         roots = connected_components(links, Workspace(self.texts.sparkSession, "near-copies-roots"))
-        comp = shared.join(if_small(roots), F.col("doc_id") == F.col("node"), "left").select("key", "doc_id", F.coalesce("root", "doc_id").alias("comp"))
+        comp = keyed.join(if_small(roots), F.col("doc_id") == F.col("node"), "left").select(*keyed.columns, F.coalesce("root", "doc_id").alias("comp"))
         comp = self.save(comp, "placed")
         held = comp.groupBy("key", "comp").agg(F.count("*").alias("n")).groupBy("key").agg(F.count("*").alias("comps"), F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("n2"))
         several = held.where("comps > 1").select("key", ((F.col("n") * F.col("n") - F.col("n2")) / 2).alias("open"))
@@ -286,17 +286,34 @@ class _Copies:
         counts = self.save(keyed.groupBy("key").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").select("key", "lead"), "counts")
         return self.save(keyed.join(if_small(counts), "key").select("key", "doc_id", "lead").distinct(), "shared")
 
-    def finer_keys(self, ids: DataFrame) -> DataFrame:
-        words, bands = self.words, bands_for(FINER_ROWS, self.similarity)
+    def prefixes(self, ids: DataFrame) -> DataFrame:
+        """key, doc_id, n, before: the rarest shingles of each document, so many that two documents of the similarity share one of them.
+
+        Of n shingles sharing may leave out n - similarity * n; one more makes a prefix in any common order, here by how many of these
+        documents hold a shingle. Shingles that only one holds come first and need no rows. before: shingles ahead of the key.
+        """
+        words = self.words
 
         @tidy
         def run(batches):
             for b in batches:
-                keys = [band_keys(np.unique(shingle_hashes(t or b"", words)), FINER_ROWS, bands) for t in b.column(1).cast(pa.binary()).to_pylist()]
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "keys"])
+                own = [np.unique(shingle_hashes(t or b"", words)).view(np.int64) for t in b.column(1).cast(pa.binary()).to_pylist()]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(own, pa.list_(pa.int64()))], ["doc_id", "own"])
 
         held = self.texts.join(if_small(ids), "doc_id", "left_semi").select("doc_id", "text")
-        return self.save(held.mapInArrow(run, "doc_id bigint, keys array<bigint>"), "finer").select("doc_id", F.explode("keys").alias("key"))
+        held = self.save(held.mapInArrow(run, "doc_id bigint, own array<bigint>"), "shingles").select("doc_id", F.size("own").alias("n"), F.explode("own").alias("key"))
+        common = self.save(held.groupBy("key").agg(F.countDistinct("doc_id").alias("docs")).where("docs > 1"), "common")
+        ranked = held.distinct().join(if_small(common), "key").groupBy("doc_id", "n").agg(F.sort_array(F.collect_list(F.struct("docs", "key"))).alias("s"))
+        lone = F.col("n") - F.size("s")
+        length = F.col("n") - F.ceil(F.lit(self.similarity) * F.col("n") - F.lit(1e-9)) + 1 - lone
+        first = ranked.select("doc_id", "n", lone.alias("lone"), F.posexplode(F.slice("s", F.lit(1), F.greatest(length, F.lit(0)).cast("int"))).alias("i", "k"))
+        return self.save(first.select("k.key", "doc_id", "n", (F.col("lone") + F.col("i")).alias("before")), "prefixes")
+
+    def may_reach(self, a: str, b: str) -> Column:
+        """Whether two documents that share a key may share enough: it and what lies behind it in the shorter rest, and sizes."""
+        n_a, n_b, left_a, left_b = (F.col(c) for c in (f"n_{a}", f"n_{b}", f"before_{a}", f"before_{b}"))
+        least = F.lit(self.similarity / (1 + self.similarity)) * (n_a + n_b)
+        return F.least(n_a - left_a, n_b - left_b) + F.least(left_a, left_b) >= least - 1e-9
 
     def links(self) -> DataFrame:
         self.rows = rows = self.read()
@@ -314,31 +331,30 @@ class _Copies:
         led = shared.where("doc_id <> lead").select(F.col("doc_id").alias("u"), F.col("lead").alias("v"))
         links = links.unionByName(self.compare(ringed.unionByName(equal).unionByName(led).where("u <> v")))
 
-        links, many = self.settle_small(shared, links)
-        if many is not None:  # keys that too many unlike documents share: finer keys of these documents
-            shared = self.shared_keys(self.finer_keys(self.save(many.select("doc_id").distinct(), "hot")))
-            led = shared.where("doc_id <> lead").select(F.col("doc_id").alias("u"), F.col("lead").alias("v"))
-            links, many = self.settle_small(shared, links.unionByName(self.compare(led)))
-        while many is not None:  # and what is left by some leaders of each key a round, until nobody is left to lead
-            salted = many.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)))
-            leaders = self.save(salted.groupBy("key", "salt").agg(F.min(F.struct("doc_id", "comp")).alias("l")).select("key", F.col("l.doc_id").alias("lead"), F.col("l.comp").alias("of")), "leaders")
-            asked = many.join(if_small(leaders), "key").where("doc_id <> lead and comp <> of")
-            links = links.unionByName(self.compare(asked.select(F.greatest("doc_id", "lead").alias("u"), F.least("doc_id", "lead").alias("v"))))
-            left = many.join(if_small(leaders.select("key", F.col("lead").alias("doc_id"))), ["key", "doc_id"], "left_anti").select("key", "doc_id")
-            open_ = self.placed(self.save(left, "left"), links)
-            many = None if open_.isEmpty() else open_
+        # documents that share a key with others than their copies: an exact join among them, by the prefix of each one's shingles
+        mixed = self.open_keys(shared.select("key", "doc_id"), links)
+        if mixed.isEmpty():
+            return links
+        keyed = self.prefixes(self.save(mixed.select("doc_id").distinct(), "mixed"))
+        open_, everyone = self.open_keys(keyed, links), False
+        while not open_.isEmpty():
+            few = open_.where(F.col("open") <= PAIRS_OF_KEY) if everyone else open_.limit(0)
+            a, b = (few.select("key", *(F.col(c).alias(f"{c}_{x}") for c in ("doc_id", "n", "before", "comp"))) for x in "uv")
+            pairs = a.join(b, "key").where("doc_id_u > doc_id_v and comp_u <> comp_v").where(self.may_reach("u", "v")).select(F.col("doc_id_u").alias("u"), F.col("doc_id_v").alias("v"))
+            many = open_.where(F.col("open") > PAIRS_OF_KEY) if everyone else open_
+            # the shortest holders of a key lead it: they are what the others have in common; a leader that has met all leaves the key
+            salt = F.pmod(F.xxhash64("doc_id"), F.lit(SALTS if everyone else 1))
+            best = F.min(F.struct("n", "doc_id", "before", "comp")).alias("l")
+            leaders = many.groupBy("key", salt.alias("salt")).agg(best).select("key", F.col("l.doc_id").alias("doc_id_v"), F.col("l.n").alias("n_v"), F.col("l.before").alias("before_v"), F.col("l.comp").alias("comp_v"))
+            leaders = self.save(leaders, "leaders")
+            asked = many.select("key", *(F.col(c).alias(f"{c}_u") for c in ("doc_id", "n", "before", "comp"))).join(if_small(leaders), "key")
+            asked = asked.where("doc_id_u <> doc_id_v and comp_u <> comp_v").where(self.may_reach("u", "v"))
+            pairs = pairs.unionByName(asked.select(F.greatest("doc_id_u", "doc_id_v").alias("u"), F.least("doc_id_u", "doc_id_v").alias("v")))
+            links = self.save(links.unionByName(self.compare(pairs)).distinct(), "links")
+            left = many.join(if_small(leaders.select("key", F.col("doc_id_v").alias("doc_id"))), ["key", "doc_id"], "left_anti").select(*keyed.columns)
+            open_, everyone = self.open_keys(self.save(left, "left"), links), True
         return links
 
-    def settle_small(self, shared: DataFrame, links: DataFrame) -> tuple[DataFrame, DataFrame | None]:
-        """Links with those among all open pairs of keys that have few; and the rows of keys that have many."""
-        open_ = self.placed(shared.select("key", "doc_id"), links)
-        few = open_.where(F.col("open") <= PAIRS_OF_KEY)
-        if not few.isEmpty():
-            a, b = few.select("key", F.col("doc_id").alias("u"), F.col("comp").alias("cu")), few.select("key", F.col("doc_id").alias("v"), F.col("comp").alias("cv"))
-            links = links.unionByName(self.compare(a.join(b, "key").where("u > v and cu <> cv").select("u", "v")))
-        many = open_.where(F.col("open") > PAIRS_OF_KEY)
-        return links, None if many.isEmpty() else many
-
 
 _READ = ["doc_id", "fp", "n", "set_a", "set_b", "keys", "sketch"]
 _READ_KINDS = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.binary()]
@@ -350,9 +366,10 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, similarity: float = NE
     Every link is verified on the shingles of both whole texts. Candidates come in this order: equal sets; fingerprints within
     LINK_BITS, by the pigeonring; then keys of ROWS least values, so many that two documents of the similarity share none with a
     chance of OVERLOOKED, however short or long they are. (At a similarity of 0.8 fingerprints differ in about ten bits, beyond any
-    selective chain.) Of a key's holders the first is compared with all; then every pair of holders that no link has joined yet, if
-    there are at most PAIRS_OF_KEY; documents of keys with more get finer keys, and what is left there goes round by round, some
-    leaders of a key against all its holders, until nobody is left. So no partner is given up.
+    selective chain.) Of a key's holders the first is compared with all. Documents that still share a key with others than their
+    copies are joined exactly, by prefixes of their shingles in order of rarity: of the holders of a shingle the shortest is compared
+    with all that may reach the similarity, then every pair that no link has joined yet, if these are at most PAIRS_OF_KEY; of
+    shingles with more some leaders at a time, until nobody is left. So no partner is given up.
 
     Null ids take no part; null texts count as empty, and texts without words are copies of each other; rows of one id are one
     document, which any of its texts links; an empty table gives no rows; other columns are ignored.

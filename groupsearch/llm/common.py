@@ -51,13 +51,15 @@ def if_small(df: DataFrame) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where that is unset (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one in local mode where that is unset."""
     set_dir = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if set_dir:
         return set_dir.rstrip("/")
     current = spark.sparkContext._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get().rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     made = tempfile.mkdtemp(prefix="groupsearch-")
     atexit.register(shutil.rmtree, made, ignore_errors=True)
     spark.sparkContext.setCheckpointDir(f"file://{made}")
@@ -68,12 +70,15 @@ class Workspace:
     """Intermediate tables of one operator call, as Parquet in the shared folder.
 
     A saved table cuts the lineage: a lost executor costs only the tasks it was running. ``drop`` deletes a table that no later
-    step reads; what the returned DataFrame still reads stays until the caller's job is over.
+    step reads; what the returned DataFrame still reads stays until the caller's job is over and it calls ``clear_workspaces``.
     """
 
+    made: list[Workspace] = []
+
     def __init__(self, spark: SparkSession, name: str):
         self.spark = spark
         self.path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+        Workspace.made.append(self)
 
     def save(self, df: DataFrame, name: str) -> DataFrame:
         df.write.mode("overwrite").option("compression", "zstd").parquet(f"{self.path}/{name}")
@@ -85,6 +90,9 @@ class Workspace:
             path = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
             path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
+    def delete(self) -> None:
+        self.drop("")
+
     def release(self) -> None:
         """Lets Spark delete shuffle files of finished steps now rather than at the next collection of the driver's garbage."""
         import gc
@@ -96,6 +104,13 @@ class Workspace:
             time.sleep(0.7)
 
 
+def clear_workspaces(*keep: Workspace) -> None:
+    """Deletes what operators have saved so far but for some workspaces; results that were not written elsewhere are lost with it."""
+    for work in [w for w in Workspace.made if w not in keep]:
+        work.delete()
+        Workspace.made.remove(work)
+
+
 def filesystem(uri: str):
     """A file system that driver and executors can use without Spark, and the path in it."""
     from pyarrow import fs

@@ -157,6 +157,8 @@ NEAR_WORDS, NEAR_SIMILARITY, OVERLOOKED = 5, 0.8, 1e-6
 ROWS = 8
 #: Hashes of a sketch; pairs whose sketches are this much less similar than asked for aren't read again.
 SKETCH, MARGIN = 128, 0.2
+#: Bytes of sketches or texts of leaders that are broadcast.
+BROADCAST_BYTES = 64 << 20
 #: Pairs of one shingle that are still open and are then compared directly; salts by which a shingle with more names leaders.
 PAIRS_OF_KEY, SALTS = 50_000, 32
 
@@ -241,11 +243,14 @@ class _Copies:
         words, similarity = self.words, self.similarity
         pairs = self.save(pairs.select("u", "v").distinct(), "pairs")
 
-        def both(table: DataFrame, found: DataFrame, *columns: str) -> DataFrame:
-            ids = self.save(found.select(F.col("u").alias("doc_id")).unionByName(found.select(F.col("v").alias("doc_id"))).distinct(), "ids")
-            held = self.save(table.select("doc_id", *columns).join(if_small(ids), "doc_id", "left_semi"), "held")
-            for side in ("u", "v"):
-                found = found.join(held.select(F.col("doc_id").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in columns)), side)
+        def both(table: DataFrame, found: DataFrame, wide: str, *columns: str) -> DataFrame:
+            """found with columns of both documents. v, which may be the leader of very many, comes first: broadcast if all are small."""
+            for side in ("v", "u"):
+                ids = self.save(found.select(F.col(side).alias("doc_id")).distinct(), "ids")
+                held = self.save(table.select("doc_id", *columns, wide).join(if_small(ids), "doc_id", "left_semi"), "held")
+                size = held.agg(F.coalesce(F.sum(F.octet_length(wide) + 64), F.lit(0))).first()[0]
+                held = held.select(F.col("doc_id").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in (*columns, wide)))
+                found = found.join(F.broadcast(held) if size <= BROADCAST_BYTES else held, side)
             return found
 
         @tidy
@@ -254,19 +259,21 @@ class _Copies:
                 x, y = b.column(2).to_pylist(), b.column(3).to_pylist()
                 yield b.filter(pa.array([sketch_similarity(p, q) >= similarity - MARGIN for p, q in zip(x, y, strict=True)], pa.bool_())).select([0, 1])
 
-        sized = both(self.rows, pairs, "n", "sketch").where(F.least("n_u", "n_v") >= similarity * F.greatest("n_u", "n_v") - 1e-9)
+        sized = both(self.rows, pairs, "sketch", "n").where(F.least("n_u", "n_v") >= similarity * F.greatest("n_u", "n_v") - 1e-9)
         likely = self.save(sized.select("u", "v", "sketch_u", "sketch_v").mapInArrow(discard, "u bigint, v bigint").distinct(), "likely")
 
         @tidy
         def verify(batches):
-            last, own = None, None
+            known: dict[bytes, np.ndarray] = {}  # leaders come again and again
             for b in batches:
                 x, y = (c.cast(pa.binary()).to_pylist() for c in b.columns[2:4])
                 ok = []
                 for p, q in zip(x, y, strict=True):
-                    if last is None or q != last:
-                        last, own = q, np.unique(shingle_hashes(q or b"", words))
-                    ok.append(similar(np.unique(shingle_hashes(p or b"", words)), own, similarity))
+                    if q not in known:
+                        if len(known) >= 64:
+                            known.clear()
+                        known[q] = np.unique(shingle_hashes(q or b"", words))
+                    ok.append(similar(np.unique(shingle_hashes(p or b"", words)), known[q], similarity))
                 yield b.filter(pa.array(ok, pa.bool_())).select([0, 1])
 
         with batches_of(self.texts.sparkSession, 64):

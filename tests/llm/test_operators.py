@@ -39,6 +39,16 @@ def test_same_rows_as_sql(name, spark, same_as_sql):
     assert same_as_sql(queries.queries()[name], queries.oracle_sql()[name], spark, MEDIUM) > 0
 
 
+def test_workspaces_are_deleted(spark):
+    import os
+
+    a, b = common.Workspace(spark, "t"), common.Workspace(spark, "t")
+    held = b.save(spark.range(3).toDF("doc_id"), "x")
+    a.save(spark.range(3).toDF("doc_id"), "x")
+    common.clear_workspaces(b)
+    assert held.count() == 3 and not os.path.exists(a.path.removeprefix("file://")) and os.path.exists(b.path.removeprefix("file://"))
+
+
 # op1 -------------------------------------------------------------------------------------------------------------------------
 
 

@@ -56,6 +56,11 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents, each result written and read again as the next one's input."""
     docs = common.table(spark, sf_dir, "documents")
     work = common.Workspace(spark, "pipeline")
+    mine, last = list(common.Workspace.made), None
     for name, stage in STAGES[:-1]:
         docs = work.save(stage(spark, docs, sf_dir), name)
+        common.clear_workspaces(*mine)  # what the stage's operators saved, and its input, are of no more use
+        if last:
+            work.drop(last)
+        last = name
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -79,6 +79,21 @@ def hash_vectors(df: DataFrame, id_col: str, text_col: str, d: int, kind: str =
     return df.select(F.col(id_col).cast("bigint"), text_col, *keep).mapInArrow(run, schema)
 
 
+def containing_texts(docs: DataFrame, items: DataFrame, size: int = 24) -> DataFrame:
+    """doc_id, item_id of the documents whose text contains an item's text; items shorter than ``size`` characters only match as a whole.
+
+    An item is looked up by its first ``size`` characters among all such runs of a document: an equi-join, then the whole is compared.
+    """
+    parts = items.where(F.col("text").isNotNull()).select("item_id", F.col("text").alias("passage"), F.substring("text", 1, size).alias("key"))
+    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.length("text") - size + 1, F.lit(1))), lambda i: F.substring(F.col("text"), i, F.lit(size)))
+    keyed = docs.select("doc_id", "text", F.explode(F.array_distinct(runs)).alias("key")).join(broadcast_if_few(parts), "key")
+    return keyed.where(F.contains("text", "passage")).select("doc_id", "item_id").distinct()
+
+
+def broadcast_if_few(df: DataFrame, rows: int = 100_000) -> DataFrame:
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+
 def user_profiles(events: DataFrame) -> DataFrame:
     """user_id, slot, n: counts over event type and hour of day; slot = 24 * type's place in the alphabet + hour."""
     kinds = events.select("event_type").distinct()

@@ -124,14 +124,12 @@ def center_vectors(df: DataFrame, by: str | None = None, vec: str = "vec") -> Da
 def binarize(vec, d: int) -> Column:
     """Sign bits in 32-bit words as array<bigint>; an exact zero counts as positive. Bit i of word w stands for component 32w + i."""
     v = _col(vec)
-    words = []
-    for w in range(-(-d // 32)):
-        bits = [F.when(F.get(v, 32 * w + i) >= 0, F.lit(1 << i)).otherwise(F.lit(0)).cast("bigint") for i in range(min(32, d - 32 * w))]
-        total = bits[0]
-        for b in bits[1:]:
-            total = total + b
-        words.append(total)
-    return F.array(*words)
+
+    def word(w):
+        part = F.reverse(F.slice(v, w * 32 + 1, 32))
+        return F.aggregate(part, F.lit(0).cast("bigint"), lambda bits, x: bits * 2 + F.when(x >= 0, 1).otherwise(0))
+
+    return F.transform(F.sequence(F.lit(0), F.lit(-(-d // 32) - 1)), word)
 
 
 def signs(vec) -> Column:

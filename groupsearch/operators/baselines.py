@@ -82,6 +82,46 @@ class Tree:
             stack += [(rows[~left], at, 1), (rows[left], at, 0)]
 
 
+class ClusterTree:
+    """A hierarchical k-means tree: every inner node splits its rows by a few spherical k-means rounds into ``branch`` children."""
+
+    def __init__(self, v: np.ndarray, leaf: int, rng: np.random.Generator, branch: int = 8):
+        self.split: list[tuple[np.ndarray, list[int]] | np.ndarray] = [np.arange(len(v))]
+        stack = [0]
+        while stack:
+            at = stack.pop()
+            rows = self.split[at]
+            if len(rows) <= max(leaf, branch):
+                continue
+            own, centres = kernels.spherical_lloyd(v[rows], branch, "sum", True, int(rng.integers(1 << 30)), 5)
+            if len(centres) < 2:
+                continue
+            kids = list(range(len(self.split), len(self.split) + len(centres)))
+            self.split += [rows[own == j] for j in range(len(centres))]
+            self.split[at] = (centres, kids)
+            stack += kids
+
+
+def cluster_query(trees: list[ClusterTree], q: np.ndarray, checks: int) -> np.ndarray:
+    """Rows met by best-bin-first search, the centre with the largest product first."""
+    import heapq
+
+    heap = [(0.0, t, 0) for t in range(len(trees))]
+    seen: set[int] = set()
+    while heap and len(seen) < checks:
+        _, t, at = heapq.heappop(heap)
+        node = trees[t].split[at]
+        while isinstance(node, tuple):
+            s = node[0] @ q
+            best = int(np.argmax(s))
+            for j, kid in enumerate(node[1]):
+                if j != best:
+                    heapq.heappush(heap, (-float(s[j]), t, kid))
+            node = trees[t].split[node[1][best]]
+        seen.update(node.tolist())
+    return np.fromiter(sorted(seen), np.int64)
+
+
 def forest_query(trees: list[Tree], q: np.ndarray, checks: int) -> np.ndarray:
     """Rows met by best-bin-first search over all trees until so many were checked."""
     import heapq
@@ -101,7 +141,7 @@ def forest_query(trees: list[Tree], q: np.ndarray, checks: int) -> np.ndarray:
     return np.fromiter(sorted(seen), np.int64)
 
 
-def forest_ann(vectors: DataFrame, queries: DataFrame, trees: int = 4, leaf: int = 16, checks: int = 256, k: int = 10, parts: int | None = None, seed: int = 0) -> DataFrame:
+def forest_ann(vectors: DataFrame, queries: DataFrame, trees: int = 4, leaf: int = 16, checks: int = 256, k: int = 10, parts: int | None = None, seed: int = 0, algorithm: str = "kd") -> DataFrame:
     """query_id, vec_id, sim, hit_rank, checked: a forest for each part of the vectors, built and searched where it lies.
 
     part_checked: distances computed for the query in the part. Parts hold about FOREST_ROWS vectors, dealt by a hash of the id; the
@@ -115,10 +155,11 @@ def forest_ann(vectors: DataFrame, queries: DataFrame, trees: int = 4, leaf: int
     def run(key, table):
         table = table.sort_by("vec_id")
         ids, v = table.column("vec_id").to_numpy(), kernels.matrix(table.column("vec"))
-        forest = [Tree(v, leaf, np.random.default_rng([seed, t])) for t in range(trees)]
+        make, ask = (Tree, forest_query) if algorithm == "kd" else (ClusterTree, cluster_query)
+        forest = [make(v, leaf, np.random.default_rng([seed, t])) for t in range(trees)]
         out = []
         for query, q in zip(*shared.value, strict=True):
-            rows = forest_query(forest, q, checks)
+            rows = ask(forest, q, checks)
             s = v[rows] @ q
             best = np.lexsort((ids[rows], -s))[:k]
             out += [(int(query), int(ids[rows[i]]), float(s[i]), len(rows)) for i in best]
@@ -137,17 +178,25 @@ class Tuned:
     precision: float
     ratio: float
     cost: float
+    leaf: int = 16
+    algorithm: str = "kd"
+
+
+#: Trees, checks, sizes of leaves and algorithms that are tried.
+GRID = ((1, 4, 8), (32, 128, 512, 2048), (16,), ("kd",))
 
 
-def tune_forest(vectors: DataFrame, queries: DataFrame, truth: DataFrame, n: int, target_precision: float = 0.95, build_weight: float = 0.01, memory_weight: float = 0.0, k: int = 1) -> list[Tuned]:
+def tune_forest(
+    vectors: DataFrame, queries: DataFrame, truth: DataFrame, n: int, target_precision: float = 0.95, build_weight: float = 0.01, memory_weight: float = 0.0, k: int = 1, grid=GRID
+) -> list[Tuned]:
     """Every grid point with its precision against the truth's best hit, and weighted cost; the first meets the target at least cost."""
     out = []
     want = truth.where("hit_rank = 1").select("query_id", F.col("vec_id").alias("best"))
-    for trees, checks in itertools.product((1, 4, 8), (32, 128, 512, 2048)):
-        hits = forest_ann(vectors, queries, trees, checks=min(checks, n), k=k)
+    for trees, checks, leaf, algorithm in itertools.product(*grid):
+        hits = forest_ann(vectors, queries, trees, leaf, min(checks, n), k, algorithm=algorithm)
         row = hits.where("hit_rank = 1").join(want, "query_id").agg(F.avg((F.col("vec_id") == F.col("best")).cast("int")).alias("p"), F.avg("part_checked").alias("c")).first()
         ratio = row.c / n
-        out.append(Tuned(trees, checks, row.p, ratio, ratio + build_weight * trees + memory_weight * trees))
+        out.append(Tuned(trees, checks, row.p, ratio, ratio + build_weight * trees + memory_weight * trees, leaf, algorithm))
     return sorted(out, key=lambda t: (t.precision < target_precision, t.cost))
 
 

@@ -12,7 +12,7 @@ from .represent import representatives
 from .search import Index, Measure, rank_hits, score_pairs, verify
 
 #: Codes compared by falling similarity: minus the distance.
-NEARNESS = Measure(lambda q, x: -kernels.hamming_block(q, x).astype(float), lambda q, x: -np.bitwise_count(q ^ x).sum(1).astype(float), np.int64)
+NEARNESS = Measure(lambda q, x: -kernels.hamming_block(q, x).astype(float), np.int64)
 
 
 def encode(df: DataFrame, d: int, vec: str = "vec", code: str = "code") -> DataFrame:
@@ -36,8 +36,8 @@ def sign_index(members: DataFrame, kind: str = "sum", d: int = 64) -> Index:
 def measures(d: int, symmetric: bool) -> Measure:
     """Products over the number of components: of two sign codes, or of a real query, scaled to unit length, with signs scaled likewise."""
     if symmetric:
-        return Measure(lambda q, x: 1 - 2 * kernels.hamming_block(q, x) / d, lambda q, x: 1 - 2 * np.bitwise_count(q ^ x).sum(1).astype(float) / d, np.int64)
-    return Measure(lambda q, x: q @ x.T / d**0.5, lambda q, x: np.einsum("ij,ij->i", q, x) / d**0.5)
+        return Measure(lambda q, x: 1 - 2 * kernels.hamming_block(q, x) / d, np.int64)
+    return Measure(lambda q, x: q @ x.T / d**0.5)
 
 
 def sign_scores(index: Index, queries: DataFrame, symmetric: bool = False, tau: float | None = None) -> DataFrame:

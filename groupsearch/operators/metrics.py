@@ -51,7 +51,7 @@ def roc(scores: DataFrame, lo: float, hi: float, bins: int) -> DataFrame:
     grid = scores.sparkSession.range(0, bins + 2).select(F.col("id").cast("int").alias("b")).join(counts, "b", "left").na.fill(0, ["p", "n"])
     above = Window.orderBy(F.desc("b")).rowsBetween(Window.unboundedPreceding, -1)  # over the bins
     every = Window.orderBy(F.desc("b")).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    out = grid.select("b", (F.coalesce(F.sum("n").over(above), F.lit(0)) / F.sum("n").over(every)).alias("pfp"), (F.coalesce(F.sum("p").over(above), F.lit(0)) / F.sum("p").over(every)).alias("tpr"))
+    out = grid.select("b", F.try_divide(F.coalesce(F.sum("n").over(above), F.lit(0)), F.sum("n").over(every)).alias("pfp"), F.try_divide(F.coalesce(F.sum("p").over(above), F.lit(0)), F.sum("p").over(every)).alias("tpr"))
     return out.where(F.col("b") <= bins).select((F.lit(lo) + F.col("b") * width).alias("tau"), "pfp", "tpr")
 
 

@@ -90,6 +90,18 @@ def append_to_units(reps: DataFrame, new: DataFrame, d: int = 64) -> DataFrame:
     return both.groupBy("unit_id").agg(sums.alias("rep"), F.sum("n_members").alias("n_members")).withColumn("rep_norm2", norm2("rep"))
 
 
+def append_to_pinv_units(reps: DataFrame, members: DataFrame, new: DataFrame) -> DataFrame:
+    """Minimum-norm representatives after new members: units that get one are solved anew from their members, all others stay.
+
+    A unit has as many members as assignment gives it, so what is read again is small; members are met by a semi-join on the touched
+    units. kernels.UnitState does the same one vector at a time where a task holds the unit.
+    """
+    columns = ["unit_id", "rep", "n_members", "rep_norm2"]
+    touched = new.select(F.col("unit_id").cast("bigint").alias("unit_id")).distinct()
+    again = members.select("unit_id", "vec").join(touched, "unit_id", "left_semi").unionByName(new.select("unit_id", "vec"))
+    return reps.join(touched, "unit_id", "left_anti").select(*columns).unionByName(pinv_representatives(again).select(*columns))
+
+
 def unit_diagnostics(members: DataFrame) -> DataFrame:
     """unit_id, n, squared norms of both representatives, extreme eigenvalues and trace of the Gram matrix, condition number."""
     schema = "unit_id bigint, n bigint, norm2_sum double, norm2_pinv double, lambda_min double, lambda_max double, trace double, condition double"

@@ -19,7 +19,8 @@ from ..sources.tables import BROADCAST_BYTES, BROADCAST_ROWS
 from .represent import normalize_representatives, representatives
 
 #: Bytes of queries that one scan of the representatives answers at once, rows met at a time, and products of a block of scores.
-BLOCK_BYTES, SLICE, TILE = 64 << 20, 1024, 1 << 22
+#: And ids of queries that travel with a member of a unit they open.
+BLOCK_BYTES, SLICE, TILE, LIST = 64 << 20, 1024, 1 << 22, 256
 
 
 @dataclass
@@ -38,14 +39,13 @@ def build_index(members: DataFrame, rep: str = "pinv", d: int = 64, normalize: b
 
 @dataclass
 class Measure:
-    """How queries and rows are compared: all with all, and row by row. kind: of the components."""
+    """How blocks of queries and rows are compared. kind: of the components."""
 
     blocks: Callable[[np.ndarray, np.ndarray], np.ndarray]
-    rows: Callable[[np.ndarray, np.ndarray], np.ndarray]
     kind: type = float
 
 
-PRODUCT = Measure(lambda q, x: q @ x.T, lambda q, x: np.einsum("ij,ij->i", q, x))
+PRODUCT = Measure(lambda q, x: q @ x.T)
 
 
 def query_blocks(queries: DataFrame, qvec: str = "qvec", kind: type = float) -> Iterator[tuple[Column | None, Broadcast]]:
@@ -148,27 +148,40 @@ def verify(
 ) -> DataFrame:
     """query_id, vec_id, sim of the members of positive units, those of at least min_sim.
 
-    An equi-join on unit_id of members and ids of queries; Spark picks broadcast or sort-merge and splits skewed units. Query vectors
-    are not shuffled: tasks have them in blocks, as probing has.
+    An equi-join on unit_id of members and lists of at most LIST query ids; Spark picks broadcast or sort-merge and splits skewed
+    units. Query vectors are not shuffled: tasks have them in blocks, as probing has; a member is met by a whole list at once.
     """
     out = None
+    kind, id_type = dict(members.dtypes)["vec_id"], to_arrow_type(members.schema["vec_id"].dataType)
     for mine, shared in query_blocks(queries, qvec, measure.kind):
         asked = positives.select("query_id", "unit_id")
-        pairs = members.select("unit_id", "vec_id", vec).join(asked if mine is None else asked.where(mine), "unit_id").select("query_id", "vec_id", vec)
+        asked = asked if mine is None else asked.where(mine)
+        lists = max(1, -(-len(shared.value[0]) // LIST))
+        by_unit = asked.groupBy("unit_id", F.pmod(F.xxhash64("query_id", F.lit(1)), F.lit(lists)).alias("part")).agg(F.collect_list("query_id").alias("asked"))
+        pairs = members.select("unit_id", "vec_id", vec).join(by_unit, "unit_id").select("vec_id", vec, "asked", "unit_id", "part")
 
         def run(batches, shared=shared):
             ids, q = shared.value
-            for b in batches:
-                at = b.column(0).to_numpy(zero_copy_only=False)
-                place = np.searchsorted(ids, at)
-                known = np.flatnonzero((place < len(ids)) & (ids[np.minimum(place, len(ids) - 1)] == at)) if len(ids) else np.zeros(0, int)
-                b = b.take(pa.array(known, pa.int64()))
-                x = kernels.matrix(b.column(2), measure.kind)
-                s = np.concatenate([measure.rows(q[place[known[i : i + SLICE]]], x[i : i + SLICE]) for i in range(0, len(known), SLICE)] or [np.zeros(0)])
-                ok = np.ones(len(s), bool) if min_sim is None else s > min_sim if strict else s >= min_sim
-                yield pa.RecordBatch.from_arrays([*b.select([0, 1]).filter(pa.array(ok)).columns, pa.array(s[ok], pa.float64())], ["query_id", "vec_id", "sim"])
-
-        kind = dict(members.dtypes)["vec_id"]
+            for whole in batches:
+                for i in range(0, whole.num_rows, SLICE):
+                    b = whole.slice(i, SLICE)
+                    x, asked = kernels.matrix(b.column(1), measure.kind), b.column(2)
+                    unit, part = (b.column(j).to_numpy(zero_copy_only=False) for j in (3, 4))
+                    order = np.lexsort((part, unit))
+                    cut = np.flatnonzero((np.diff(unit[order]) != 0) | (np.diff(part[order]) != 0)) + 1
+                    rows, cols, sims = [], [], []
+                    for members_of in np.split(order, cut):  # the members of a unit here, against all that open it
+                        at = asked[int(members_of[0])].values.to_numpy(zero_copy_only=False)
+                        place = np.searchsorted(ids, at)
+                        place = place[(place < len(ids)) & (ids[np.minimum(place, len(ids) - 1)] == at)] if len(ids) else place[:0]
+                        s = measure.blocks(q[place], x[members_of])
+                        i_q, i_x = np.nonzero(np.ones(s.shape, bool) if min_sim is None else s > min_sim if strict else s >= min_sim)
+                        rows.append(members_of[i_x])
+                        cols.append(ids[place[i_q]])
+                        sims.append(s[i_q, i_x])
+                    found = b.column(0).take(pa.array(np.concatenate(rows), pa.int64()))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(cols), pa.int64()), found.cast(id_type), pa.array(np.concatenate(sims), pa.float64())], ["query_id", "vec_id", "sim"])
+
         part = pairs.mapInArrow(run, f"query_id bigint, vec_id {kind}, sim double")
         out = part if out is None else out.unionByName(part)
     return out

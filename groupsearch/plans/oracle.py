@@ -142,6 +142,10 @@ select kind, alpha, tau, round({phi("(-tau / sqrt(v0))")}, 6) as pfp, round({phi
         "rep_pinv": _pinv(U) + " " + flat("f", "unit_id, n_members", "m"),
         "rep_norms": _pinv(U)
         + f", s as (select unit_id, count(*) as n, round(sum(list_dot_product(x, x)), 6) as trace from u group by 1), t as (select unit_id, list(w order by pos) as m from (select unit_id, pos, sum(val) as w from (select unit_id, unnest(x) as val, generate_subscripts(x, 1) as pos from u) group by 1, 2) group by 1) select s.unit_id, s.n, round(list_dot_product(t.m, t.m), 6) as norm2_sum, round(list_dot_product(f.m, f.m), 6) as norm2_pinv, s.trace from s join t using (unit_id) join f using (unit_id)",
+        "rep_append": _pinv(U) + " select unit_id, n_members, round(list_dot_product(m, m), 6) as rep_norm2 from f",
+        "rep_online": _pinv(U) + " select unit_id, n_members, round(list_dot_product(m, m), 6) as rep_norm2 from f",
+        "unit_thresholds_pinv": _pinv(U) + f" select unit_id, round({A} + sqrt(list_dot_product(m, m)) * (sqrt(1 - {A} * {A}) / sqrt({D})) * {theory.phi_inv(0.05)!r}, 6) as tau from f",
+        "sql_surface": _pinv(U) + f", {Q}, h as (select q.query_id, u.vec_id, list_dot_product(u.x, q.y) as sim from f join q on list_dot_product(f.m, q.y) > {TAU} join u on u.unit_id = f.unit_id) select query_id, vec_id, round(sim, 6) as sim from h qualify row_number() over (partition by query_id order by sim desc, vec_id) <= 5",
         "power_norm": f"with {V}, w as (select vec_id, list_transform(x, lambda e: sign(e) * sqrt(abs(e))) as x from v), n as (select vec_id, list_transform(x, lambda e: e / sqrt(list_dot_product(x, x))) as x from w) " + flat("n", "vec_id", "x"),
         "normalize_vectors": f"with {V}, n as (select vec_id, list_transform(x, lambda e: e / sqrt(list_dot_product(x, x))) as x from v) " + flat("n", "vec_id", "x"),
         "pinv_constraint": _pinv(U) + " select u.unit_id, count(*) as n, sum((abs(list_dot_product(u.x, f.m) - 1) < 1e-6)::int)::bigint as satisfied from u join f using (unit_id) group by 1",

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import uuid
 
 import numpy as np
@@ -17,6 +18,7 @@ from ..streaming import arrivals
 from .queries import D, members, pinv_index, planted, r6, stated, vectors
 
 OPENED = [1, 2, 5, 10, 20, 40]
+ALPHAS = (0.5, 0.6, 0.7, 0.8, 0.9)
 UNIT, TURNS = 10, 1 << 20
 
 
@@ -88,7 +90,10 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 
 
 def index_of(v: DataFrame, method: str, n: int, d: int, seed: int = 0, unit: int = UNIT, batch: int | None = None) -> search.Index:
-    """An index by name: random, batch, full or minibatch assignment; sum or pinv; _norm for unit-norm centroids."""
+    """An index by name: random, batch, full or minibatch assignment; sum or pinv; _norm for unit-norm centroids.
+
+    A batch is clustered in one task and has at most assign.BATCH rows; a larger full clustering goes round by round over all tasks.
+    """
     how, _, rest = method.partition("-")
     kind, normalize = rest.removesuffix("_norm") or "pinv", rest.endswith("_norm")
     if how == "minibatch":
@@ -97,8 +102,11 @@ def index_of(v: DataFrame, method: str, n: int, d: int, seed: int = 0, unit: int
         return baselines.ivf_index(v, max(1, n // unit), seed=seed)
     if how == "random":
         placed = assign.assign_random(v, unit, n, seed)
+    elif how == "full" and n > assign.BATCH:
+        placed = assign.spherical_kmeans(v, max(1, n // unit), kind, normalize, "random", 8, seed, d, tables.shared_dir(v.sparkSession))
     else:
-        placed = assign.batch_spherical_kmeans(v, batch or (max(1, n // 4) if how == "batch" else 1 << 30), unit, kind, normalize, seed, n=n)
+        size = assign.BATCH if how == "full" else min(batch or max(1, n // 4), assign.BATCH)
+        placed = assign.batch_spherical_kmeans(v, size, unit, kind, normalize, seed, n=n)
     placed = placed.select("vec_id", "vec", "unit_id").cache()
     return search.build_index(placed, kind, d, normalize and how != "random")
 
@@ -197,8 +205,36 @@ def cap_simulation(spark, sf):
 
 def cost_curve_cap(spark, sf):
     """Expected cost against unit size for clustered units."""
-    rows = [(k, e, n, theory.expected_cost_ratio(k, n, 1000, 0.5, 0.01, e)) for k in ("sum", "pinv") for e in (0.0, 0.1, 0.2, 0.4) for n in (2, 5, 10, 20, 50, 100)]
-    return spark.createDataFrame([(*r[:3], round(r[3], 6)) for r in rows], "kind string, eta double, n int, cost_ratio double")
+    grid = itertools.product(("sum", "pinv"), ALPHAS, (0.0, 0.1, 0.2, 0.4), (2, 3, 5, 7, 10, 15, 20, 30, 50, 70, 100, 150))
+    rows = [(k, a, e, n, round(theory.expected_cost_ratio(k, n, 1000, a, 0.01, e), 6)) for k, a, e, n in grid]
+    return spark.createDataFrame(rows, "kind string, alpha0 double, eta double, n int, cost_ratio double")
+
+
+def cost_cap_measured(spark, sf):
+    """The same cost measured: share of simulated units that an unrelated query opens at the modelled threshold, and one probe a unit."""
+    d, draws, eps = 128, 400, 0.05
+    tau = {(k, n, e, a): theory.threshold(k, n, d, a, eps, e) for k in ("sum", "pinv") for n in (5, 10, 20) for e in (0.0, 0.2, 0.4) for a in (0.5, 0.7, 0.9)}
+
+    def run(frames):
+        import pandas as pd
+
+        for f in frames:
+            rows = []
+            for i in f["i"]:
+                rng = np.random.default_rng([77, int(i)])
+                z = rng.standard_normal((20, d))
+                z /= np.linalg.norm(z, axis=1, keepdims=True)
+                for e in (0.0, 0.2, 0.4):
+                    x = np.stack([ft.cap_point(rng, d, e) for _ in range(20)])
+                    for n, k in itertools.product((5, 10, 20), ("sum", "pinv")):
+                        s = z @ kernels.representative(x[:n], k)
+                        rows += [(k, n, e, a, int((s > tau[k, n, e, a]).sum()), len(s)) for a in (0.5, 0.7, 0.9)]
+            yield pd.DataFrame(rows, columns=["kind", "n", "eta", "alpha0", "opened", "tried"])
+
+    got = spark.range(0, draws, 1, 8).select(F.col("id").alias("i")).mapInPandas(run, "kind string, n int, eta double, alpha0 double, opened int, tried int")
+    got = got.groupBy("kind", "n", "eta", "alpha0").agg((F.sum("opened") / F.sum("tried") + 1 / F.col("n")).alias("ratio"))
+    model = [(k, n, e, a, round(theory.expected_cost_ratio(k, n, d, a, eps, e), 6)) for k, n, e, a in tau]
+    return got.join(spark.createDataFrame(model, "kind string, n int, eta double, alpha0 double, ratio_model double"), ["kind", "n", "eta", "alpha0"]).withColumn("ratio", r6("ratio"))
 
 
 def capacity(spark, sf):
@@ -216,7 +252,7 @@ def roc_planted(spark, sf):
     out = []
     for kind, index in (("sum", search.build_index(members(spark, sf), "sum", D)), ("pinv", pinv_index(spark, sf))):
         own = index.members.select(F.col("vec_id").alias("query_id"), F.col("unit_id").alias("own"))
-        for alpha in (0.5, 0.7, 0.9):
+        for alpha in (0.5, 0.6, 0.7, 0.8, 0.9):
             s = search.probe(index.reps, planted(spark, sf, alpha)).join(own, "query_id").select("score", (F.col("unit_id") == F.col("own")).alias("related"))
             rates = metrics.error_rates(s, [0.21, 0.41, 0.61])
             model = [(t, *theory.error_rates(kind, t, UNIT, D, alpha)) for t in (0.21, 0.41, 0.61)]
@@ -225,6 +261,40 @@ def roc_planted(spark, sf):
     return _union(out)
 
 
+def roc_sphere(spark, sf):
+    """Measured and modelled rates on generated vectors of 100 components, both representatives, three similarities."""
+    d = 100
+    v = ft.sphere(spark, 2000, d, 5).cache()
+    placed = assign.assign_random(v, UNIT, 2000, mode="modulo").cache()
+    own = placed.select(F.col("vec_id").alias("query_id"), F.col("unit_id").alias("own"))
+    out = []
+    for kind, alpha in itertools.product(("sum", "pinv"), (0.5, 0.7, 0.9)):
+        index = search.build_index(placed, kind, d)
+        s = search.probe(index.reps, ft.plant_queries(v, alpha)).join(own, "query_id").select("score", (F.col("unit_id") == F.col("own")).alias("related"))
+        model = [(t, *theory.error_rates(kind, t, UNIT, d, alpha)) for t in (0.21, 0.41, 0.61, 0.81)]
+        out.append(_tag(metrics.error_rates(s, [m[0] for m in model]).join(spark.createDataFrame(model, "tau double, pfp_model double, pfn_model double"), "tau"), kind=kind, alpha=alpha))
+    return _union(out)
+
+
+def roc_families(spark, sf):
+    """ROC of random units on documents and conversations: a unit is related if it holds a vector of that cosine, both representatives."""
+    out = []
+    for family, v in (("documents", document_vectors(spark, sf)), ("conversations", conversation_vectors(spark, sf))):
+        v = v.cache()
+        n, queries = v.count(), ft.every_50th(v).cache()
+        near = _truth(v, queries, 0.5).cache()
+        for kind in ("sum", "pinv"):
+            index = index_of(v, f"random-{kind}", n, 256)
+            scores = search.probe(index.reps, queries).cache()
+            for alpha0 in (0.5, 0.7, 0.9):
+                held = near.where(F.col("sim") >= alpha0).join(index.members.select("vec_id", "unit_id"), "vec_id").select("query_id", "unit_id", F.lit(True).alias("r")).distinct()
+                s = scores.join(held, ["query_id", "unit_id"], "left").select("score", F.coalesce("r", F.lit(False)).alias("related"))
+                curve = metrics.roc(s, -0.5, 1.5, 20)
+                area = metrics.auc(curve).first()[0]
+                out.append(_tag(curve.select(r6("tau").alias("tau"), r6("pfp").alias("pfp"), r6("tpr").alias("tpr")), family=family, kind=kind, alpha0=alpha0, auc=None if area is None else round(float(area), 6)))
+    return _union([o.withColumn("auc", F.col("auc").cast("double")) for o in out])
+
+
 # clustering and imbalance --------------------------------------------------------------------------------------------------------
 
 
@@ -249,7 +319,7 @@ def batch_kmeans(spark, sf):
 
 def batch_kmeans_full(spark, sf):
     v = document_vectors(spark, sf).cache()
-    return metrics.imbalance(assign.batch_spherical_kmeans(v, 1 << 30, UNIT, "pinv", True)).select("n", "units", r6("delta").alias("delta"))
+    return metrics.imbalance(index_of(v, "full-pinv_norm", v.count(), 256).members).select("n", "units", r6("delta").alias("delta"))
 
 
 def imbalance_variants(spark, sf):
@@ -271,7 +341,7 @@ def random_and_clustered(spark, sf):
 
 def unit_sizes(spark, sf):
     v = document_vectors(spark, sf).cache()
-    return _union([_tag(_compare(v, 256, ["random-pinv", "full-pinv_norm"], 0.5, unit=n), n=n) for n in (5, 20)])
+    return _union([_tag(_compare(v, 256, ["random-pinv", "full-pinv_norm"], 0.5, unit=n), n=n) for n in (5, 10, 20, 50)])
 
 
 def low_dimension(spark, sf):
@@ -289,15 +359,61 @@ def low_dimension(spark, sf):
     return spark.createDataFrame(out, "family string, d int, effective_d double, ratio double, ratio_model double")
 
 
+FAMILIES = (("documents", document_vectors, 256, 0.5), ("conversations", conversation_vectors, 256, 0.4), ("profiles", profile_vectors, 120, 0.3))
+
+
 def cost_spread(spark, sf):
-    """Spread of cost over queries when a fixed number of units is opened: plain sum, pinv, mini-batch."""
-    return _compare(document_vectors(spark, sf), 256, ["full-sum", "full-pinv", "minibatch"], 0.5, opened=[4])
+    """Spread of cost over queries when a fixed number of units is opened: plain sum, pinv, mini-batch, on three families."""
+    return _union([_tag(_compare(make(spark, sf), d, ["full-sum", "full-pinv", "minibatch"], alpha0, opened=[4, 10]), family=family) for family, make, d, alpha0 in FAMILIES])
+
+
+def _query_ratios(index: search.Index, queries: DataFrame, n: int, opened: int) -> DataFrame:
+    """query_id, ratio when the best so many units are opened."""
+    positives = search.select_units(index.reps, queries, top_units=opened)
+    return metrics.complexity_ratio(metrics.query_cost(positives, index.reps, queries), n)
+
+
+def cost_histograms(spark, sf):
+    """Histograms of cost over queries at four opened units, in 50 bins up to a half: sum against pinv units on three families."""
+    out = []
+    for family, make, d, _ in FAMILIES:
+        v = make(spark, sf).cache()
+        n, queries = v.count(), ft.every_50th(v).cache()
+        for method in ("full-sum", "full-pinv"):
+            rows = metrics.cost_histogram(_query_ratios(index_of(v, method, n, d), queries, n, 4), 50, 0.5)
+            out.append(_tag(rows, family=family, method=method))
+    return _union(out)
+
+
+def positive_units_protocol(spark, sf):
+    """Cost of a query when 3.5 % of all units are opened: batch clustering against mini-batch k-means, with means and spreads over queries."""
+    v = document_vectors(spark, sf).cache()
+    n, queries = v.count(), ft.every_50th(v).cache()
+    opened, out = max(1, round(0.035 * n / UNIT)), []
+    for method in ("batch-pinv_norm", "batch-sum_norm", "minibatch"):
+        rows = metrics.cost_summary(_query_ratios(index_of(v, method, n, 256), queries, n, opened))
+        out.append(_tag(rows.select("queries", r6("ratio_mean").alias("ratio_mean"), r6("ratio_std").alias("ratio_std")), method=method, opened=opened))
+    return _union(out)
 
 
 def batch_assignment(spark, sf):
-    """Random, batch and full clustering, over seeds."""
-    curves = _compare(document_vectors(spark, sf), 256, ["random-pinv", "batch-pinv_norm", "full-pinv_norm"], 0.5, seeds=(0, 1, 2), opened=[1, 5])
-    return curves.groupBy("method", "opened").agg(r6(F.avg("ratio_mean")).alias("ratio"), r6(F.avg("recall")).alias("recall"), r6(F.stddev_pop("recall")).alias("recall_sd"))
+    """Random, batch (two batch sizes) and full clustering, over five seeds."""
+    v = document_vectors(spark, sf).cache()
+    n = v.count()
+    small = _tag(_compare(v, 256, ["batch-pinv_norm"], 0.5, seeds=range(5), opened=[1, 5], batch=max(1, n // 16)), size="n/16")
+    rest = _tag(_compare(v, 256, ["random-pinv", "batch-pinv_norm", "full-pinv_norm"], 0.5, seeds=range(5), opened=[1, 5]), size="")
+    curves = small.unionByName(rest).withColumn("method", F.concat("method", F.when(F.col("size") == "", "").otherwise(F.concat(F.lit(" "), "size")))).cache()
+    recall = metrics.repeat_runs([curves], ["method", "opened"], "recall")
+    cost = metrics.repeat_runs([curves], ["method", "opened"], "ratio_mean").drop("runs")
+    return recall.join(cost, ["method", "opened"]).select("method", "opened", r6("ratio_mean_mean").alias("ratio"), r6("recall_mean").alias("recall"), r6("recall_sd").alias("recall_sd"), "runs")
+
+
+def minibatch_imbalance(spark, sf):
+    """Imbalance of mini-batch k-means and of independent batches, mean and spread over five seeds."""
+    v = document_vectors(spark, sf).cache()
+    n = v.count()
+    runs = {m: [metrics.imbalance(index_of(v, m, n, 256, seed).members, max(1, n // UNIT)).select("delta") for seed in range(5)] for m in ("minibatch", "batch-pinv_norm", "batch-sum_norm")}
+    return _union([_tag(metrics.repeat_runs(r, [], "delta").select(r6("delta_mean").alias("delta_mean"), r6("delta_sd").alias("delta_sd"), "runs"), method=m) for m, r in runs.items()])
 
 
 def minibatch_comparison(spark, sf):
@@ -327,18 +443,39 @@ def distractors(spark, sf):
     return _union(out)
 
 
+def _map_curve(v: DataFrame, q: DataFrame, truth: DataFrame, n: int, d: int, methods: list[str], own: bool = True) -> DataFrame:
+    """Mean average precision against cost as more units are opened, beside the exhaustive search. own: a query may find itself."""
+    hits = search.exhaustive_search(v, q, k=200)
+    keep = (lambda h: h) if own else (lambda h: search.rank_hits(h.where("query_id <> vec_id").drop("hit_rank")))
+    out = [_tag(metrics.mean_average_precision(keep(hits), truth), method="exhaustive", opened=0, ratio=1.0)]
+    for method in methods:
+        index = index_of(v, method, n, d)
+        for opened in sorted({max(1, n // UNIT * share // 200) for share in (1, 4, 10, 20, 60)}):
+            ratio = metrics.cost_summary(_query_ratios(index, q, n, opened)).first().ratio_mean
+            out.append(_tag(metrics.mean_average_precision(keep(search.search(index, q, top_units=opened)), truth), method=method, opened=opened, ratio=round(float(ratio or 0), 6)))
+    return _union(out).select("method", "opened", "ratio", r6("map").alias("map"), "queries")
+
+
 def passages(spark, sf):
-    """Benchmark items as queries: mean average precision of documents that contain them, exhaustive and through units."""
+    """Benchmark items as queries for documents that contain them: mean average precision against cost, beside the exhaustive search.
+
+    Which documents contain an item is found by the items' shingles, so no text is compared with all items.
+    """
     docs = tables.load_table(spark, sf, "documents", ["doc_id", "text"])
     items = tables.load_table(spark, sf, "benchmark", ["item_id", "text"])
     v = ft.hash_vectors(docs, "doc_id", "text", 256).cache()
     q = ft.hash_vectors(items, "item_id", "text", 256).select(F.col("vec_id").alias("query_id"), F.col("vec").alias("qvec")).cache()
-    truth = docs.join(F.broadcast(items.withColumnRenamed("text", "passage")), F.contains("text", "passage")).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("vec_id")).cache()
-    n = v.count()
-    index = index_of(v, "batch-pinv_norm", n, 256)
-    out = [_tag(metrics.mean_average_precision(search.exhaustive_search(v, q), truth), method="exhaustive")]
-    out.append(_tag(metrics.mean_average_precision(search.search(index, q, top_units=max(5, n // 50)), truth), method="units"))
-    return _union(out).select("method", r6("map").alias("map"), "queries")
+    truth = ft.containing_texts(docs, items).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("vec_id")).cache()
+    return _map_curve(v, q, truth, v.count(), 256, ["random-pinv", "batch-pinv_norm", "full-pinv_norm"])
+
+
+def near_copy_map(spark, sf):
+    """Documents as queries for their near copies (cosine 0.9 or more): mean average precision against cost."""
+    v = document_vectors(spark, sf).cache()
+    q = ft.every_50th(v).cache()
+    truth = _truth(v, q, 0.9).select("query_id", "vec_id").cache()
+    q = q.join(truth.select("query_id").distinct(), "query_id", "left_semi").cache()
+    return _map_curve(v, q, truth, v.count(), 256, ["random-sum", "random-pinv", "full-pinv_norm"], own=False)
 
 
 def match_by_rank_families(spark, sf):
@@ -358,15 +495,16 @@ def match_by_rank_families(spark, sf):
 
 
 def same_conversation(spark, sf):
-    """Turns as queries: how many of the four best other turns belong to the same conversation, exhaustive and through units."""
+    """Turns as queries: how many of the four best other turns belong to the same conversation, exhaustive and as more units open."""
     v = conversation_vectors(spark, sf).cache()
     n, queries = v.count(), ft.every_50th(v).cache()
     truth = v.select("vec_id", F.floor(F.col("vec_id") / TURNS).alias("conv")).join(queries.select("query_id", F.floor(F.col("query_id") / TURNS).alias("conv")), "conv").where("query_id <> vec_id").select("query_id", "vec_id")
     index = index_of(v, "batch-pinv_norm", n, 256)
     out = []
-    for method, hits in (("exhaustive", search.exhaustive_search(v, queries, k=20)), ("units", search.search(index, queries, top_units=max(3, n // 50)))):
+    runs = [("units", k, search.search(index, queries, top_units=k)) for k in sorted({1, 5, max(3, n // 200), max(3, n // 50)})]
+    for method, opened, hits in (("exhaustive", 0, search.exhaustive_search(v, queries, k=20)), *runs):
         ranked = search.rank_hits(hits.where("query_id <> vec_id").drop("hit_rank"))
-        out.append(_tag(metrics.mean_correct_at(ranked, truth, queries, 4), method=method))
+        out.append(_tag(metrics.mean_correct_at(ranked, truth, queries, 4), method=method, opened=opened))
     return _union(out)
 
 
@@ -400,26 +538,53 @@ def pca_search(spark, sf):
     return full.unionByName(_tag(curve_by_units(index_of(low, "batch-pinv_norm", n, 64), asked, truth, n), d=64))
 
 
+SIGN_TAUS = [0.1, 0.15, 0.2, 0.25, 0.3, 0.35, 0.4, 0.5, 0.6]
+
+
 def sign_documents(spark, sf):
-    """Sign codes of reduced document vectors: recall of matches, symmetric and asymmetric, both representatives."""
+    """Curves of recall against cost for sign codes of reduced document vectors: symmetric and asymmetric, both representatives, beside
+    the same units without codes and the exhaustive scan of codes at a threshold."""
     v = document_vectors(spark, sf).cache()
     low = reduce.apply_pca(reduce.fit_pca(v, 64), v).cache()
-    n = low.count()
-    queries = ft.every_50th(low).cache()
-    truth = _truth(low, queries, 0.8).cache()
+    n, queries = low.count(), ft.every_50th(low).cache()
+    truth = _truth(low, queries, 0.7).cache()
     placed = assign.assign_random(low, UNIT, n).cache()
     out = []
+
+    def curve(scores, reps, **tags):
+        rows = metrics.quality_cost_curve(scores, reps, placed, truth, queries, n, SIGN_TAUS)
+        out.append(_tag(rows.select("tau", r6("ratio_mean").alias("ratio"), r6("recall").alias("recall")), **tags))
+
     for kind in ("sum", "pinv"):
-        index = codes.sign_index(placed, kind, 64)
-        for symmetric in (False, True):
-            hits = codes.search_signs(index, queries, 0.25, symmetric)
-            got = metrics.precision_recall(hits, truth).select("n_hits", "n_truth", "n_correct", r6("recall").alias("recall"))
-            out.append(_tag(got, kind=kind, symmetric=symmetric))
+        plain, coded = search.build_index(placed, kind, 64), codes.sign_index(placed, kind, 64)
+        curve(search.probe(plain.reps, queries), plain.reps, kind=kind, way="real")
+        for way, symmetric in (("asymmetric", False), ("symmetric", True)):
+            curve(codes.sign_scores(coded, queries, symmetric), coded.reps, kind=kind, way=way)
+    lone = placed.withColumn("unit_id", F.col("vec_id"))  # a scan of codes: every vector its own unit, verified for nothing
+    coded = codes.sign_index(lone, "sum", 64)
+    rows = metrics.quality_cost_curve(codes.sign_scores(coded, queries, True), coded.reps, lone, truth, queries, n, SIGN_TAUS)
+    out.append(_tag(rows.select("tau", F.lit(1.0).alias("ratio"), r6("recall").alias("recall")), kind="none", way="scan"))
     return _union(out)
 
 
 def other_features(spark, sf):
-    return _compare(trigram_vectors(spark, sf), 512, ["random-pinv", "batch-pinv_norm"], 0.98)
+    """The second family of features: recall against cost for two similarities."""
+    v = trigram_vectors(spark, sf).cache()
+    return _union([_tag(_compare(v, 512, ["random-pinv", "batch-pinv_norm"], a), alpha0=a) for a in (0.9, 0.98)])
+
+
+def high_dimension(spark, sf):
+    """Words hashed to 1024 and 1920 components: recall against cost, random and batch units, and what a reduction to 128 costs."""
+    out = []
+    for d in (1024, 1920):
+        v = document_vectors(spark, sf, d).cache()
+        out.append(_tag(_compare(v, d, ["random-pinv", "batch-pinv_norm"], 0.5, batch=1000), d=d, reduced=0))
+        if d == 1024:
+            low = reduce.apply_pca(reduce.fit_pca(v, 128), v).cache()
+            n, queries = v.count(), ft.every_50th(v).cache()
+            curve = curve_by_units(index_of(low, "batch-pinv_norm", n, 128, batch=1000), ft.every_50th(low).cache(), _truth(v, queries, 0.5).cache(), n)
+            out.append(_tag(curve, method="batch-pinv_norm", seed=0, d=d, reduced=128))
+    return _union(out)
 
 
 # baselines ---------------------------------------------------------------------------------------------------------------------
@@ -433,6 +598,63 @@ def baseline_forest(spark, sf):
     return spark.createDataFrame([(i, t.trees, t.checks, round(t.precision, 6), round(t.ratio, 6), round(t.cost, 6)) for i, t in enumerate(tuned)], "place int, trees int, checks int, precision double, ratio double, cost double")
 
 
+def forest_or_units(spark, sf):
+    """The tuned forest beside units at equal recall, on documents among pages: share of vectors compared until 90 % of matches are found.
+
+    The forest is the cheapest of k-d and k-means trees that meets the precision on the best hit; units open until they find as many.
+    """
+    docs, pages = ft.hash_vectors(tables.load_table(spark, sf, "documents", ["doc_id", "text"]), "doc_id", "text", 256), page_vectors(spark, sf)
+    v = vx.center_vectors(docs.unionByName(pages.select((-F.col("vec_id") - 1).alias("vec_id"), "vec")).cache()).where("vec is not null").cache()
+    n, q = v.count(), ft.every_50th(v.where("vec_id >= 0")).cache()
+    truth = search.exhaustive_search(v, q, k=1).cache()
+    tuned = baselines.tune_forest(v, q, truth, n, grid=((1, 4), (128, 512, 2048), (16, 64), ("kd", "kmeans")))
+    best = tuned[0]
+    rows = [("forest", f"{best.algorithm}, {best.trees} trees, {best.checks} checks, leaves of {best.leaf}", round(best.precision, 6), round(best.ratio, 6))]
+    # the query itself is its best hit: units are asked to open the unit of it, which is where that hit lies
+    for method in ("random-pinv", "batch-pinv_norm"):
+        for r in sorted(curve_by_units(index_of(v, method, n, 256), q, truth.select("query_id", "vec_id"), n).collect(), key=lambda r: r.opened):
+            rows.append((method, f"{r.opened} units", r.recall, r.ratio_mean))
+            if r.recall >= best.precision:
+                break
+    return spark.createDataFrame(rows, "method string, setting string, precision double, ratio double")
+
+
+def execution_time(spark, sf, n: int = 20_000, d: int = 1024, asked: int = 64):
+    """Seconds a query through the library's own plans: exhaustive, two-stage over random units at a fifth of the cost, and sign codes.
+
+    Vectors are generated and stored first, so that every way reads them alike; all queries of a block share a scan.
+    """
+    import time
+
+    base = f"{tables.shared_dir(spark)}/time-{uuid.uuid4().hex}"
+    ft.sphere(spark, n, d, 3).write.parquet(f"{base}/v")
+    v = spark.read.parquet(f"{base}/v")
+    queries = ft.plant_queries(v.where(F.col("vec_id") % (n // asked) == 0), 0.8).cache()
+    placed = assign.assign_random(v, UNIT, n, mode="modulo")
+    tables.write_index(represent.sum_representatives(placed, d=d), placed, {}, f"{base}/real")
+    reps, members, _ = tables.read_index(spark, f"{base}/real")
+    coded = codes.sign_index(members, "sum", d)
+    tables.write_index(coded.reps.drop("rep"), coded.members.select("vec_id", "unit_id", "batch_id", "code"), {}, f"{base}/code")
+    code_reps, code_members, _ = tables.read_index(spark, f"{base}/code")
+    signs, every = search.Index(code_reps, code_members, {"d": d}), codes.encode(queries, d, "qvec", "code")
+    share = max(1, n // UNIT // 10)  # a tenth of the units opened: with the probe a fifth of the products
+
+    def two_stage():
+        return search.verify(search.score_pairs(reps, queries, "unit_id", "rep", k=share).drop("score"), members, queries, 0.5)
+
+    def by_codes():
+        top = search.score_pairs(signs.reps, every, "unit_id", "code", k=share, measure=codes.NEARNESS, qvec="code")
+        return search.verify(top, signs.members, every, -0.45 * d, measure=codes.NEARNESS, vec="code", qvec="code")
+
+    ways = (("exhaustive", lambda: search.score_pairs(v, queries, "vec_id", "vec", 0.5)), ("two_stage", two_stage), ("codes_scan", lambda: search.score_pairs(signs.members, every, "vec_id", "code", -0.45 * d, measure=codes.NEARNESS, qvec="code")), ("codes_two_stage", by_codes))
+    rows, count = [], queries.count()
+    for name, run in ways:
+        started = time.perf_counter()
+        found = run().count()
+        rows.append((name, n, d, (time.perf_counter() - started) / count, found))
+    return spark.createDataFrame(rows, "way string, n int, d int, seconds_per_query double, found long")
+
+
 def baseline_mbk(spark, sf):
     return _compare(document_vectors(spark, sf), 256, ["minibatch"], 0.5)
 
@@ -502,11 +724,12 @@ def sql_surface(spark, sf):
     return spark.sql("SELECT q.query_id, s.vec_id, round(s.sim, 6) AS sim FROM groupsearch_asked q, LATERAL group_search(q.qvec, 5) s")
 
 
-NAMES = """rep_pinv_degenerate rep_ridge rep_online gram_spectrum mp_moments kl_sum kl_pinv cap_simulation cost_curve_cap capacity plans
-roc_planted kmeans_pinv kmeans_pinv_norm batch_kmeans batch_kmeans_full imbalance_variants random_and_clustered unit_sizes low_dimension
-cost_spread batch_assignment minibatch_comparison large_protocol distractors passages match_by_rank_families
-same_conversation vector_normalisation sign_documents pca_variance pca_search other_features
-baseline_forest baseline_mbk baseline_ivf baseline_lsh two_level streaming_sizes stream_units sql_surface""".split()
+NAMES = """rep_pinv_degenerate rep_ridge rep_online gram_spectrum mp_moments kl_sum kl_pinv cap_simulation cost_curve_cap cost_cap_measured
+capacity plans roc_planted roc_sphere roc_families kmeans_pinv kmeans_pinv_norm batch_kmeans batch_kmeans_full imbalance_variants
+random_and_clustered unit_sizes low_dimension cost_spread cost_histograms positive_units_protocol batch_assignment minibatch_imbalance
+minibatch_comparison large_protocol distractors passages near_copy_map match_by_rank_families
+same_conversation vector_normalisation sign_documents pca_variance pca_search other_features high_dimension
+baseline_forest forest_or_units execution_time baseline_mbk baseline_ivf baseline_lsh two_level streaming_sizes stream_units sql_surface""".split()
 
 
 def queries() -> dict:

@@ -156,3 +156,107 @@ def test_generators(spark):
     assert np.allclose(np.linalg.norm(x, axis=1), 1) and np.allclose(x, again)
     c = kernels.matrix(features.cap(spark, 500, 32, 0.5, 3).toArrow().column("vec"))
     assert c[:, 0].min() >= 0.5 and c[:, 0].mean() == pytest.approx(theory.cap_moment(1, 0.5, 32), abs=0.01)
+
+
+def test_pairs_of_the_join_are_found_from_either_side(spark):
+    v = q.vectors(spark, SMALL)
+    index, x = q.sum_index(spark, SMALL), kernels.matrix(v.orderBy("vec_id").toArrow().column("vec"))
+    unit = {r.vec_id: r.unit_id for r in index.members.collect()}
+    reps = {r.unit_id: np.array(r.rep) for r in index.reps.collect()}
+    true = [(i, j) for i in range(500) for j in range(i + 1, 500) if x[i] @ x[j] >= 0.35]
+    want = {(i, j) for i, j in true if reps[unit[j]] @ x[i] > 0.3 or reps[unit[i]] @ x[j] > 0.3}
+    got = {(r.left_id, r.right_id) for r in search.similarity_join(v, index, 0.35, 0.3).collect()}
+    assert got == want and len(want) > 0.8 * len(true)
+
+
+def test_blocks_of_queries_change_nothing(spark, monkeypatch):
+    index, asked = q.sum_index(spark, SMALL), q.planted(spark, SMALL)
+    whole = sorted(map(tuple, search.search(index, asked, tau=0.5, min_sim=0.3).select("query_id", "vec_id", "hit_rank").collect()))
+    monkeypatch.setattr(search, "BLOCK_BYTES", 64 * 64 * 8)
+    monkeypatch.setattr(search, "TILE", 4096)
+    monkeypatch.setattr(search, "LIST", 3)
+    assert len(list(search.query_blocks(asked))) == 8
+    assert sorted(map(tuple, search.search(index, asked, tau=0.5, min_sim=0.3).select("query_id", "vec_id", "hit_rank").collect())) == whole
+    top = search.exhaustive_search(q.vectors(spark, SMALL), asked, k=3).collect()
+    x = kernels.matrix(q.vectors(spark, SMALL).orderBy("vec_id").toArrow().column("vec"))
+    y = {r.query_id: np.array(r.qvec) for r in asked.collect()}
+    assert len(top) == 1500 and all(np.argsort(-(x @ y[r.query_id]), kind="stable")[r.hit_rank - 1] == r.vec_id for r in top)
+
+
+def test_stacked_solves_equal_single_ones():
+    rng = np.random.default_rng(2)
+    v, own = rng.standard_normal((300, 16)), rng.integers(0, 40, 300)
+    v[5] = v[4]
+    own[4] = own[5]
+    own[own == 7] = 8  # one unit is empty, one larger than the dimension
+    own[:20] = 3
+    for kind in ("sum", "pinv"):
+        reps, size = kernels.unit_reps(v, own, 40, kind)
+        for j in range(40):
+            want = kernels.representative(v[own == j], kind) if size[j] else np.zeros(16)
+            assert np.allclose(reps[j], want, atol=1e-7)
+
+
+def test_measured_cost_of_clustered_units_follows_the_model(spark):
+    for r in w.cost_cap_measured(spark, SMALL).collect():
+        if r.kind == "sum":
+            assert r.ratio == pytest.approx(r.ratio_model, rel=0.12, abs=0.01)
+        else:  # the model bounds the norm from below, and so the cost
+            assert 0.93 * r.ratio_model < r.ratio < 1.4 * r.ratio_model + 0.02
+
+
+def test_rates_on_generated_vectors_follow_the_model(spark):
+    for r in w.roc_sphere(spark, SMALL).collect():
+        assert r.pfp == pytest.approx(r.pfp_model, abs=0.02) and r.pfn == pytest.approx(r.pfn_model, abs=0.04)
+
+
+def test_batches_are_better_balanced_than_mini_batches(spark):
+    rows = {r.method: r for r in w.minibatch_imbalance(spark, MEDIUM).collect()}
+    assert rows["batch-pinv_norm"].delta_mean < rows["batch-sum_norm"].delta_mean < rows["minibatch"].delta_mean
+    assert rows["minibatch"].delta_sd > rows["batch-pinv_norm"].delta_sd and rows["minibatch"].runs == 5
+    cost = {r.method: r for r in w.positive_units_protocol(spark, MEDIUM).collect()}
+    assert cost["batch-pinv_norm"].ratio_mean < cost["minibatch"].ratio_mean and cost["batch-pinv_norm"].ratio_std < cost["minibatch"].ratio_std
+
+
+def test_codes_lose_little_and_more_symmetrically(spark):
+    rows = {(r.kind, r.way, r.tau): r for r in w.sign_documents(spark, MEDIUM).collect()}
+    for kind in ("sum", "pinv"):
+        for way in ("real", "asymmetric", "symmetric"):
+            curve = [rows[kind, way, t] for t in sorted(w.SIGN_TAUS)]
+            assert all(a.recall >= b.recall and a.ratio >= b.ratio for a, b in zip(curve, curve[1:], strict=False))
+        assert rows[kind, "real", 0.2].recall >= 0.7
+
+
+#: Workloads that no other test calls, but for the long ones.
+REST = """rep_pinv_degenerate rep_ridge gram_spectrum mp_moments kl_sum kl_pinv cost_curve_cap capacity plans kmeans_pinv kmeans_pinv_norm
+batch_kmeans batch_kmeans_full cost_histograms vector_normalisation pca_variance baseline_forest baseline_ivf baseline_lsh two_level
+roc_families random_and_clustered minibatch_comparison large_protocol distractors same_conversation pca_search other_features""".split()
+
+
+@pytest.mark.parametrize("name", REST)
+def test_rows_make_sense(spark, name):
+    rows = w.queries()[name](spark, SMALL).toPandas()
+    assert len(rows)
+    for column in rows.columns:
+        if column in ("recall", "pfp", "tpr", "share", "p_match", "precision", "auc", "map"):
+            assert rows[column].dropna().between(0, 1 + 1e-9).all(), column
+        if column in ("ratio", "ratio_mean", "cost_ratio"):
+            assert (rows[column] > 0).all() and (rows[column] < 2.01).all(), column
+    if {"opened", "recall", "method"} <= set(rows.columns):
+        rest = [c for c in rows.columns if c not in ("opened", "recall", "ratio_mean", "ratio_std")]
+        for _, curve in rows.groupby(rest):
+            curve = curve.sort_values("opened")
+            assert curve.recall.is_monotonic_increasing and curve.ratio_mean.is_monotonic_increasing
+    if name == "rep_pinv_degenerate":  # copies contradict nothing
+        assert (rows.worst < 1e-6).mean() > 0.5
+    if name == "gram_spectrum":
+        assert abs(rows.share.sum() - 1) < 0.25 and abs(rows.model.sum() - 1) < 0.01
+    if name == "kl_sum":
+        assert (rows.kl >= 0).all()
+    if name == "cost_curve_cap":  # the optimum moves to larger units as the similarity grows
+        best = rows[(rows.eta == 0) & (rows.kind == "pinv")].sort_values("cost_ratio").groupby("alpha0").n.first()
+        assert best.is_monotonic_increasing and best.iloc[0] < best.iloc[-1]
+    if name == "capacity":
+        assert all(g.sort_values("d").n.is_monotonic_increasing for _, g in rows.groupby("kind"))
+    if name == "two_level":
+        assert (rows.ops > 0).all()

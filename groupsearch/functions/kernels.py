@@ -202,10 +202,23 @@ class Best:
 
 
 def hamming_distances(words: np.ndarray, code: np.ndarray) -> np.ndarray:
-    """Differing bits of a code and many, whose 64-bit words lie word by word (words x codes): one pass over contiguous memory each."""
-    out = np.zeros(words.shape[1], np.uint16)
-    for row, c in zip(words, code, strict=True):
-        out += np.bitwise_count(row ^ c)
+    """Differing bits of a code and many, whose 64-bit words lie word by word (words x codes).
+
+    One pass over contiguous memory each, in blocks that stay in the cache; three words fit a sum of one byte.
+    """
+    n = words.shape[1]
+    out = np.zeros(n, np.uint16)
+    step = 16384
+    differing, bits, few = np.empty(step, words.dtype), np.empty(step, np.uint8), np.empty(step, np.uint8)
+    for i in range(0, n, step):
+        block = words[:, i : i + step]
+        m = block.shape[1]
+        d, b, f, total = differing[:m], bits[:m], few[:m], out[i : i + m]
+        for j in range(0, len(code), 3):
+            np.bitwise_count(np.bitwise_xor(block[j], code[j], out=d), out=f)
+            for k in range(j + 1, min(j + 3, len(code))):
+                np.add(f, np.bitwise_count(np.bitwise_xor(block[k], code[k], out=d), out=b), out=f)
+            np.add(total, f, out=total)
     return out
 
 

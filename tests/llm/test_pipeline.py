@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import corpus_pipeline
+from pyspark.sql import functions as F
+
 from groupsearch.llm import common, queries, toxicity
 
 from ..conftest import MEDIUM
-from .test_operators import _brute, _shingles
+from .test_operators import _ascii_shingles, _brute, _components, _shingles
 
 
 def test_stages(spark):
@@ -26,14 +28,8 @@ def test_stages(spark):
     rejected = {r.doc_id for r in toxicity.score_documents(first, model).where("predicted = 1").collect()}
     assert set(text[0]) - set(text[1]) == rejected and not any(labels.get(i) == 0 for i in rejected)
 
-    shingles = {i: _ascii_shingles(t) for i, t in text[1].items()}
-    groups: dict = {}
-    for i, s in sorted(shingles.items()):
-        mate = next((j for j in groups if len(s & shingles[j]) >= 0.8 * len(s | shingles[j])), None)
-        groups.setdefault(i if mate is None else mate, []).append(i)
-    lost = set(text[1]) - set(text[2])
-    copies = {i for g in groups.values() for i in g[1:]}
-    assert len(copies - lost) <= 0.02 * len(copies) and len(lost - copies) <= 2
+    groups = _components({i: _ascii_shingles(t) for i, t in text[1].items()})
+    assert set(text[2]) == set(groups.values()) and len(text[2]) < len(text[1])
 
     want = _brute(list(text[2].items()), 100)
     for i, t in text[3].items():
@@ -47,6 +43,19 @@ def test_stages(spark):
     assert queries.pipeline(spark, MEDIUM).count() == len(text[4])
 
 
-def _ascii_shingles(text):
-    w = text.encode().lower().split()
-    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+def test_stages_of_odd_rows(spark, tmp_path):
+    """Nulls, empty texts, repeated rows, a very long text and clashing columns go through every stage; empty tables too."""
+    long = " ".join(f"w{i}" for i in range(20_000))
+    rows = [(1, None), (2, ""), (3, "one"), (4, "one"), (4, "one"), (5, long), (6, long), (None, "no id"), (None, "no id"), (7, "a" * 3000)]
+    docs = spark.createDataFrame([(i, t, None, "s", None) for i, t in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    for name in ("labels", "benchmark"):
+        common.table(spark, MEDIUM, name).write.parquet(f"{tmp_path}/{name}.parquet")
+    for extra in ([], ["key", "fp", "u", "part", "__hash"]):
+        now = docs
+        for column in extra:
+            now = now.withColumn(column, F.lit(1))
+        now.write.mode("overwrite").parquet(f"{tmp_path}/documents.parquet")
+        out = corpus_pipeline.run(spark, str(tmp_path)).collect()
+        assert sorted((r.doc_id is None, r.doc_id or 0) for r in out) == [(False, 1), (False, 3), (False, 5), (False, 7), (True, 0), (True, 0)]
+    docs.limit(0).write.mode("overwrite").parquet(f"{tmp_path}/documents.parquet")
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0

@@ -6,8 +6,8 @@ equal strings of ``window`` bytes hold equal sampled strings of ``window - v + 1
 1. Name the sampled suffixes by a hash of their prefix of that length, deal names out by value, sort them, and mark the positions
    whose name occurs at another place. Only the order of prefixes up to ``window`` is needed, so one round of naming does what
    recursion does for a whole suffix array.
-2. Positions that no marked sample covers have no equal string. Merge the rest: name their prefixes of ``window`` bytes by 128 bits,
-   sort, and compare neighbours; all but the first of equal ones are removed.
+2. Positions that no marked sample covers have no equal string. Merge the rest: name their prefixes of ``window`` bytes by two
+   hashes, sort, and compare neighbours; all but the first of equal ones are removed.
 
 Prefixes and pieces are compared by polynomial hashes modulo the prime 2**61 - 1 in two bases drawn anew for every run. For any two
 different strings of n bytes, whoever made them, the bases that confuse them are at most n of 2**61, and the two are independent.
@@ -259,7 +259,7 @@ class Batch:
         at, owner, x, y = at[~later], owner[~later], x[~later], y[~later]
         part = (x % np.uint64(parts)).astype(np.int64)
         x = x // np.uint64(parts)
-        y = (_mix(y) >> np.uint64(32)).astype(np.uint32)
+        y = _mix(y) >> np.uint64(24)
         by = np.argsort(part, kind="stable")
         part, at, owner, x, y = part[by], at[by], owner[by], x[by], y[by]
         for p, k in _runs(part):
@@ -267,7 +267,8 @@ class Batch:
             low = x[k].view(np.uint8).reshape(-1, 8)[:, :6]
             gaps = np.diff(at[k], prepend=0).astype(np.uint32).view(np.uint8).reshape(-1, 4).T
             head = (len(docs).to_bytes(4, "little"), self.ids[docs].astype("<i8").tobytes(), self.first[docs].astype("<u4").tobytes(), held.astype("<u4").tobytes())
-            body = (np.ascontiguousarray(low).tobytes(), y[k].tobytes(), np.ascontiguousarray(gaps).tobytes())
+            more = y[k].view(np.uint8).reshape(-1, 8)[:, :5]
+            body = (np.ascontiguousarray(low).tobytes(), np.ascontiguousarray(more).tobytes(), np.ascontiguousarray(gaps).tobytes())
             out.append((p, 5, self.uid, len(at[k]), b"".join(head + body)))
         return out
 
@@ -504,10 +505,12 @@ def _compare(batches):
         at = 4 + 16 * n_docs
         x = np.zeros((n, 8), np.uint8)
         x[:, :6] = np.frombuffer(raw, np.uint8, 6 * n, at).reshape(n, 6)
-        gaps = np.ascontiguousarray(np.frombuffer(raw, np.uint8, 4 * n, at + 10 * n).reshape(4, n).T).view("<u4").reshape(-1)
+        y = np.zeros((n, 8), np.uint8)
+        y[:, :5] = np.frombuffer(raw, np.uint8, 5 * n, at + 6 * n).reshape(n, 5)
+        gaps = np.ascontiguousarray(np.frombuffer(raw, np.uint8, 4 * n, at + 11 * n).reshape(4, n).T).view("<u4").reshape(-1)
         place = np.cumsum(gaps, dtype=np.int64)
         xs.append(x.view("<u8").reshape(-1))
-        ys.append(np.frombuffer(raw, "<u4", n, at + 6 * n))
+        ys.append(y.view("<u8").reshape(-1))
         docs.append(np.repeat(doc, held))
         ats.append(place - np.repeat(first.astype(np.int64), held))
         places.append(place.astype(np.uint32))

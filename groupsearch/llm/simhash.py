@@ -160,7 +160,7 @@ SKETCH, MARGIN = 128, 0.2
 #: Bytes of sketches or texts of leaders that are broadcast.
 BROADCAST_BYTES = 64 << 20
 #: Pairs of one shingle that are still open and are then compared directly; salts by which a shingle with more names leaders.
-PAIRS_OF_KEY, SALTS = 50_000, 32
+PAIRS_OF_KEY, SALTS = 4_000_000, 1024
 
 
 def bands_for(rows: int, similarity: float, overlooked: float = OVERLOOKED) -> int:
@@ -294,10 +294,10 @@ class _Copies:
         return self.save(keyed.join(if_small(counts), "key").select("key", "doc_id", "lead").distinct(), "shared")
 
     def prefixes(self, ids: DataFrame) -> DataFrame:
-        """key, doc_id, n, before: the rarest shingles of each document, so many that two documents of the similarity share one of them.
+        """key, doc_id, n, before, lone: the rarest shingles of each document, so many that two documents of the similarity share one of them.
 
         Of n shingles sharing may leave out n - similarity * n; one more makes a prefix in any common order, here by how many of these
-        documents hold a shingle. Shingles that only one holds come first and need no rows. before: shingles ahead of the key.
+        documents hold a shingle. Shingles that only one holds come first and need no rows. before: shingles ahead of the key; lone: those that only this document holds.
         """
         words = self.words
 
@@ -314,13 +314,13 @@ class _Copies:
         lone = F.col("n") - F.size("s")
         length = F.col("n") - F.ceil(F.lit(self.similarity) * F.col("n") - F.lit(1e-9)) + 1 - lone
         first = ranked.select("doc_id", "n", lone.alias("lone"), F.posexplode(F.slice("s", F.lit(1), F.greatest(length, F.lit(0)).cast("int"))).alias("i", "k"))
-        return self.save(first.select("k.key", "doc_id", "n", (F.col("lone") + F.col("i")).alias("before")), "prefixes")
+        return self.save(first.select("k.key", "doc_id", "n", (F.col("lone") + F.col("i")).alias("before"), "lone"), "prefixes")
 
     def may_reach(self, a: str, b: str) -> Column:
-        """Whether two documents that share a key may share enough: it and what lies behind it in the shorter rest, and sizes."""
-        n_a, n_b, left_a, left_b = (F.col(c) for c in (f"n_{a}", f"n_{b}", f"before_{a}", f"before_{b}"))
-        least = F.lit(self.similarity / (1 + self.similarity)) * (n_a + n_b)
-        return F.least(n_a - left_a, n_b - left_b) + F.least(left_a, left_b) >= least - 1e-9
+        """Whether two documents that share a key may share enough: from it on the shorter rest, before it what is not theirs alone."""
+        behind = F.least(*(F.col(f"n_{x}") - F.col(f"before_{x}") for x in (a, b)))
+        ahead = F.least(*(F.col(f"before_{x}") - F.col(f"lone_{x}") for x in (a, b)))
+        return behind + ahead >= F.lit(self.similarity / (1 + self.similarity)) * (F.col(f"n_{a}") + F.col(f"n_{b}")) - 1e-9
 
     def links(self) -> DataFrame:
         self.rows = rows = self.read()
@@ -346,15 +346,15 @@ class _Copies:
         open_, everyone = self.open_keys(keyed, links), False
         while not open_.isEmpty():
             few = open_.where(F.col("open") <= PAIRS_OF_KEY) if everyone else open_.limit(0)
-            a, b = (few.select("key", *(F.col(c).alias(f"{c}_{x}") for c in ("doc_id", "n", "before", "comp"))) for x in "uv")
+            a, b = (few.select("key", *(F.col(c).alias(f"{c}_{x}") for c in _HOLDER)) for x in "uv")
             pairs = a.join(b, "key").where("doc_id_u > doc_id_v and comp_u <> comp_v").where(self.may_reach("u", "v")).select(F.col("doc_id_u").alias("u"), F.col("doc_id_v").alias("v"))
             many = open_.where(F.col("open") > PAIRS_OF_KEY) if everyone else open_
             # the shortest holders of a key lead it: they are what the others have in common; a leader that has met all leaves the key
             salt = F.pmod(F.xxhash64("doc_id"), F.lit(SALTS if everyone else 1))
-            best = F.min(F.struct("n", "doc_id", "before", "comp")).alias("l")
-            leaders = many.groupBy("key", salt.alias("salt")).agg(best).select("key", F.col("l.doc_id").alias("doc_id_v"), F.col("l.n").alias("n_v"), F.col("l.before").alias("before_v"), F.col("l.comp").alias("comp_v"))
+            best = F.min(F.struct(*_HOLDER)).alias("l")
+            leaders = many.groupBy("key", salt.alias("salt")).agg(best).select("key", *(F.col(f"l.{c}").alias(f"{c}_v") for c in _HOLDER))
             leaders = self.save(leaders, "leaders")
-            asked = many.select("key", *(F.col(c).alias(f"{c}_u") for c in ("doc_id", "n", "before", "comp"))).join(if_small(leaders), "key")
+            asked = many.select("key", *(F.col(c).alias(f"{c}_u") for c in _HOLDER)).join(if_small(leaders), "key")
             asked = asked.where("doc_id_u <> doc_id_v and comp_u <> comp_v").where(self.may_reach("u", "v"))
             pairs = pairs.unionByName(asked.select(F.greatest("doc_id_u", "doc_id_v").alias("u"), F.least("doc_id_u", "doc_id_v").alias("v")))
             links = self.save(links.unionByName(self.compare(pairs)).distinct(), "links")
@@ -363,6 +363,8 @@ class _Copies:
         return links
 
 
+#: What is known of a holder of a shingle; the shortest comes first.
+_HOLDER = ("n", "doc_id", "before", "lone", "comp")
 _READ = ["doc_id", "fp", "n", "set_a", "set_b", "keys", "sketch"]
 _READ_KINDS = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.binary()]
 

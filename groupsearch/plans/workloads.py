@@ -19,6 +19,8 @@ from .queries import D, members, pinv_index, planted, r6, stated, vectors
 
 OPENED = [1, 2, 5, 10, 20, 40]
 ALPHAS = (0.5, 0.6, 0.7, 0.8, 0.9)
+#: Most rows that a full clustering takes in one task.
+ONE_TASK = 20_000
 UNIT, TURNS = 10, 1 << 20
 
 
@@ -92,7 +94,8 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 def index_of(v: DataFrame, method: str, n: int, d: int, seed: int = 0, unit: int = UNIT, batch: int | None = None) -> search.Index:
     """An index by name: random, batch, full or minibatch assignment; sum or pinv; _norm for unit-norm centroids.
 
-    A batch is clustered in one task and has at most assign.BATCH rows; a larger full clustering goes round by round over all tasks.
+    A batch is clustered in one task and has at most assign.BATCH rows; a full clustering of more than ONE_TASK rows goes round by
+    round over all tasks.
     """
     how, _, rest = method.partition("-")
     kind, normalize = rest.removesuffix("_norm") or "pinv", rest.endswith("_norm")
@@ -102,10 +105,10 @@ def index_of(v: DataFrame, method: str, n: int, d: int, seed: int = 0, unit: int
         return baselines.ivf_index(v, max(1, n // unit), seed=seed)
     if how == "random":
         placed = assign.assign_random(v, unit, n, seed)
-    elif how == "full" and n > assign.BATCH:
+    elif how == "full" and n > ONE_TASK:
         placed = assign.spherical_kmeans(v, max(1, n // unit), kind, normalize, "random", 8, seed, d, tables.shared_dir(v.sparkSession))
     else:
-        size = assign.BATCH if how == "full" else min(batch or max(1, n // 4), assign.BATCH)
+        size = ONE_TASK if how == "full" else min(batch or max(1, n // 4), assign.BATCH)
         placed = assign.batch_spherical_kmeans(v, size, unit, kind, normalize, seed, n=n)
     placed = placed.select("vec_id", "vec", "unit_id").cache()
     return search.build_index(placed, kind, d, normalize and how != "random")

@@ -293,34 +293,38 @@ class _Copies:
         counts = self.save(keyed.groupBy("key").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").select("key", "lead"), "counts")
         return self.save(keyed.join(if_small(counts), "key").select("key", "doc_id", "lead").distinct(), "shared")
 
-    def prefixes(self, ids: DataFrame) -> DataFrame:
-        """key, doc_id, n, before, lone: the rarest shingles of each document, so many that two documents of the similarity share one of them.
+    def prefixes(self, placed: DataFrame) -> DataFrame:
+        """key, doc_id, n, before: the rarest shingles of each document, so many that two documents of the similarity share one of them.
 
-        Of n shingles sharing may leave out n - similarity * n; one more makes a prefix in any common order, here by how many of these
-        documents hold a shingle. Shingles that only one holds come first and need no rows. before: shingles ahead of the key; lone: those that only this document holds.
+        placed: doc_id, comp. Of n shingles sharing may leave out n - similarity * n; one more makes a prefix in any common order, here by
+        how many components hold a shingle. Shingles that only one component holds join no two: they come first and need no rows.
+        before: shingles ahead of the key.
         """
         words = self.words
 
         @tidy
         def run(batches):
             for b in batches:
-                own = [np.unique(shingle_hashes(t or b"", words)).view(np.int64) for t in b.column(1).cast(pa.binary()).to_pylist()]
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(own, pa.list_(pa.int64()))], ["doc_id", "own"])
-
-        held = self.texts.join(if_small(ids), "doc_id", "left_semi").select("doc_id", "text")
-        held = self.save(held.mapInArrow(run, "doc_id bigint, own array<bigint>"), "shingles").select("doc_id", F.size("own").alias("n"), F.explode("own").alias("key"))
-        common = self.save(held.groupBy("key").agg(F.countDistinct("doc_id").alias("docs")).where("docs > 1"), "common")
-        ranked = held.distinct().join(if_small(common), "key").groupBy("doc_id", "n").agg(F.sort_array(F.collect_list(F.struct("docs", "key"))).alias("s"))
+                own = [np.unique(shingle_hashes(t or b"", words)).view(np.int64) for t in b.column(2).cast(pa.binary()).to_pylist()]
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(own, pa.list_(pa.int64()))], ["doc_id", "comp", "own"])
+
+        held = self.texts.join(if_small(placed), "doc_id").select("doc_id", "comp", "text")
+        held = self.save(held.mapInArrow(run, "doc_id bigint, comp bigint, own array<bigint>"), "shingles").select("doc_id", "comp", F.size("own").alias("n"), F.explode("own").alias("key"))
+        common = held.groupBy("key", "comp").agg(F.lit(1).alias("one")).groupBy("key").agg(F.count("*").alias("comps"))
+        common = self.save(common.where("comps > 1"), "common")
+        ranked = held.drop("comp").distinct().join(if_small(common), "key").groupBy("doc_id", "n").agg(F.sort_array(F.collect_list(F.struct("comps", "key"))).alias("s"))
         lone = F.col("n") - F.size("s")
         length = F.col("n") - F.ceil(F.lit(self.similarity) * F.col("n") - F.lit(1e-9)) + 1 - lone
         first = ranked.select("doc_id", "n", lone.alias("lone"), F.posexplode(F.slice("s", F.lit(1), F.greatest(length, F.lit(0)).cast("int"))).alias("i", "k"))
-        return self.save(first.select("k.key", "doc_id", "n", (F.col("lone") + F.col("i")).alias("before"), "lone"), "prefixes")
+        return self.save(first.select("k.key", "doc_id", "n", (F.col("lone") + F.col("i")).alias("before")), "prefixes")
 
     def may_reach(self, a: str, b: str) -> Column:
-        """Whether two documents that share a key may share enough: from it on the shorter rest, before it what is not theirs alone."""
+        """Whether two documents whose first common shingle is the key may share enough: all they share lies from it on.
+
+        Pairs that are similar enough pass at their first common shingle, and no other key needs to let them through.
+        """
         behind = F.least(*(F.col(f"n_{x}") - F.col(f"before_{x}") for x in (a, b)))
-        ahead = F.least(*(F.col(f"before_{x}") - F.col(f"lone_{x}") for x in (a, b)))
-        return behind + ahead >= F.lit(self.similarity / (1 + self.similarity)) * (F.col(f"n_{a}") + F.col(f"n_{b}")) - 1e-9
+        return behind >= F.lit(self.similarity / (1 + self.similarity)) * (F.col(f"n_{a}") + F.col(f"n_{b}")) - 1e-9
 
     def links(self) -> DataFrame:
         self.rows = rows = self.read()
@@ -342,7 +346,7 @@ class _Copies:
         mixed = self.open_keys(shared.select("key", "doc_id"), links)
         if mixed.isEmpty():
             return links
-        keyed = self.prefixes(self.save(mixed.select("doc_id").distinct(), "mixed"))
+        keyed = self.prefixes(self.save(mixed.select("doc_id", "comp").distinct(), "mixed"))
         open_, everyone = self.open_keys(keyed, links), False
         while not open_.isEmpty():
             few = open_.where(F.col("open") <= PAIRS_OF_KEY) if everyone else open_.limit(0)
@@ -364,7 +368,7 @@ class _Copies:
 
 
 #: What is known of a holder of a shingle; the shortest comes first.
-_HOLDER = ("n", "doc_id", "before", "lone", "comp")
+_HOLDER = ("n", "doc_id", "before", "comp")
 _READ = ["doc_id", "fp", "n", "set_a", "set_b", "keys", "sketch"]
 _READ_KINDS = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.binary()]
 

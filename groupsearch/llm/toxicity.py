@@ -9,6 +9,7 @@ which scores every document.
 
 from __future__ import annotations
 
+import gc
 import math
 import re
 from collections import Counter
@@ -19,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, bounded_batches, tidy
+from .common import Workspace, bounded_batches, give_back, tidy
 
 #: Documented bounds: labelled rows the model is fitted on, voters, words looked up by a worker, and the least support of a voter, in
 #: toxic rows and as a share of them. As fitted rows are bounded, so are the patterns that enough toxic ones hold.
@@ -207,7 +208,16 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, voters: in
     The chosen labels are broadcast (fit_rows bounds them) to find their documents. Counting is distributed: a task counts in how
     many of its documents each pattern occurs; the driver gets only patterns that at least SUPPORT toxic rows and SUPPORT_SHARE of them
     hold, which the bound on rows bounds, then a list of votes for each fitted row. Repeated labels of an id count once, the largest of them; null labels and ids are ignored.
+    What the fit took of the driver's memory goes back to the system: the driver's next steps need it.
     """
+    try:
+        return _fit(docs, labels, fit_rows, voters)
+    finally:
+        gc.collect()
+        give_back()
+
+
+def _fit(docs: DataFrame, labels: DataFrame, fit_rows: int, voters: int) -> ToxicityModel | None:
     spark = docs.sparkSession
     bounded_batches(spark)
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).where(~held_out(F.col("doc_id")))

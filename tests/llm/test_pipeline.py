@@ -59,3 +59,13 @@ def test_stages_of_odd_rows(spark, tmp_path):
         assert sorted((r.doc_id is None, r.doc_id or 0) for r in out) == [(False, 1), (False, 3), (False, 5), (False, 7), (True, 0), (True, 0)]
     docs.limit(0).write.mode("overwrite").parquet(f"{tmp_path}/documents.parquet")
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
+def test_a_fit_gives_the_drivers_memory_back(spark, monkeypatch):
+    from groupsearch.llm import toxicity
+
+    called = []
+    monkeypatch.setattr(toxicity, "give_back", lambda: called.append(1))
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
+    toxicity.fit(docs, labels)
+    assert called

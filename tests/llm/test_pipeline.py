@@ -69,3 +69,19 @@ def test_a_fit_gives_the_drivers_memory_back(spark, monkeypatch):
     docs, labels = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
     toxicity.fit(docs, labels)
     assert called
+
+
+def test_a_saved_step_gives_the_jvms_memory_back(spark, monkeypatch):
+    trimmed = []
+    whole = common._trim_native_heap
+    monkeypatch.setattr(common, "_trim_native_heap", lambda s: trimmed.append(whole(s)))
+    jvm = spark.sparkContext._jvm
+    runtime = jvm.java.lang.Runtime.getRuntime()
+    work = common.Workspace(spark, "t")
+    used = lambda: runtime.totalMemory() - runtime.freeMemory()
+    while used() * 2.5 < runtime.maxMemory():
+        jvm.java.lang.StringBuilder(64 << 20)
+    assert work.save(spark.range(3), "rows").count() == 3
+    assert used() * 3 < runtime.maxMemory()
+    assert len(trimmed) == 1 and "native heap" in trimmed[0]
+    work.delete()

@@ -16,7 +16,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, batches_of, bounded_batches, if_small, tidy
+from .common import Workspace, batches_of, bounded_batches, gathered, if_small, tidy
 from .components import connected_components
 
 #: Differing bits that still link, segments on the ring, distinct fingerprints of a key that are compared pair by pair.
@@ -212,11 +212,21 @@ class _Copies:
     def __init__(self, texts: DataFrame, words: int, similarity: float):
         self.texts, self.words, self.similarity = texts, words, similarity
         self.work = Workspace(texts.sparkSession, "near-copies")
-        self.steps = 0
+        self.steps, self.stored = 0, []
 
     def save(self, df: DataFrame, name: str) -> DataFrame:
         self.steps += 1
-        return self.work.save(df, f"{name}-{self.steps}")
+        self.stored.append(f"{name}-{self.steps}")
+        return self.work.save(df, self.stored[-1])
+
+    def keep(self, *names: str) -> None:
+        """Deletes all saved tables but these: no later step reads them."""
+        self.work.drop(*(x for x in self.stored if x not in names))
+        self.stored = [x for x in self.stored if x in names]
+
+    def done(self, before: list[str]) -> None:
+        """A step's last table is its result; what it saved on the way, besides what was there before it, goes."""
+        self.keep(*before, self.stored[-1])
 
     def read(self) -> DataFrame:
         """doc_id, fp, n (distinct shingles), set_a, set_b (128 bits that name the set), keys, sketch of every row."""
@@ -240,13 +250,14 @@ class _Copies:
 
     def compare(self, pairs: DataFrame) -> DataFrame:
         """u, v of the pairs whose whole texts have the similarity; sizes and sketches first discard those far below it."""
-        words, similarity = self.words, self.similarity
+        words, similarity, before = self.words, self.similarity, list(self.stored)
         pairs = self.save(pairs.select("u", "v").distinct(), "pairs")
 
         def both(table: DataFrame, found: DataFrame, wide: str, *columns: str) -> DataFrame:
-            """found with columns of both documents. v, which may be the leader of very many, comes first: broadcast if all are small."""
+            """found, a saved table, with columns of both documents. v, which may be the leader of very many, comes first: broadcast if all are small."""
+            named = gathered(found)
             for side in ("v", "u"):
-                ids = self.save(found.select(F.col(side).alias("doc_id")).distinct(), "ids")
+                ids = self.save(named.select(F.col(side).alias("doc_id")).distinct(), "ids")
                 held = self.save(table.select("doc_id", *columns, wide).join(if_small(ids), "doc_id", "left_semi"), "held")
                 size = held.agg(F.coalesce(F.sum(F.octet_length(wide) + 64), F.lit(0))).first()[0]
                 held = held.select(F.col("doc_id").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in (*columns, wide)))
@@ -261,6 +272,7 @@ class _Copies:
 
         sized = both(self.rows, pairs, "sketch", "n").where(F.least("n_u", "n_v") >= similarity * F.greatest("n_u", "n_v") - 1e-9)
         likely = self.save(sized.select("u", "v", "sketch_u", "sketch_v").mapInArrow(discard, "u bigint, v bigint").distinct(), "likely")
+        self.done(before)
 
         @tidy
         def verify(batches):
@@ -277,21 +289,30 @@ class _Copies:
                 yield b.filter(pa.array(ok, pa.bool_())).select([0, 1])
 
         with batches_of(self.texts.sparkSession, 64):
-            return self.save(both(self.texts, likely, "text").select("u", "v", "text_u", "text_v").mapInArrow(verify, "u bigint, v bigint").distinct(), "links")
+            links = self.save(both(self.texts, likely, "text").select("u", "v", "text_u", "text_v").mapInArrow(verify, "u bigint, v bigint").distinct(), "links")
+        self.done(before)
+        return links
 
     def open_keys(self, keyed: DataFrame, links: DataFrame) -> DataFrame:
         """keyed (key, doc_id, ...) of the keys that documents of several components share, with comp, and open: their pairs between components."""
-        roots = connected_components(links, Workspace(self.texts.sparkSession, "near-copies-roots"))
+        before, work = list(self.stored), Workspace(self.texts.sparkSession, "near-copies-roots")
+        roots = connected_components(links, work)
         comp = keyed.join(if_small(roots), F.col("doc_id") == F.col("node"), "left").select(*keyed.columns, F.coalesce("root", "doc_id").alias("comp"))
         comp = self.save(comp, "placed")
-        held = comp.groupBy("key", "comp").agg(F.count("*").alias("n")).groupBy("key").agg(F.count("*").alias("comps"), F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("n2"))
+        work.delete()
+        held = gathered(comp).groupBy("key", "comp").agg(F.count("*").alias("n")).groupBy("key").agg(F.count("*").alias("comps"), F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("n2"))
         several = held.where("comps > 1").select("key", ((F.col("n") * F.col("n") - F.col("n2")) / 2).alias("open"))
-        return self.save(comp.join(if_small(self.save(several, "several")), "key"), "open")
+        out = self.save(comp.join(if_small(self.save(several, "several")), "key"), "open")
+        self.done(before)
+        return out
 
     def shared_keys(self, keyed: DataFrame) -> DataFrame:
         """key, doc_id, lead (the smallest document) of the keys that several documents have."""
+        before = list(self.stored)
         counts = self.save(keyed.groupBy("key").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").select("key", "lead"), "counts")
-        return self.save(keyed.join(if_small(counts), "key").select("key", "doc_id", "lead").distinct(), "shared")
+        out = self.save(keyed.join(if_small(counts), "key").select("key", "doc_id", "lead").distinct(), "shared")
+        self.done(before)
+        return out
 
     def prefixes(self, placed: DataFrame) -> DataFrame:
         """key, doc_id, n, before: the rarest shingles of each document, so many that two documents of the similarity share one of them.
@@ -300,7 +321,7 @@ class _Copies:
         how many components hold a shingle. Shingles that only one component holds join no two: they come first and need no rows.
         before: shingles ahead of the key.
         """
-        words = self.words
+        words, before = self.words, list(self.stored)
 
         @tidy
         def run(batches):
@@ -316,7 +337,9 @@ class _Copies:
         lone = F.col("n") - F.size("s")
         length = F.col("n") - F.ceil(F.lit(self.similarity) * F.col("n") - F.lit(1e-9)) + 1 - lone
         first = ranked.select("doc_id", "n", lone.alias("lone"), F.posexplode(F.slice("s", F.lit(1), F.greatest(length, F.lit(0)).cast("int"))).alias("i", "k"))
-        return self.save(first.select("k.key", "doc_id", "n", (F.col("lone") + F.col("i")).alias("before")), "prefixes")
+        out = self.save(first.select("k.key", "doc_id", "n", (F.col("lone") + F.col("i")).alias("before")), "prefixes")
+        self.done(before)
+        return out
 
     def may_reach(self, a: str, b: str) -> Column:
         """Whether two documents whose first common shingle is the key may share enough: all they share lies from it on.
@@ -340,14 +363,17 @@ class _Copies:
         equal = single.select("doc_id", "fp").join(distinct, "fp").where("doc_id <> first").select(F.col("doc_id").alias("u"), F.col("first").alias("v"))
         shared = self.shared_keys(single.select("doc_id", F.explode("keys").alias("key")))
         led = shared.where("doc_id <> lead").select(F.col("doc_id").alias("u"), F.col("lead").alias("v"))
-        links = links.unionByName(self.compare(ringed.unionByName(equal).unionByName(led).where("u <> v")))
+        links = self.save(links.unionByName(self.compare(ringed.unionByName(equal).unionByName(led).where("u <> v"))), "links")
+        self.work.drop("shared")  # of the pigeonring
+        linked = self.stored[-1]
 
         # documents that share a key with others than their copies: an exact join among them, by the prefix of each one's shingles
         mixed = self.open_keys(shared.select("key", "doc_id"), links)
         if mixed.isEmpty():
             return links
-        keyed = self.prefixes(self.save(mixed.select("doc_id", "comp").distinct(), "mixed"))
+        keyed = self.prefixes(self.save(gathered(mixed.select("doc_id", "comp")).distinct(), "mixed"))
         open_, everyone = self.open_keys(keyed, links), False
+        self.keep(self.stored[0], linked, self.stored[-1])  # rows of all documents, links, open keys
         while not open_.isEmpty():
             few = open_.where(F.col("open") <= PAIRS_OF_KEY) if everyone else open_.limit(0)
             a, b = (few.select("key", *(F.col(c).alias(f"{c}_{x}") for c in _HOLDER)) for x in "uv")
@@ -356,14 +382,16 @@ class _Copies:
             # the shortest holders of a key lead it: they are what the others have in common; a leader that has met all leaves the key
             salt = F.pmod(F.xxhash64("doc_id"), F.lit(SALTS if everyone else 1))
             best = F.min(F.struct(*_HOLDER)).alias("l")
-            leaders = many.groupBy("key", salt.alias("salt")).agg(best).select("key", *(F.col(f"l.{c}").alias(f"{c}_v") for c in _HOLDER))
+            leaders = gathered(many).groupBy("key", salt.alias("salt")).agg(best).select("key", *(F.col(f"l.{c}").alias(f"{c}_v") for c in _HOLDER))
             leaders = self.save(leaders, "leaders")
             asked = many.select("key", *(F.col(c).alias(f"{c}_u") for c in _HOLDER)).join(if_small(leaders), "key")
             asked = asked.where("doc_id_u <> doc_id_v and comp_u <> comp_v").where(self.may_reach("u", "v"))
             pairs = pairs.unionByName(asked.select(F.greatest("doc_id_u", "doc_id_v").alias("u"), F.least("doc_id_u", "doc_id_v").alias("v")))
             links = self.save(links.unionByName(self.compare(pairs)).distinct(), "links")
+            linked = self.stored[-1]
             left = many.join(if_small(leaders.select("key", F.col("doc_id_v").alias("doc_id"))), ["key", "doc_id"], "left_anti").select(*keyed.columns)
             open_, everyone = self.open_keys(self.save(left, "left"), links), True
+            self.keep(self.stored[0], linked, self.stored[-1])
         return links
 
 

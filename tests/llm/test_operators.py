@@ -4,13 +4,15 @@ from __future__ import annotations
 
 import hashlib
 import random
+import re
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from groupsearch.llm import bpe, common, decontaminate, licenses, queries, simhash, suffix_dedup, token_files, topk, toxicity, url_filter, warc
+from groupsearch.llm import bpe, common, components, decontaminate, licenses, queries, simhash, suffix_dedup, token_files, topk, toxicity, url_filter, warc
 from groupsearch.llm.components import connected_components
 
 from ..conftest import MEDIUM, SMALL
@@ -310,6 +312,28 @@ def test_keys_of_similar_sets_meet_as_often_as_stated():
     assert tried >= 1000 and lost / tried < 0.07
 
 
+def test_few_edges_are_joined_up_in_one_task(spark, monkeypatch):
+    """The same components as by rounds, without a round of shuffles for each step of a long path."""
+    edges = [(i, i + 1) for i in range(200)] + [(i, 1000 + i % 7) for i in range(1001, 1400)] + [(5, 5), (-3, -9), (-9, -4), (-3, -9)]
+    df, context = spark.createDataFrame(edges, "u bigint, v bigint"), spark.sparkContext
+    context.setJobGroup("few-edges", "")
+    found = [{(r.node, r.root) for r in connected_components(df, common.Workspace(spark, "t")).collect()}]
+    jobs = len(context.statusTracker().getJobIdsForGroup("few-edges"))
+    context.setLocalProperty("spark.jobGroup.id", None)
+    monkeypatch.setattr(components, "FEW_EDGES", 0)
+    found.append({(r.node, r.root) for r in connected_components(df, common.Workspace(spark, "t")).collect()})
+    assert found[0] == found[1] and (200, 0) in found[0] and (-3, -9) in found[0] and jobs <= 8
+
+
+def test_near_copies_keep_what_is_still_read(spark, odd):
+    """Of the tables that the search saved, only the rows and the last links are left."""
+    before = len(common.Workspace.made)
+    simhash.near_copies(odd).count()
+    search = next(w for w in common.Workspace.made[before:] if "/near-copies-" in w.path and "-roots-" not in w.path and "-docs-" not in w.path)
+    left = {re.sub(r"-\d+$", "", f.name) for f in Path(search.path.removeprefix("file://")).iterdir() if not f.name.startswith(".")}
+    assert {"rows", "links"} <= left and not left & {"pairs", "ids", "held", "likely", "counts", "several", "placed", "shingles", "common"}
+
+
 def test_rows_without_copies(spark, odd, none):
     out = simhash.without_copies(odd)
     assert out.columns == odd.columns and [r.doc_id for r in out.orderBy("doc_id").collect()] == [None, 1, 4, 6, 8, 9]
